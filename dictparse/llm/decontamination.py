@@ -258,14 +258,14 @@ def hits_sql(documents: str = "documents", benchmark: str = "benchmark", window:
     return f"""doc_words AS MATERIALIZED (SELECT row_number() OVER () AS r, doc_id, {_WORDS} AS ws FROM {documents}),
 item_words AS (SELECT item_id, {_WORDS} AS ws FROM {benchmark}),
 item_windows AS (
-  SELECT DISTINCT item_id, least({window}, len(ws)) AS size, array_to_string(ws[at:at + least({window}, len(ws)) - 1], ' ') AS win
-  FROM (SELECT *, unnest(range(1, len(ws) - least({window}, len(ws)) + 2)) AS at FROM item_words WHERE len(ws) > 0)),
+  SELECT DISTINCT item_id, least({window}, len(ws)) AS size, array_to_string(list_slice(ws, pos, pos + least({window}, len(ws)) - 1), ' ') AS win
+  FROM (SELECT *, unnest(range(1, len(ws) - least({window}, len(ws)) + 2)) AS pos FROM item_words WHERE len(ws) > 0)),
 sizes AS (SELECT DISTINCT size FROM item_windows),
 doc_windows AS (
-  SELECT r, at, size, array_to_string(ws[at:at + size - 1], ' ') AS win
-  FROM (SELECT r, ws, size, unnest(range(1, len(ws) - size + 2)) AS at FROM doc_words, sizes WHERE len(ws) >= size)),
-found AS MATERIALIZED (SELECT w.r, w.at, w.size, i.item_id FROM doc_windows w JOIN item_windows i USING (size, win)),
-hit_words AS (SELECT r, count(DISTINCT p) AS n_hit FROM (SELECT r, unnest(range(at, at + size)) AS p FROM found) GROUP BY r),
+  SELECT r, pos, size, array_to_string(list_slice(ws, pos, pos + size - 1), ' ') AS win
+  FROM (SELECT r, ws, size, unnest(range(1, len(ws) - size + 2)) AS pos FROM doc_words, sizes WHERE len(ws) >= size)),
+found AS MATERIALIZED (SELECT w.r, w.pos, w.size, i.item_id FROM doc_windows w JOIN item_windows i USING (size, win)),
+hit_words AS (SELECT r, count(DISTINCT p) AS n_hit FROM (SELECT r, unnest(range(pos, pos + size)) AS p FROM found) GROUP BY r),
 hit_items AS (SELECT r, list_sort(list(DISTINCT CAST(item_id AS VARCHAR))) AS items FROM found WHERE item_id IS NOT NULL GROUP BY r),
 hit_docs AS (
   SELECT d.r, doc_id, CAST(len(ws) AS BIGINT) AS n_words, coalesce(n_hit, 0) AS n_hit, coalesce(items, []) AS items
