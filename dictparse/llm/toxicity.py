@@ -5,7 +5,8 @@ taken from labelled training rows, and patterns over them. A generative label mo
 occurs in the whole corpus, estimates each voter's rates under both classes and the correlations that the class leaves between
 voters; correlated voters share their weight. Its posterior labels train a linear classifier over votes and hashed words.
 
-Labels are read only from rows whose crc32(id as text) mod 5 is not 0, at most SAMPLE of them (those with the smallest id hash).
+Labels are read only from rows whose crc32(id as text) mod 5 is not 0, at most SAMPLE of them (those with the smallest id hash), of
+which FITTED train the classifier.
 
 Edge cases: a null text is an empty one and gets the score of a text without features; repeated rows are scored each; without usable
 labels only the fixed lexicon votes; an empty table gives an empty result; further columns are not inputs.
@@ -24,8 +25,8 @@ from pyspark.sql import functions as F
 
 from dictparse.llm.common import map_batches, read, texts_of
 
-#: Labelled rows used, at most; hashed weights of the classifier.
-SAMPLE, SPACE = 20_000, 1 << 18
+#: Labelled rows read for the lexicons, at most; those of them that train the classifier, at most; its hashed weights.
+SAMPLE, FITTED, SPACE = 10_000, 5_000, 1 << 18
 #: Lengths of words' beginnings that count as features of their own.
 STEMS = (4, 6)
 #: A small public lexicon of insults.
@@ -195,9 +196,9 @@ class Linear:
 
     def __init__(self, features: list[np.ndarray], patterns: np.ndarray, target: np.ndarray, rounds: int = 200):
         size = np.array([len(f) for f in features])
-        row = np.repeat(np.arange(len(features)), size)
-        column = _columns(np.concatenate(features)) if len(features) else np.zeros(0, np.int64)
-        value = 1 / np.sqrt(np.maximum(size, 1))[row] if len(row) else np.zeros(0)
+        row = np.repeat(np.arange(len(features), dtype=np.int32), size)
+        column = np.concatenate([_columns(f).astype(np.int32) for f in features]) if len(features) else np.zeros(0, np.int32)
+        value = (1 / np.sqrt(np.maximum(size, 1))).astype(np.float32)[row]
         votes = _bits(patterns)
         self.bias, self.votes, self.words = -2.0, np.full(VOTERS, 0.5), np.zeros(SPACE)
         n = max(len(features), 1)
@@ -234,6 +235,7 @@ def fit(docs: DataFrame, labels: DataFrame, doc: str = "doc_id", text: str = "te
     # at most 2 ** VOTERS patterns, of all rows
     rows = map_batches(docs.select(text), run, "p long, n long").groupBy("p").agg(F.sum("n").alias("n")).collect()
     model = LabelModel(np.array([r.p for r in rows] or [0], np.int64), np.array([r.n for r in rows] or [1], np.int64), float(np.clip(y.mean(), 0.01, 0.4)) if len(y) else 0.1)
+    features = features[:FITTED]
     patterns = np.array([votes.pattern("", f) for f in features], np.int64)
     return votes, model, Linear(features, patterns, model.posterior(patterns) if len(patterns) else np.zeros(0))
 
