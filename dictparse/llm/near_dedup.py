@@ -268,6 +268,21 @@ def _sets(source: DataFrame, involved: DataFrame, width: int) -> DataFrame:
     return got.groupBy("id").agg(F.first("set").alias("set"))
 
 
+def keep_first(docs: DataFrame, doc: str = "doc_id", text: str = "text", width: int = 5, similarity: int = SIMILARITY) -> DataFrame:
+    """The rows of one document of each component, columns as they are; rows that share an id count once."""
+    no_id = F.lit(-(1 << 63))
+    found = written(near_duplicates(docs, doc, text, width, similarity).select(F.coalesce("doc", no_id).alias("_own"), F.col("doc").eqNullSafe(F.col("component")).alias("_kept")), "near-kept")
+    ids = found.groupBy("_own").agg(F.max("_kept").alias("_kept"), F.count("*").alias("_rows"))
+    keyed = docs.withColumn("_own", F.coalesce(F.col(doc).cast("long"), no_id))
+    kept = keyed.join(ids.where("_kept").select("_own", "_rows").hint("shuffle_hash"), "_own")
+    if not ids.where("_rows > 1").limit(1).count():
+        return kept.select(*docs.columns)
+    # one of the rows of an id, by the content
+    whole = F.struct(*[F.col(c) for c in docs.columns])
+    several = kept.where("_rows > 1").groupBy("_own").agg(F.min(whole).alias("_row")).select("_row.*")
+    return kept.where("_rows = 1").select(*docs.columns).unionByName(several)
+
+
 def op10_setsketch(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = near_duplicates(read(spark, sf_dir, "documents").select("doc_id", "text"), width=2)
     return found.select(F.col("doc").alias("doc_id"), F.col("n").alias("n_shingles"), F.col("component").alias("component_id"), F.col("doc").eqNullSafe(F.col("component")).alias("kept"))
