@@ -3,7 +3,7 @@
 A page is a sequence of tokens: tags, and the words between them. A token's role is told apart by its path of open elements. Over the
 pages of a host, tokens with one and the same occurrence vector (how often each page holds them) form an equivalence class; vectors
 are compared by an additive fingerprint, so counting them is an aggregation with partial sums and no host is gathered. Exact copies
-of a page count once. A class is valid if nearly all pages of the host hold it and it has more than one token, a tag among them;
+of a page are no evidence of a template. A class is valid if nearly all pages of the host hold it and it has more than one token, a tag among them;
 the valid classes, nested by their tokens' paths, make the host's template, and what lies between template tokens are slots. Words
 of a valid class are boilerplate and go with the template. Slots inside menus, headers, footers, sidebars, notices, adverts, forms,
 comments, scripts and styles are dropped too; the text of the remaining slots is the page's main text: that of the article or main
@@ -164,54 +164,50 @@ def host_of(url: str | None) -> str:
     return m[1].lower() if m else url or ""
 
 
-def _fingerprint(page: str, times: int) -> int:
-    """A pseudo-random number for a page's entry in an occurrence vector; sums of them stand for the vector."""
-    import xxhash
-
-    return xxhash.xxh3_64_intdigest(f"{page}\0{times}") >> 24
-
-
-def classes(pages: DataFrame, page: str = "page_id", url: str = "url", html: str = "html") -> DataFrame:
+def classes(pages: DataFrame, url: str = "url", html: str = "html") -> DataFrame:
     """(host, token, vector, pages): tokens that at least MIN_PAGES different pages of the host hold, and their vectors' fingerprints."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: dict[tuple[str, str], list[int]] = {}
+        import xxhash
+
+        held: dict[tuple[str, str], list] = {}
 
         def out() -> pa.RecordBatch:
-            columns = [[k[0] for k in held], [k[1] for k in held], [v[0] for v in held.values()], [v[1] for v in held.values()]]
-            return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, (pa.string(), pa.string(), pa.int64(), pa.int64()), strict=True)], names=["host", "token", "vector", "pages"])
+            columns = [[k[0] for k in held], [k[1] for k in held], *([v[n] for v in held.values()] for n in range(3))]
+            kinds = (pa.string(), pa.string(), pa.int64(), pa.int64(), pa.list_(pa.int64()))
+            return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, kinds, strict=True)], names=["host", "token", "vector", "pages", "some"])
 
         for b in batches:
-            for i, u, t in zip(b.column("page").to_pylist(), b.column("url").to_pylist(), texts_of(b, "html"), strict=True):
-                p, host = Page(t.decode()), host_of(u)
+            for u, t in zip(b.column("url").to_pylist(), texts_of(b, "html"), strict=True):
+                p, host, page = Page(t.decode()), host_of(u), xxhash.xxh3_64_intdigest(t) >> 1
                 for token, n in Counter([*p.tags, *(f"{path} {w}" for path, w in p.words())]).items():
-                    v = held.setdefault((host, token), [0, 0])
-                    v[0] = (v[0] + _fingerprint(i, n)) & (1 << 62) - 1
+                    v = held.get((host, token))
+                    if v is None:
+                        v = held[host, token] = [0, 0, []]
+                    v[0] = (v[0] + (page ^ n * 0x9E3779B97F4A7C15) * 0xC2B2AE3D27D4EB4F) & (1 << 62) - 1
                     v[1] += 1
+                    if len(v[2]) < MIN_PAGES and page not in v[2]:
+                        v[2].append(page)
                 if len(held) > 300_000:
                     yield out()
                     held = {}
         yield out()
 
-    # of exact copies on a host, whatever their number, one
-    hashes = [F.xxhash64(html), F.xxhash64(F.lit(1), F.col(html))]
-    keyed = pages.select(F.col(url).alias("url"), F.col(html).alias("html"), F.concat_ws("-", *hashes).alias("page"), F.coalesce(F.substring_index(F.substring_index(url, "://", -1), "/", 1), F.lit("")).alias("_site"))
-    single = keyed.groupBy("_site", "page").agg(F.count("*").alias("copies"))
-    more = single.where("copies > 1").select("_site", "page")
-    once = keyed.join(more, ["_site", "page"], "left_anti").select("url", "html", "page")
-    first = keyed.join(more, ["_site", "page"]).groupBy("_site", "page").agg(F.first("url").alias("url"), F.first("html").alias("html")).select("url", "html", "page")
-    counted = map_batches(once.unionByName(first), run, "host string, token string, vector long, pages long")
+    narrow = pages.select(F.col(url).alias("url"), F.col(html).alias("html"))
+    counted = map_batches(narrow, run, "host string, token string, vector long, pages long, some array<long>")
     vector = F.pmod(F.sum(F.col("vector").cast("decimal(38,0)")), F.lit(1 << 62).cast("decimal(38,0)")).cast("long")
-    return counted.groupBy("host", "token").agg(vector.alias("vector"), F.sum("pages").alias("pages")).where(F.col("pages") >= MIN_PAGES)
+    # at most MIN_PAGES page numbers from each task
+    different = F.size(F.array_distinct(F.flatten(F.collect_list("some"))))
+    return counted.groupBy("host", "token").agg(vector.alias("vector"), F.sum("pages").alias("pages"), different.alias("different")).where(F.col("different") >= MIN_PAGES).drop("different")
 
 
-def templates(pages: DataFrame, page: str = "page_id", url: str = "url", html: str = "html") -> DataFrame:
+def templates(pages: DataFrame, url: str = "url", html: str = "html") -> DataFrame:
     """(host, token) of every token of a host's template: classes that most of the host's pages hold.
 
     A class of one tag or word alone says nothing; words need a class that holds a tag of the page's frame too, so that they lie
     between the same template tokens on each page.
     """
-    tokens = written(classes(pages, page, url, html), "classes")
+    tokens = written(classes(pages, url, html), "classes")
     whole = tokens.groupBy("host").agg(F.max("pages").alias("all"))
     framed = tokens.groupBy("host", "vector").agg(F.max(F.when(F.col("token").contains("<"), 1).otherwise(0)).alias("framed"), F.count("*").alias("size"))
     return tokens.join(framed, ["host", "vector"]).join(whole, "host").where((F.col("framed") == 1) & (F.col("size") > 1) & (F.col("pages") >= MIN_SHARE * F.col("all"))).select("host", "token")
@@ -219,7 +215,7 @@ def templates(pages: DataFrame, page: str = "page_id", url: str = "url", html: s
 
 def extract(pages: DataFrame, page: str = "page_id", url: str = "url", html: str = "html") -> DataFrame:
     """page, url, text and n_chars of every row."""
-    frame = templates(pages, page, url, html).where(~F.col("token").contains("<"))
+    frame = templates(pages, url, html).where(~F.col("token").contains("<"))
     by_host = written(frame.groupBy("host").agg(F.collect_list("token").alias("words"), F.sum(F.octet_length("token")).alias("size")), "templates")
     local = by_host.where(F.col("size") <= 1 << 20)
     rows = local.limit(MAX_SENT + 1).collect() if local.select(F.coalesce(F.sum("size"), F.lit(0))).first()[0] <= 16 << 20 else None
