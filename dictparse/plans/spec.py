@@ -4,8 +4,6 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import types as T
-
 from dictparse.kernels.lce import BACKENDS
 from dictparse.kernels.parse import LOOKAHEADS, SCHEMES
 from dictparse.kernels.trie import CHILDREN
@@ -63,4 +61,5 @@ def columns(pairs: list[tuple[str, str]]) -> str:
     return ", ".join(f"{name} {kind}" for name, kind in pairs)
 
 
-FACTOR_LIST = T.ArrayType(T._parse_datatype_string("struct<" + ",".join(f"{n}:{k if k != 'long' else 'bigint'}" for n, k in FACTOR) + ",piece:string>"))
+#: A text's factors as one array.
+FACTOR_LIST = "array<struct<" + ",".join(f"{n}:{'bigint' if k == 'long' else k}" for n, k in FACTOR) + ",piece:string>>"
