@@ -4,8 +4,10 @@ A document's set of word shingles gives M registers: the truncated logarithm (ba
 values, so registers are small whole numbers, mergeable by taking the larger, and locality-sensitive. Equal sets are one class. Bands
 of registers propose class pairs: in each band bucket every class is first paired with the bucket's smallest; the joint likelihood of
 two register rows, given both set sizes, drops pairs that can't be similar; the others are confirmed on their full sets. Linked classes
-form components. Buckets that still hold several components have all their pairs across components looked at, in blocks, by the same
-likelihood and confirmation, so no proposed link between components is left out. Hot buckets come in blocks of bounded size.
+form components. In buckets that still hold several components, first each member's NEAREST likeliest partners in other components are
+confirmed, which joins most of what belongs together; then all pairs across components are looked at, by the same likelihood and
+confirmation, so no proposed link between components is left out. A pair that shares several bands is looked at in the first of them.
+Hot buckets, and hot groups of pairs to confirm, come in blocks of bounded size.
 
 Edge cases: a text with fewer words than a shingle is its whole word sequence; one without words is empty and linked with nothing;
 null texts are empty; a missing id is an id smaller than all others; rows that share an id are one document, linked whatever their
@@ -23,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from dictparse.llm.common import map_batches, read, texts_of, written
+from dictparse.llm.common import lean, map_batches, read, texts_of, written
 from dictparse.llm.hashing import mix, word_hashes
 
 SIMILARITY = 80
@@ -32,9 +34,9 @@ SIMILARITY = 80
 M, ROWS, BASE = 128, 4, 1.02
 BANDS = M // ROWS
 #: Standard deviations that an estimate may lie below the limit.
-MARGIN = 6.0
-#: Members of a bucket looked at together; edges of one class confirmed together.
-BLOCK, FAN = 512, 128
+MARGIN = 5.0
+#: Members of a bucket looked at together; sets of one group confirmed together; a member's likeliest partners that are tried first.
+BLOCK, FAMILY, NEAREST = 1024, 256, 8
 #: A-Z folded; words end at these bytes.
 _FOLD = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
 _IS_WORD = np.array([b != 0x20 and not 0x09 <= b <= 0x0D for b in range(256)])
@@ -93,18 +95,28 @@ def likelihood_estimate(a: np.ndarray, b: np.ndarray, size_a: np.ndarray, size_b
     return at
 
 
-def may_link(a: np.ndarray, b: np.ndarray, size_a: np.ndarray, size_b: np.ndarray, similarity: int) -> np.ndarray:
-    """Pairs that the registers don't rule out, and whose sizes allow the similarity at all."""
-    s = similarity / 100
+def link_estimate(a: np.ndarray, b: np.ndarray, size_a: np.ndarray, size_b: np.ndarray, similarity: int) -> np.ndarray:
+    """The estimated similarity of pairs that the registers don't rule out and whose sizes allow it; -1 for the others."""
+    s, m = similarity / 100, a.shape[-1]
+    least = s - MARGIN * math.sqrt(s * (1 - s) / m)
     small, large = np.minimum(size_a, size_b), np.maximum(size_a, size_b)
-    near = 100 * small >= similarity * large
-    out = np.zeros(len(near), bool)
-    if near.any():
+    near = np.flatnonzero((100 * small >= similarity * large) & ((a == b).sum(-1) >= (least - 0.05) * m))
+    out = np.full(len(size_a), -1.0)
+    if len(near):
         estimate = likelihood_estimate(a[near], b[near], size_a[near], size_b[near])
-        out[near] = estimate >= s - MARGIN * math.sqrt(s * (1 - s) / a.shape[-1])
+        out[near] = np.where(estimate >= least, estimate, -1.0)
     return out
 
 
+def band_keys(regs: np.ndarray) -> np.ndarray:
+    """A 64-bit key of every band of every row of registers; keys of different bands differ."""
+    r = regs.reshape(len(regs), BANDS, ROWS).astype(np.uint64)
+    key = np.arange(1, BANDS + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+    for k in range(ROWS):
+        key = mix((key + r[:, :, k]) * np.uint64(0xC2B2AE3D27D4EB4F))
+    return key
+
+
 def sketches(docs: DataFrame, doc: str, text: str, width: int) -> DataFrame:
     """(doc, n, class, id, regs) of every row: set size, digest of the set, the same in 64 bits as a node's id, and registers."""
 
@@ -129,14 +141,11 @@ def _bands(rows: DataFrame) -> DataFrame:
         for b in batches:
             if not b.num_rows:
                 continue
-            r = np.frombuffer(b"".join(b.column("regs").to_pylist()), np.uint16).reshape(b.num_rows, BANDS, ROWS).astype(np.uint64)
-            key = np.arange(1, BANDS + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
-            for k in range(ROWS):
-                key = mix((key + r[:, :, k]) * np.uint64(0xC2B2AE3D27D4EB4F))
+            key = band_keys(np.frombuffer(b"".join(b.column("regs").to_pylist()), np.uint16).reshape(-1, M))
             ids = np.repeat(b.column("id").to_numpy(), BANDS)
             yield pa.RecordBatch.from_arrays([pa.array(key.ravel().view(np.int64)), pa.array(ids)], names=["key", "id"])
 
-    return rows.select("id", "regs").mapInArrow(run, "key long, id long")
+    return rows.select("id", "regs").mapInArrow(lean(run), "key long, id long")
 
 
 def _filtered(pairs: DataFrame, nodes: DataFrame, similarity: int) -> DataFrame:
@@ -149,32 +158,41 @@ def _filtered(pairs: DataFrame, nodes: DataFrame, similarity: int) -> DataFrame:
             if not x.num_rows:
                 continue
             ra, rb = (np.frombuffer(b"".join(x.column(c).to_pylist()), np.uint16).reshape(x.num_rows, M) for c in ("r_a", "r_b"))
-            ok = np.flatnonzero(may_link(ra, rb, x.column("n_a").to_numpy(), x.column("n_b").to_numpy(), similarity))
+            ok = np.flatnonzero(link_estimate(ra, rb, x.column("n_a").to_numpy(), x.column("n_b").to_numpy(), similarity) >= 0)
             yield pa.RecordBatch.from_arrays([x.column("a").take(pa.array(ok)), x.column("b").take(pa.array(ok))], names=["a", "b"])
 
-    return pairs.join(a, "a").join(b, "b").mapInArrow(run, "a long, b long")
+    return pairs.join(a, "a").join(b, "b").mapInArrow(lean(run), "a long, b long")
 
 
 def _confirmed(pairs: DataFrame, sets: DataFrame, similarity: int) -> DataFrame:
-    """The pairs (a, b) whose full sets meet the limit. A side with many partners is dealt out in blocks of about FAN."""
-    fans = pairs.groupBy("a").agg(F.ceil(F.count("*") / FAN).alias("blocks"))
-    blocks = written(pairs.join(fans, "a").select("a", "b", F.pmod(F.xxhash64("b"), F.col("blocks")).alias("block")), "near-blocks")
-    left = blocks.select("a", "block").distinct().join(sets.withColumnRenamed("id", "a"), "a").select("a", "block", F.lit(None).cast("long").alias("b"), "set")
-    right = blocks.join(sets.withColumnRenamed("id", "b"), "b").select("a", "block", "b", "set")
-
-    def check(table: pa.Table) -> pa.Table:
-        bs, ts = table["b"].to_pylist(), [np.frombuffer(x, np.uint64) for x in table["set"].to_pylist()]
-        own = ts[bs.index(None)]
+    """The pairs (a, b) whose full sets meet the limit.
+
+    Pairs near each other form a group (by the smallest id two steps away), so a set is sent once for each group and not for each
+    pair; large groups are dealt with by pairs of blocks of about FAMILY sets.
+    """
+    both = pairs.unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b")))
+    one = both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("g"))
+    two = both.join(one.select(F.col("a").alias("b"), "g"), "b").groupBy("a").agg(F.min("g").alias("g"))
+    grouped = pairs.join(two, "a").join(two.select(F.col("a").alias("b"), F.col("g").alias("h")), "b").select("a", "b", F.least("g", "h").alias("g"))
+    grouped = written(grouped, "near-groups")
+    ends = grouped.select("g", F.explode(F.array("a", "b")).alias("id")).distinct()
+    blocks = ends.groupBy("g").agg(F.ceil(F.count("*") / FAMILY).alias("blocks"))
+    own = lambda c: F.pmod(F.xxhash64(c), F.col("blocks"))
+    placed = written(grouped.join(blocks, "g").select("a", "b", "g", F.least(own("a"), own("b")).alias("x"), F.greatest(own("a"), own("b")).alias("y")), "near-placed-pairs")
+    wanted = placed.select(F.col("g").alias("g_"), F.col("x").alias("x_"), F.col("y").alias("y_"), F.explode(F.array("a", "b")).alias("id")).distinct().join(sets, "id")
+
+    def check(pairs: pa.Table, sets: pa.Table) -> pa.Table:
+        held = {i: np.frombuffer(x, np.uint64) for i, x in zip(sets["id"].to_pylist(), sets["set"].to_pylist(), strict=True)}
         out = []
-        for b, s in zip(bs, ts, strict=True):
-            if b is not None:
-                both = len(np.intersect1d(own, s, assume_unique=True))
-                if 100 * both >= similarity * (len(own) + len(s) - both):
-                    out.append(b)
-        a = table["a"][0].as_py()
-        return pa.table({"a": pa.array([a] * len(out), pa.int64()), "b": pa.array(out, pa.int64())})
+        for a, b in zip(pairs["a"].to_pylist(), pairs["b"].to_pylist(), strict=True):
+            s, t = held[a], held[b]
+            both = len(np.intersect1d(s, t, assume_unique=True))
+            if 100 * both >= similarity * (len(s) + len(t) - both):
+                out.append((a, b))
+        left, right = zip(*out, strict=True) if out else ((), ())
+        return pa.table({"a": pa.array(left, pa.int64()), "b": pa.array(right, pa.int64())})
 
-    return left.unionByName(right).groupBy("a", "block").applyInArrow(check, "a long, b long")
+    return placed.groupBy("g", "x", "y").cogroup(wanted.groupBy("g_", "x_", "y_")).applyInArrow(check, "a long, b long")
 
 
 def _signature(edges: DataFrame) -> tuple:
@@ -199,33 +217,78 @@ def components(links: DataFrame, name: str = "component") -> DataFrame:
     return edges.select(F.col("u").alias("id"), F.col("v").alias("root"))
 
 
-def _roots(nodes: DataFrame, found: DataFrame) -> DataFrame:
-    return nodes.join(found, "id", "left").withColumn("root", F.coalesce("root", "id"))
+def _merged(roots: DataFrame, links: DataFrame) -> DataFrame:
+    """(id, root) after links (a, b) between ids join what they reach."""
+    ends = links.join(roots.select(F.col("id").alias("a"), F.col("root").alias("u")), "a").join(roots.select(F.col("id").alias("b"), F.col("root").alias("v")), "b")
+    found = components(ends.where("u <> v").select(F.col("u").alias("a"), F.col("v").alias("b")))
+    moved = roots.join(found.select(F.col("id").alias("root"), F.col("root").alias("_to")), "root", "left")
+    return written(moved.select("id", F.coalesce("_to", "root").alias("root")), "near-roots")
 
 
-def _across(buckets: DataFrame, nodes: DataFrame, similarity: int) -> DataFrame:
-    """Pairs of different components that share a bucket and that the registers don't rule out. buckets: (key, id, root)."""
+def _across(buckets: DataFrame, roots: DataFrame, nodes: DataFrame, sets: DataFrame, similarity: int, nearest: int | None = None) -> DataFrame:
+    """Confirmed links (a, b) of different components that share a bucket.
+
+    With `nearest`, only so many of the likeliest partners of each member outside the bucket's largest component, within one block.
+    Pairs that the registers don't rule out stay inside their block: a row for each member names its partners, and gets its set.
+    """
+    buckets = buckets.join(roots, "id").select("key", "id", "root")
     mixed = buckets.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count("*").alias("size")).where("lo <> hi").select("key", "size")
     members = buckets.join(mixed, "key").withColumn("blocks", F.ceil(F.col("size") / BLOCK)).withColumn("own", F.pmod(F.xxhash64("id"), F.col("blocks")))
-    # a bucket of several blocks is looked at block pair by block pair
-    pairs = members.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
-    pairs = pairs.select("key", F.least("own", "other").alias("x"), F.greatest("own", "other").alias("y"), "own", "id", "root").join(nodes.select("id", "n", "regs"), "id")
+    if nearest:
+        pairs = members.select("key", F.col("own").alias("x"), F.col("own").alias("y"), "own", "id", "root")
+    else:  # a bucket of several blocks is looked at block pair by block pair
+        pairs = members.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
+        pairs = pairs.select("key", F.least("own", "other").alias("x"), F.greatest("own", "other").alias("y"), "own", "id", "root")
 
     def look(table: pa.Table) -> pa.Table:
         ids, roots, own, n = (table[c].to_numpy() for c in ("id", "root", "own", "n"))
         regs = np.frombuffer(b"".join(table["regs"].to_pylist()), np.uint16).reshape(-1, M)
+        keys, key = band_keys(regs), np.int64(table["key"][0].as_py()).view(np.uint64)
+        band = int(np.flatnonzero(keys[0] == key)[0])
         cross = own.min() != own.max()
-        out: list[np.ndarray] = []
+        found: list[tuple[int, np.ndarray]] = []
+        names, sizes = np.unique(roots, return_counts=True)
+        largest = names[sizes.argmax()]
         for i in range(len(ids)):
-            other = np.flatnonzero((roots != roots[i]) & ((own != own[i]) & (own[i] < own) if cross else ids > ids[i]))
+            if nearest and roots[i] == largest:
+                continue
+            other = np.flatnonzero((roots != roots[i]) & (nearest is not None or ((own != own[i]) & (own[i] < own) if cross else ids > ids[i])))
+            if band and len(other):
+                other = other[~(keys[other, :band] == keys[i, :band]).any(1)]
             if len(other):
-                ok = other[may_link(np.broadcast_to(regs[i], (len(other), M)), regs[other], np.broadcast_to(n[i], len(other)), n[other], similarity)]
+                likely = link_estimate(np.broadcast_to(regs[i], (len(other), M)), regs[other], np.full(len(other), n[i]), n[other], similarity)
+                ok = np.flatnonzero(likely >= 0)
+                if nearest and len(ok) > nearest:
+                    ok = ok[np.argpartition(-likely[ok], nearest)[:nearest]]
                 if len(ok):
-                    out.append(np.stack([np.minimum(ids[i], ids[ok]), np.maximum(ids[i], ids[ok])]))
-        a, b = np.concatenate(out, 1) if out else np.zeros((2, 0), np.int64)
-        return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
-
-    return pairs.groupBy("key", "x", "y").applyInArrow(look, "a long, b long").distinct()
+                    found.append((i, other[ok]))
+        partners: dict[int, list[int]] = {}
+        for i, js in found:
+            partners.setdefault(i, []).extend(ids[js].tolist())
+            for j in js.tolist():
+                partners.setdefault(j, [])
+        at = pa.array([*partners], pa.int64())
+        return table.select(["key", "x", "y", "id"]).take(at).append_column("partners", pa.array([*partners.values()], pa.list_(pa.int64())))
+
+    def confirm(table: pa.Table) -> pa.Table:
+        ids = table["id"].to_pylist()
+        held = dict(zip(ids, (np.frombuffer(x, np.uint64) for x in table["set"].to_pylist()), strict=True))
+        left, right = [], []
+        for i, others in zip(ids, table["partners"].to_pylist(), strict=True):
+            if others:
+                own, them = held[i], [held[j] for j in others]
+                sizes = np.array([len(t) for t in them])
+                joined = np.concatenate(them)
+                at = np.minimum(np.searchsorted(own, joined), len(own) - 1)
+                both = np.add.reduceat(own[at] == joined, np.cumsum(sizes) - sizes, dtype=np.int64)
+                linked = np.flatnonzero(100 * both >= similarity * (len(own) + sizes - both))
+                left += [i] * len(linked)
+                right += [others[k] for k in linked]
+        return pa.table({"a": pa.array(left, pa.int64()), "b": pa.array(right, pa.int64())})
+
+    shape = pairs.join(nodes.select("id", "n", "regs"), "id").groupBy("key", "x", "y").applyInArrow(look, "key long, x long, y long, id long, partners array<long>")
+    members = written(shape, "near-partners")
+    return members.join(sets, "id").groupBy("key", "x", "y").applyInArrow(confirm, "a long, b long").distinct()
 
 
 def near_duplicates(docs: DataFrame, doc: str = "doc_id", text: str = "text", width: int = 5, similarity: int = SIMILARITY) -> DataFrame:
@@ -241,13 +304,12 @@ def near_duplicates(docs: DataFrame, doc: str = "doc_id", text: str = "text", wi
     stars = written(_filtered(buckets.where("id <> least").select(F.col("least").alias("a"), F.col("id").alias("b")).distinct(), nodes, similarity), "near-stars")
     source = docs.select(F.coalesce(F.col(doc).cast("long"), no_id).alias("own"), F.coalesce(F.col(text), F.lit("")).alias("text"))
     sets = written(_sets(source, buckets.select("id").distinct().join(nodes.select("id", "own"), "id"), width), "near-sets", codec="none")
-    links = written(_confirmed(stars, sets, similarity), "near-links")
-    roots = nodes.select("id").join(components(links), "id", "left").withColumn("root", F.coalesce("root", "id"))
-    rest = written(_across(buckets.join(roots, "id").select("key", "id", "root"), nodes, similarity), "near-rest")
+    roots = _merged(nodes.select("id", F.col("id").alias("root")), _confirmed(stars, sets, similarity))
+    for nearest in (NEAREST, None):
+        roots = _merged(roots, _across(buckets, roots, nodes, sets, similarity, nearest))
     # rows that share an id are one document, whatever their sets
     named = full.groupBy("own").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).where("lo <> hi").select("own", "lo")
-    alike = full.join(named, "own").where("id <> lo").select(F.col("lo").alias("a"), F.col("id").alias("b"))
-    final = components(links.unionByName(_confirmed(rest, sets, similarity)).unionByName(alike))
+    final = _merged(roots, full.join(named, "own").where("id <> lo").select(F.col("lo").alias("a"), F.col("id").alias("b")))
     placed = rows.select("doc", "own", "n", "id").join(final, "id", "left").withColumn("root", F.coalesce("root", "id"))
     placed = written(placed.select("doc", "own", "n", "root"), "near-placed")
     least = placed.where("n > 0").groupBy("root").agg(F.min("own").alias("least"))
@@ -264,7 +326,7 @@ def _sets(source: DataFrame, involved: DataFrame, width: int) -> DataFrame:
             same = [int.from_bytes(digest(s)[:8], "little", signed=True) == i for s, i in zip(sets, b.column("id").to_pylist(), strict=True)]
             yield pa.RecordBatch.from_arrays([b.column("id"), pa.array([s.tobytes() for s in sets], pa.binary())], names=["id", "set"]).filter(pa.array(same, pa.bool_()))
 
-    got = source.join(involved.hint("shuffle_hash"), "own").select("id", "text").mapInArrow(run, "id long, set binary")
+    got = source.join(involved.hint("shuffle_hash"), "own").select("id", "text").mapInArrow(lean(run), "id long, set binary")
     return got.groupBy("id").agg(F.first("set").alias("set"))
 
 
