@@ -34,7 +34,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from dictparse.llm.common import map_batches, read, shared_dir, texts_of, written
+from dictparse.llm.common import lean, map_batches, read, shared_dir, texts_of, written
 from dictparse.llm.hashing import between, mix, powers, running
 
 LENGTH = 200
@@ -239,7 +239,7 @@ def _over(table: DataFrame, answers: dict[str, DataFrame], make: Callable[[int,
                 chunk = Chunk(np.frombuffer(b.column("data")[i].as_py(), np.uint8), starts, length)
                 yield from make(b.column("chunk")[i].as_py(), chunk, {k: v[i].as_py() for k, v in heard.items()}, b.column("docs")[i].as_py())
 
-    return table.mapInArrow(run, schema)
+    return table.mapInArrow(lean(run), schema)
 
 
 _ASKED = "group int, chunk long, keys binary, more binary"

@@ -47,7 +47,7 @@ def _words(text: str) -> set[str]:
 class Hasher:
     """64-bit hashes of a text's features, remembered up to a bound."""
 
-    def __init__(self, bound: int = 300_000):
+    def __init__(self, bound: int = 150_000):
         self.bound, self.known = bound, {}
 
     def features(self, text: str) -> np.ndarray:
