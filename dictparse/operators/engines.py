@@ -78,16 +78,14 @@ SELECT {key}, x, CAST(beg AS BIGINT) AS beg, len, kind FROM run WHERE x > 0"""
     )
 
 
-def rounds(df: DataFrame, ids: list[str], every: int = 8) -> DataFrame:
-    """One factor of every unfinished text for each round, by joins of the frontier with the entries; lineage is cut every few rounds."""
+def rounds(df: DataFrame, ids: list[str]) -> DataFrame:
+    """One factor of every unfinished text for each round, by joins of the frontier with the entries; each round cuts the lineage."""
     source = df.withColumn("_n", F.length("_text"))
     frontier = source.select(*ids, F.lit(1).alias("_pos"), F.lit(0).alias("_x"))
     done = None
-    turn = 0
     while True:
-        turn += 1
         here = frontier.join(source, ids).where("_pos <= _n")
-        if turn % every == 1 and not here.limit(1).count():
+        if not here.limit(1).count():
             break
         rest = F.substring(F.col("_text"), F.col("_pos"), F.col("_n"))
         known = done.select(*ids, "piece") if done is not None else frontier.where("false").select(*ids, F.lit("").alias("piece"))
@@ -98,9 +96,7 @@ def rounds(df: DataFrame, ids: list[str], every: int = 8) -> DataFrame:
         a = F.col("_l1") + F.when(F.col("_pos") + F.col("_l1") > F.col("_n"), 0).otherwise(F.greatest(F.lit(1), F.col("_l2")))
         found = both.withColumn("_a", a).withColumn("len", F.greatest("_a", "_c")).withColumn("kind", F.when(F.col("_a") >= F.col("_c"), "combine").otherwise("cut"))
         step = found.select(*ids, (F.col("_x") + 1).alias("x"), F.col("_pos").cast("long").alias("beg"), "len", "kind", F.expr("left(_rest, len)").alias("piece"))
-        done = step if done is None else done.unionByName(step)
-        if turn % every == 0:
-            done = _cut_lineage(done)
+        done = _cut_lineage(step if done is None else done.unionByName(step))
         frontier = done.groupBy(*ids).agg((F.max(F.col("beg") + F.col("len"))).cast("int").alias("_pos"), F.max("x").alias("_x"))
     return done.drop("piece")
 

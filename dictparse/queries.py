@@ -633,18 +633,12 @@ def byte_symbols(spark, sf):
 
 # ---- other surfaces: UDFs, table functions, engines
 
-_CUT_SQL = _with({"f": "pair_cut"}, SETS["part_"][2], "SELECT id AS p_partkey, x, beg, len, kind FROM f")
-for _engine in ("fold", "recursive"):
+for _engine, _key, _texts, _source in (("fold", "p_partkey", W.part_names, SETS["part_"][2]), ("recursive", "n_nationkey", W.nation_names, "SELECT n_nationkey AS id, n_name AS t FROM nation"), ("rounds", "n_nationkey", W.nation_names, "SELECT n_nationkey AS id, n_name AS t FROM nation")):
 
-    def _engine_query(spark, sf, engine=_engine):
-        return factorize(W.part_names(spark, sf), "text", ["id"], scheme="pair_cut", engine=engine).select(F.col("id").alias("p_partkey"), "x", "beg", "len", "kind")
+    def _engine_query(spark, sf, engine=_engine, key=_key, texts=_texts):
+        return factorize(texts(spark, sf), "text", ["id"], scheme="pair_cut", engine=engine).select(F.col("id").alias(key), "x", "beg", "len", "kind")
 
-    add(f"{_engine}_cut", _CUT_SQL)(_engine_query)
-
-
-@add("rounds_cut", _CUT_SQL)
-def rounds_cut(spark, sf):
-    return factorize(W.part_names(spark, sf), "text", ["id"], scheme="pair_cut", engine="rounds").select(F.col("id").alias("p_partkey"), "x", "beg", "len", "kind")
+    add(f"{_engine}_cut", _with({"f": "pair_cut"}, _source, f"SELECT id AS {_key}, x, beg, len, kind FROM f"))(_engine_query)
 
 
 @add("udtf_cut", _with({"f": "pair_cut"}, SETS[""][2], "SELECT id AS item_id, x, len, piece FROM f"))

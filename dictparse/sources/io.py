@@ -47,6 +47,11 @@ def register(spark: SparkSession, sf_dir: str) -> None:
 
 
 def stream_events(spark: SparkSession, path: str, files_per_batch: int = 1) -> DataFrame:
-    """Events as a stream of Parquet files."""
+    """Events as a stream of Parquet files: a folder of them, or a single file, which is taken by name from its folder."""
     schema = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
-    return spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_batch).parquet(path)
+    reader = spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_batch)
+    place = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    if place.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).getFileStatus(place).isDirectory():
+        return reader.parquet(path)
+    folder, _, name = path.rstrip("/").rpartition("/")
+    return reader.option("pathGlobFilter", name).parquet(folder)

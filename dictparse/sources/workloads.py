@@ -32,6 +32,10 @@ def part_names(spark: SparkSession, sf_dir: str) -> DataFrame:
     return load(spark, sf_dir, "part", ["p_partkey", "p_name"]).select(F.col("p_partkey").alias("id"), F.col("p_name").alias("text"))
 
 
+def nation_names(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return load(spark, sf_dir, "nation", ["n_nationkey", "n_name"]).select(F.col("n_nationkey").alias("id"), F.col("n_name").alias("text"))
+
+
 def pages(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Mark-up, the most repetitive of the large texts."""
     return load(spark, sf_dir, "pages", ["page_id", "html"]).select(F.col("page_id").alias("id"), F.col("html").alias("text"))
@@ -133,7 +137,7 @@ def prefix(df: DataFrame, n: int) -> DataFrame:
 EXAMPLE, LOOKAHEAD_EXAMPLE, EXTENSION_EXAMPLE = "aabbaabbbaabbbbbababaabccccbababc", "aaababaaaaaabaaab", "babababb"
 
 CATALOG = {
-    "documents": documents, "benchmark": items, "part_names": part_names, "pages": pages, "conversations": conversations, "languages": by_language, "sources": by_source,
+    "documents": documents, "benchmark": items, "part_names": part_names, "nation_names": nation_names, "pages": pages, "conversations": conversations, "languages": by_language, "sources": by_source,
     "event_types": event_types, "event_props": event_props, "event_values": event_values, "flags": flags, "quantities": quantities, "records": records, "vectors": vectors,
 }
 

@@ -7,7 +7,7 @@ import uuid
 from collections.abc import Iterator
 
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
@@ -128,9 +128,9 @@ def run_to_table(out: DataFrame, mode: str = "append", checkpoint: str | None =
 
 def settled(emitted: DataFrame) -> DataFrame:
     """The factors of a replayed stream: all final ones, and the rest as the last micro-batch left it."""
-    last = emitted.where("x = 0").groupBy("key").agg(F.max(F.struct("block_id", "seen")).alias("last"))
-    rest = emitted.where("x > 0 AND NOT final").join(last, "key").where("block_id = last.block_id AND seen = last.seen").drop("last")
-    return emitted.where("x > 0 AND final").unionByName(rest).dropDuplicates(["key", "block_id", "x", "beg"]).select("key", "block_id", "x", "beg", "len", "kind")
+    last = F.max(F.when(F.col("x") == 0, F.struct("block_id", "seen"))).over(Window.partitionBy("key"))
+    marked = emitted.withColumn("last", last).where("x > 0 AND (final OR (block_id = last.block_id AND seen = last.seen))")
+    return marked.dropDuplicates(["key", "block_id", "x", "beg"]).select("key", "block_id", "x", "beg", "len", "kind")
 
 
 def tumbling(stream: DataFrame, size: str = "1 hour", slide: str | None = None) -> DataFrame:
