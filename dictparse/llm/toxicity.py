@@ -195,7 +195,7 @@ class Linear:
     """Logistic regression on votes and hashed features, fitted by whole-batch gradient steps."""
 
     def __init__(self, features: list[np.ndarray], patterns: np.ndarray, target: np.ndarray, rounds: int = 200):
-        size = np.array([len(f) for f in features])
+        size = np.array([len(f) for f in features], np.int64)
         row = np.repeat(np.arange(len(features), dtype=np.int32), size)
         column = np.concatenate([_columns(f).astype(np.int32) for f in features]) if len(features) else np.zeros(0, np.int32)
         value = (1 / np.sqrt(np.maximum(size, 1))).astype(np.float32)[row]
