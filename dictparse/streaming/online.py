@@ -76,43 +76,58 @@ class OnlineParser:
             self._take((self.at, size, "", None, None, None, None, None))
 
 
-STATE = "text string, lengths array<int>, block int, last timestamp, late long"
+STATE = "text string, lengths array<int>, block int, seen long, last timestamp, late long, times array<timestamp>, orders array<long>, pieces array<string>"
 OUT = "key long, block_id int, x int, beg long, len int, kind string, final boolean, seen long, late long"
 
 
 def _on_rows(scheme: str, block_symbols: int):
+    """Rows wait until the watermark has passed them, are then appended in order, and what comes behind them is counted and left out."""
+
     def update(key: tuple, pdfs: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        text, lengths, block, last, late = state.get if state.exists else ("", [], 0, None, 0)
-        rows = pd.concat([*pdfs]).sort_values(["ts", "ord"], kind="stable")
-        if last is not None:  # symbols are appended in order: what comes behind is counted and left out
+        text, lengths, block, seen, last, late, *waiting = state.get if state.exists else ("", [], 0, 0, None, 0, [], [], [])
+        held = pd.DataFrame({"ts": pd.to_datetime(pd.Series([*waiting[0]], dtype="datetime64[ns]")), "ord": pd.Series([*waiting[1]], dtype="int64"), "piece": pd.Series([*waiting[2]], dtype="object")})
+        fresh = pd.concat([p[["ts", "ord", "piece"]] for p in pdfs])
+        rows = fresh if held.empty else pd.concat([held, fresh])
+        rows = rows.assign(piece=rows["piece"].fillna("")).sort_values(["ts", "ord"], kind="stable")
+        if last is not None:
             behind = rows["ts"] < pd.Timestamp(last)
             late, rows = int(late) + int(behind.sum()), rows[~behind]
+        ready = rows["ts"] <= pd.Timestamp(state.getCurrentWatermarkMs(), unit="ms")
         out: list[tuple] = []
         parser = OnlineParser(scheme)
         parser.resume(text, [*lengths])
 
+        def feed(pieces: pd.Series, final: bool) -> None:
+            nonlocal parser, block, seen
+            for piece in pieces:
+                seen += len(piece)
+                emit(parser.feed(piece), final)
+                if parser.rules.n >= block_symbols:  # state stays bounded: this block ends, the next has its own dictionary
+                    emit(parser.close(), final)
+                    parser, block = OnlineParser(scheme), block + 1
+
         def emit(factors: list[Factor], final: bool) -> None:
             for k, f in enumerate(factors, parser.x - len(factors) + 1):
-                out.append((key[0], block, k, f[0] + 1, f[1], f[2], final, parser.rules.n, late))
-
-        for piece in rows["piece"]:
-            emit(parser.feed(piece), True)
-            if parser.rules.n >= block_symbols:  # state stays bounded: this block ends, the next has its own dictionary
-                emit(parser.close(), True)
-                parser, block = OnlineParser(scheme), block + 1
-        if len(rows):
-            last = rows["ts"].iloc[-1]
-        state.update((parser.rules.text, parser.rules.lengths[1:], block, last.to_pydatetime() if last is not None else None, late))
-        seen = parser.rules.n
-        emit(parser.close(), False)  # what the rest would be if nothing more came
-        out.append((key[0], block, 0, 0, 0, "", False, seen, late))
-        yield pd.DataFrame(out, columns=[c.split()[0] for c in OUT.split(", ")])
+                out.append([key[0], block, k, f[0] + 1, f[1], f[2], final, None, late])
+
+        feed(rows["piece"][ready], True)
+        if ready.any():
+            last = rows["ts"][ready].iloc[-1]
+        rest = rows[~ready]
+        at = pd.Timestamp(last).to_pydatetime() if last is not None else None
+        state.update((parser.rules.text, parser.rules.lengths[1:], block, seen, at, late, [t.to_pydatetime() for t in rest["ts"]], [int(o) for o in rest["ord"]], [*rest["piece"]]))
+        feed(rest["piece"], False)  # what the rest would be if nothing more came
+        emit(parser.close(), False)
+        out.append([key[0], block, 0, 0, 0, "", False, None, late])
+        frame = pd.DataFrame(out, columns=[c.split()[0] for c in OUT.split(", ")])
+        frame["seen"] = seen
+        yield frame
 
     return update
 
 
 def factors_of_stream(stream: DataFrame, key: str, ts: str, order: str, piece, scheme: str = "pair_cut", block_symbols: int = 1 << 20, watermark: str = "10 minutes") -> DataFrame:
-    """Factor rows of every key as its pieces arrive. Rows with final = false are the rest at that moment (x = 0: only its length)."""
+    """Factor rows of every key as its pieces arrive. Rows with final = false are the rest at that moment."""
     rows = stream.select(F.col(key).cast("long").alias("key"), F.col(ts).alias("ts"), F.col(order).alias("ord"), piece.alias("piece")).withWatermark("ts", watermark)
     return rows.groupBy("key").applyInPandasWithState(_on_rows(scheme, block_symbols), OUT, STATE, "append", GroupStateTimeout.NoTimeout)
 
@@ -128,8 +143,8 @@ def run_to_table(out: DataFrame, mode: str = "append", checkpoint: str | None =
 
 def settled(emitted: DataFrame) -> DataFrame:
     """The factors of a replayed stream: all final ones, and the rest as the last micro-batch left it."""
-    last = F.max(F.when(F.col("x") == 0, F.struct("block_id", "seen"))).over(Window.partitionBy("key"))
-    marked = emitted.withColumn("last", last).where("x > 0 AND (final OR (block_id = last.block_id AND seen = last.seen))")
+    last = F.max("seen").over(Window.partitionBy("key"))
+    marked = emitted.withColumn("last", last).where("x > 0 AND (final OR seen = last)")
     return marked.dropDuplicates(["key", "block_id", "x", "beg"]).select("key", "block_id", "x", "beg", "len", "kind")
 
 

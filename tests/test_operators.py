@@ -1,4 +1,5 @@
 import pytest
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from dictparse import measures
@@ -103,7 +104,10 @@ def test_sinks(spark, rows, tmp_path):
 
 
 def test_stream_is_independent_of_batches(spark, tmp_path):
-    io.load(spark, SF, "events").repartitionByRange(5, "ts").write.parquet(str(tmp_path / "events"))
+    events = io.load(spark, SF, "events")
+    for k in range(4):  # files in time order, with neighbours swapped over a few minutes
+        at = F.percent_rank().over(Window.orderBy(F.xxhash64("event_id") % 120 + F.unix_timestamp("ts")))
+        events.withColumn("_p", at).where(f"_p >= {k} / 4 AND (_p < {k + 1} / 4 OR {k} = 3)").drop("_p").coalesce(1).write.mode("append").parquet(str(tmp_path / "events"))
     stream = io.stream_events(spark, str(tmp_path / "events"))
     out = online.factors_of_stream(stream, "user_id", "ts", "event_id", F.substring("event_type", 1, 1))
     got = online.settled(online.run_to_table(out, checkpoint=str(tmp_path / "c")))
