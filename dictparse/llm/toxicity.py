@@ -40,8 +40,11 @@ PATTERNS = 4
 VOTERS = 1 + KINDS * SPLIT + PATTERNS
 
 
+_WORD = re.compile(r"[^\W_]+")
+
+
 def _words(text: str) -> set[str]:
-    return set(re.findall(r"[^\W_]+", text.lower()))
+    return set(_WORD.findall(text.lower()))
 
 
 class Hasher:
@@ -50,25 +53,27 @@ class Hasher:
     def __init__(self, bound: int = 150_000):
         self.bound, self.known = bound, {}
 
-    def features(self, text: str) -> np.ndarray:
+    def _add(self, word: str) -> tuple[int, ...]:
+        """The word's hash and those of its beginnings (0 where it has none), last two bits clear."""
         import xxhash
 
+        hashed = xxhash.xxh3_64_intdigest
+        stems = ((hashed((word[:n] + "\0").encode()) & ~3) if len(word) > n else 0 for n in STEMS)
+        self.known[word] = out = (hashed(word.encode()) & ~3, *stems)
+        return out
+
+    def features(self, text: str) -> np.ndarray:
         if len(self.known) > self.bound:
             self.known = {}
-        known, words = self.known, _words(text)
-        out = []
-        for w in words:
-            h = known.get(w)
-            if h is None:
-                h = known[w] = xxhash.xxh3_64_intdigest(w.encode()) & ~3
-            out.append(h)
-        for size in STEMS:
-            for stem, n in Counter(w[:size] for w in words if len(w) > size).items():
-                key = stem + "\0"
-                h = known.get(key)
-                if h is None:
-                    h = known[key] = xxhash.xxh3_64_intdigest(key.encode()) & ~3
-                out += [h | k for k in range(1, min(n, 3) + 1)]
+        get, add = self.known.get, self._add
+        each = [get(w) or add(w) for w in _words(text)]
+        out = [t[0] for t in each]
+        for k in range(1, len(STEMS) + 1):
+            stems = Counter([t[k] for t in each])
+            stems.pop(0, None)
+            out += [s | 1 for s in stems]
+            out += [s | 2 for s, n in stems.items() if n > 1]
+            out += [s | 3 for s, n in stems.items() if n > 2]
         return np.array(out, np.uint64)
 
 
