@@ -39,7 +39,8 @@ def walk(trie: RadixDictionary, at: int, gate: int = NEVER, lce=None) -> tuple[i
             entry, entry_size = trie.entry[node], done
             cut = entry
             if lce is not None:
-                reach = done + lce(at, at + done)
+                # most entries aren't followed by their own first symbol
+                reach = done + lce(at, at + done) if at + done < n and text[at] == text[at + done] else done
                 if reach > power_size:
                     base, power_size = entry, reach
         else:
@@ -65,9 +66,9 @@ def longest_power(trie: RadixDictionary, at: int, lce, gate: int = NEVER) -> tup
 
 
 def with_symbol(trie: RadixDictionary, at: int, lce, base: int, size: int) -> tuple[int, int]:
-    if at + 1 < len(trie.text):
+    if at + 1 < len(trie.text) and trie.text[at] == trie.text[at + 1]:
         run = 1 + lce(at, at + 1)
-        if run >= 2 and run >= size:
+        if run >= size:
             return 0, run
     return base, size
 
