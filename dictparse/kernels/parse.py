@@ -7,6 +7,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import dataclass, field
+from itertools import islice
 
 from dictparse.kernels import lce as extensions
 from dictparse.kernels import search
@@ -140,7 +141,7 @@ def greedy(rules: Rules) -> Iterator[Factor]:
 class Parse:
     """A parse: its phrases, its entries where these aren't the phrases, and the rules with their dictionary and counters."""
 
-    def __init__(self, text: Text, scheme: str, lookahead: str = "none", **options):
+    def __init__(self, text: Text, scheme: str, lookahead: str = "none", stop_above: int | None = None, **options):
         if scheme not in SCHEMES or lookahead not in LOOKAHEADS:
             raise ValueError(f"unknown parse {scheme}/{lookahead}")
         if lookahead != "none" and scheme == "pair":
@@ -149,7 +150,10 @@ class Parse:
             raise ValueError("a seeded parse's entries aren't its phrases")
         self.rules = Rules(text, scheme, **options)
         self.entries: list[Factor] | None = None
-        self.phrases = [*(greedy(self.rules) if lookahead == "none" else getattr(self, "_" + lookahead)())]
+        found = greedy(self.rules) if lookahead == "none" else getattr(self, "_" + lookahead)()
+        self.phrases = [*(found if stop_above is None else islice(found, stop_above + 1))]
+        # a parse that is given up has one phrase too many, and no count
+        self.given_up = stop_above is not None and len(self.phrases) > stop_above
 
     def _clipped(self, token: Factor, length: int) -> Factor:
         return clip(token, length, self.rules.lengths[token[3]] if token[2] == "repeat" and token[3] else 1)

@@ -41,7 +41,7 @@ def parse(text: str, spec: ParseSpec) -> Parse:
 def summary_row(text: str, spec: ParseSpec) -> tuple:
     began = time.perf_counter()
     peak = resource.getrusage(resource.RUSAGE_SELF).ru_maxrss / 1024
-    if spec.name in ("step", "seeded") and spec.children == "hash":
+    if spec.name in ("step", "seeded") and spec.children == "hash" and spec.stop_above is None:
         # counting needs no tokens: a node for each entry, one lookup for each symbol
         sigma = len(set(text))
         z = count_step(text) if spec.name == "step" else count_seeded(text)
@@ -52,7 +52,7 @@ def summary_row(text: str, spec: ParseSpec) -> tuple:
     kinds = [f[2] for f in p.phrases]
     trie = p.rules.trie
     counts = [kinds.count(k) for k in ("combine", "cut", "repeat")]
-    return (len(text), len(set(text)), len(kinds), *counts, trie.nodes, trie.split_nodes, trie.lookups, trie.compared, took, resource.getrusage(resource.RUSAGE_SELF).ru_maxrss / 1024)
+    return (len(text), len(set(text)), None if p.given_up else len(kinds), *counts, trie.nodes, trie.split_nodes, trie.lookups, trie.compared, took, resource.getrusage(resource.RUSAGE_SELF).ru_maxrss / 1024)
 
 
 def _batch(rows: list[tuple], names: list[str], kinds: list[pa.DataType]) -> pa.RecordBatch:

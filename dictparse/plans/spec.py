@@ -34,6 +34,7 @@ class ParseSpec:
     children: str = "hash"
     fused: bool = True
     symbol_runs: bool = True
+    stop_above: int | None = None
 
     def __post_init__(self) -> None:
         for value, known in ((self.scheme, SCHEMES), (self.lookahead, LOOKAHEADS), (self.symbols, ("codepoint", "byte")), (self.lce, BACKENDS), (self.children, CHILDREN)):
@@ -48,7 +49,7 @@ class ParseSpec:
 
     @property
     def options(self) -> dict:
-        return {"lce_kind": self.lce, "children": self.children, "fused": self.fused, "symbol_runs": self.symbol_runs}
+        return {"lce_kind": self.lce, "children": self.children, "fused": self.fused, "symbol_runs": self.symbol_runs, "stop_above": self.stop_above}
 
 
 def named(name: str, **options) -> ParseSpec:

@@ -56,6 +56,11 @@ def test_spec_is_validated():
             ParseSpec(**bad)
 
 
+def test_texts_over_a_limit_are_given_up(rows):
+    counts = factor_counts(rows, "text", ["id"], schemes=["pair", "step"], stop_above=5)
+    assert {(r.id, r.scheme): r.z for r in counts.where("id IN (1, 4)").collect()} == {(1, "pair"): None, (1, "step"): None, (4, "pair"): 1, (4, "step"): 1}
+
+
 def test_scan_reads_two_columns(spark):
     docs = io.load(spark, SF, "documents")
     plan = factor_counts(docs, "text", ["doc_id"], schemes=["pair"], where="lang = 'en'", reuse_equal_texts=False)._jdf.queryExecution().toString()
