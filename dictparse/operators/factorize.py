@@ -125,7 +125,10 @@ def parse_many(df: DataFrame, text_col: str, id_cols: list[str], specs: list[Par
         return _kernel(dealt(blocks_of(narrow, "_text", block_symbols)), id_cols, specs, what, keep_text)
     keyed = narrow.withColumn("_hash", F.sha2("_text", 256))
     distinct = keyed.groupBy("_hash").agg(F.first("_text").alias("_text"))
-    once = _kernel(dealt(blocks_of(distinct, "_text", block_symbols)), ["_hash"], specs, what, keep_text)
+    # the group-by combines copies before its shuffle; its few merged partitions are then dealt out for the kernel
+    session = df.sparkSession
+    tasks = max(2 * session.sparkContext.defaultParallelism, int(session.conf.get("spark.sql.shuffle.partitions")))
+    once = _kernel(blocks_of(distinct, "_text", block_symbols).repartition(tasks), ["_hash"], specs, what, keep_text)
     return keyed.select(*id_cols, "_hash").join(once, "_hash").drop("_hash")
 
 
