@@ -49,7 +49,8 @@ def trigger_places(data: np.ndarray, prefix: np.ndarray, width: int = WIDTH, eve
         return np.zeros(0, np.int64)
     h = prefix[width:] - prefix[:-width]
     h *= powers(0, True, len(prefix))[: len(h)]
-    return np.flatnonzero(mix(h) % np.uint64(every) == 0)
+    h *= np.uint64(0xC2B2AE3D27D4EB4F)
+    return np.flatnonzero(h < np.uint64((1 << 64) // every))
 
 
 def corpus_order(text: bytes, width: int = WIDTH, every: int = EVERY) -> np.ndarray:
