@@ -23,10 +23,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from dictparse.llm.common import map_batches, read, texts_of
+from dictparse.llm.common import give_back, map_batches, read, texts_of
 
 #: Labelled rows read for the lexicons, at most; those of them that train the classifier, at most; its hashed weights.
-SAMPLE, FITTED, SPACE = 10_000, 5_000, 1 << 18
+SAMPLE, FITTED, SPACE = 8_000, 4_000, 1 << 18
 #: Lengths of words' beginnings that count as features of their own.
 STEMS = (4, 6)
 #: A small public lexicon of insults.
@@ -242,7 +242,10 @@ def fit(docs: DataFrame, labels: DataFrame, doc: str = "doc_id", text: str = "te
     model = LabelModel(np.array([r.p for r in rows] or [0], np.int64), np.array([r.n for r in rows] or [1], np.int64), float(np.clip(y.mean(), 0.01, 0.4)) if len(y) else 0.1)
     features = features[:FITTED]
     patterns = np.array([votes.pattern("", f) for f in features], np.int64)
-    return votes, model, Linear(features, patterns, model.posterior(patterns) if len(patterns) else np.zeros(0))
+    linear = Linear(features, patterns, model.posterior(patterns) if len(patterns) else np.zeros(0))
+    del features
+    give_back()
+    return votes, model, linear
 
 
 def scored(docs: DataFrame, labels: DataFrame, doc: str = "doc_id", text: str = "text", label: str = "toxic", sample: int = SAMPLE) -> DataFrame:
