@@ -21,7 +21,7 @@ from __future__ import annotations
 import html as entities
 import re
 from collections import Counter
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -31,8 +31,10 @@ from dictparse.llm.common import map_batches, read, texts_of, written
 
 #: Pages that a class needs, and the share of the host's pages that must hold a word of boilerplate.
 MIN_PAGES, MIN_SHARE = 5, 0.9
-#: Tokens of all templates sent to the executors; beyond it the templates come by a join on the host.
-MAX_SENT = 200_000
+#: Hosts with a template, and bytes of all templates, that are sent to the executors; beyond either each page gets its own part by a join.
+MAX_SENT, MAX_BYTES = 200_000, 16 << 20
+#: Parts into which a token's pages are dealt in that join.
+PARTS = 16
 
 #: Elements whose text is never content, elements without end tag, elements that open a block.
 _RAW = frozenset("script style noscript template svg math iframe object canvas textarea select option button head title".split())
@@ -136,6 +138,10 @@ class Page:
                 for w in text.split():
                     yield path, w
 
+    def tokens(self) -> Counter[str]:
+        """How often the page holds each of its tokens."""
+        return Counter([*self.tags, *(f"{path} {w}" for path, w in self.words())])
+
     def text(self, template: frozenset[str] = frozenset()) -> str:
         """Text of the slots that remain, block by block; runs all of whose words belong to the template are no slots."""
         out: list[str] = []
@@ -180,7 +186,7 @@ def classes(pages: DataFrame, url: str = "url", html: str = "html") -> DataFrame
         for b in batches:
             for u, t in zip(b.column("url").to_pylist(), texts_of(b, "html"), strict=True):
                 p, host, page = Page(t.decode()), host_of(u), xxhash.xxh3_64_intdigest(t) >> 1
-                for token, n in Counter([*p.tags, *(f"{path} {w}" for path, w in p.words())]).items():
+                for token, n in p.tokens().items():
                     v = held.get((host, token))
                     if v is None:
                         v = held[host, token] = [0, 0, []]
@@ -213,31 +219,45 @@ def templates(pages: DataFrame, url: str = "url", html: str = "html") -> DataFra
     return tokens.join(framed, ["host", "vector"]).join(whole, "host").where((F.col("framed") == 1) & (F.col("size") > 1) & (F.col("pages") >= MIN_SHARE * F.col("all"))).select("host", "token")
 
 
+def with_template(narrow: DataFrame, frame: DataFrame) -> tuple[DataFrame, Callable[[str | None, list[str] | None], frozenset[str]]]:
+    """(url, html, further columns) with `words`, and the function of url and `words` that gives the tokens of the host's template.
+
+    All templates are sent where hosts and bytes are few. Else `words` holds those of the template's tokens that the page has: its
+    tokens are joined with the templates' on host and token, so no template is ever in one row, however large it is.
+    """
+    none: frozenset[str] = frozenset()
+    whole = frame.agg(F.countDistinct("host").alias("hosts"), F.coalesce(F.sum(F.octet_length("token")), F.lit(0)).alias("bytes")).first()
+    if whole["hosts"] <= MAX_SENT and whole["bytes"] <= MAX_BYTES:
+        rows = frame.groupBy("host").agg(F.collect_list("token").alias("words")).collect()
+        sent = narrow.sparkSession.sparkContext.broadcast({r.host: frozenset(r.words) for r in rows})
+        return narrow.withColumn("words", F.lit(None).cast("array<string>")), lambda url, _: sent.value.get(host_of(url), none)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for row, u, t in zip(b.column("row").to_pylist(), b.column("url").to_pylist(), texts_of(b, "html"), strict=True):
+                own = [*Page(t.decode()).tokens()]
+                columns = [pa.array([row] * len(own), pa.int64()), pa.array([host_of(u)] * len(own), pa.string()), pa.array(own, pa.string())]
+                yield pa.RecordBatch.from_arrays(columns, names=["row", "host", "token"])
+
+    numbered = written(narrow.withColumn("row", F.monotonically_increasing_id()), "numbered-pages")
+    parts = frame.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(PARTS - 1))))
+    tokens = map_batches(numbered.select("row", "url", "html"), run, "row long, host string, token string")
+    tokens = tokens.withColumn("part", F.pmod(F.xxhash64("row"), F.lit(PARTS)).cast("int"))
+    found = tokens.join(parts, ["host", "token", "part"]).groupBy("row").agg(F.collect_list("token").alias("words"))
+    return numbered.join(found, "row", "left").drop("row"), lambda _, words: frozenset(words or ())
+
+
 def extract(pages: DataFrame, page: str = "page_id", url: str = "url", html: str = "html") -> DataFrame:
     """page, url, text and n_chars of every row."""
-    frame = templates(pages, url, html).where(~F.col("token").contains("<"))
-    by_host = written(frame.groupBy("host").agg(F.collect_list("token").alias("words"), F.sum(F.octet_length("token")).alias("size")), "templates")
-    local = by_host.where(F.col("size") <= 1 << 20)
-    rows = local.limit(MAX_SENT + 1).collect() if local.select(F.coalesce(F.sum("size"), F.lit(0))).first()[0] <= 16 << 20 else None
+    frame = written(templates(pages, url, html).where(~F.col("token").contains("<")), "templates")
     narrow = pages.select(F.col(page).alias("page"), F.col(url).alias("url"), F.col(html).alias("html"))
     kind = pages.schema[page].dataType.simpleString()
-    if rows is not None:
-        # proven to be within 16 MB
-        sent = pages.sparkSession.sparkContext.broadcast({r.host: frozenset(r.words) for r in rows})
-        source = narrow.withColumn("words", F.lit(None).cast("array<string>"))
-    else:
-        sent = None
-        source = narrow.withColumn("host", F.lower(F.regexp_extract(F.coalesce("url", F.lit("")), r"^[a-zA-Z][\w+.-]*://(?:[^/@]*@)?([^/:?#]*)", 1)))
-        source = source.join(local.select("host", "words"), "host", "left").select("page", "url", "html", "words")
+    source, template = with_template(narrow, frame)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        none: frozenset[str] = frozenset()
         for b in batches:
             urls, joined = b.column("url").to_pylist(), b.column("words").to_pylist()
-            found = []
-            for u, words, t in zip(urls, joined, texts_of(b, "html"), strict=True):
-                template = sent.value.get(host_of(u), none) if sent else frozenset(words or ())
-                found.append(Page(t.decode()).text(template))
+            found = [Page(t.decode()).text(template(u, words)) for u, words, t in zip(urls, joined, texts_of(b, "html"), strict=True)]
             yield pa.RecordBatch.from_arrays([b.column("page"), b.column("url"), pa.array(found, pa.string()), pa.array([len(x) for x in found], pa.int64())], names=["page", "url", "text", "n_chars"])
 
     return map_batches(source, run, f"page {kind}, url string, text string, n_chars long").withColumnRenamed("page", page)

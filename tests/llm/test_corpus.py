@@ -81,6 +81,22 @@ def test_template_words_go_and_content_stays(spark):
     assert got[40].text == "" and got[41].text == "" and got[42].text == "alone"
 
 
+def test_templates_of_any_size_and_number_reach_their_pages(spark, monkeypatch):
+    def page(k, frame):
+        return f"<html><body><div><i>{frame}</i></div><div><p>Story {k} of {k * 7} things</p></div></body></html>"
+
+    large = " ".join(f"boilerplate{k}" for k in range(40_000))  # a template of over 1 MiB
+    rows = [(k, f"https://large.example/{k}", page(k, large)) for k in range(6)]
+    rows += [(100 + 10 * h + k, f"http://h{h}.example:80/{k}", page(k, "Home Contact")) for h in range(5) for k in range(6)]
+    rows += [(200 + k, "No.Scheme/x", page(k, "Imprint")) for k in range(6)] + [(300, None, None)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string")
+    expected = sorted((i, f"Story {i % 10 if i >= 100 else i} of {(i % 10 if i >= 100 else i) * 7} things" if i != 300 else "") for i, _, _ in rows)
+    for hosts, size in ((200_000, 16 << 20), (2, 16 << 20), (200_000, 1000)):
+        monkeypatch.setattr(html_extraction, "MAX_SENT", hosts)
+        monkeypatch.setattr(html_extraction, "MAX_BYTES", size, raising=False)
+        assert sorted((r.page_id, r.text) for r in html_extraction.extract(pages).collect()) == expected
+
+
 def test_pages_of_the_smallest_tables(spark, duck):
     import html as entities
 
