@@ -3,11 +3,14 @@
 A page is a sequence of tokens: tags, and the words between them. A token's role is told apart by its path of open elements. Over the
 pages of a host, tokens with one and the same occurrence vector (how often each page holds them) form an equivalence class; vectors
 are compared by an additive fingerprint, so counting them is an aggregation with partial sums and no host is gathered. Exact copies
-of a page are no evidence of a template. A class is valid if nearly all pages of the host hold it and it has more than one token, a tag among them;
-the valid classes, nested by their tokens' paths, make the host's template, and what lies between template tokens are slots. Words
-of a valid class are boilerplate and go with the template. Slots inside menus, headers, footers, sidebars, notices, adverts, forms,
+of a page are no evidence of a template. A class is valid if nearly all pages of the host hold it and it has more than one token, a tag among them.
+The tags of the valid classes are the template's frame. Classes nest by the frame: a word stays in its class only if it lies between
+the same two tags of the frame on nearly all pages that hold it, and what lies between template tokens are slots. Words of a valid
+class are boilerplate and go with the template. Inside an article or main element a word's role is told apart by its whole block, as
+words of prose recur by chance: all words of a block with one and the same text then have one vector, and are counted as one token.
+So a block that the host's pages repeat there goes, and words that stand beside a slot's content stay. Slots inside menus, headers, footers, sidebars, notices, adverts, forms,
 comments, scripts and styles are dropped too; the text of the remaining slots is the page's main text: that of the article or main
-element where a page has one (all of it, even if pages repeat it), else that of the whole body. A page of which nothing would
+element where a page has one, else that of the whole body. A page of which nothing would
 remain keeps its template's words.
 
 Hosts with fewer than MIN_PAGES pages give no template; their slots are judged by their elements alone.
@@ -20,8 +23,10 @@ from __future__ import annotations
 
 import html as entities
 import re
+from bisect import bisect_left
 from collections import Counter
 from collections.abc import Callable, Iterator
+from itertools import groupby
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -83,7 +88,7 @@ class Page:
     """
 
     def __init__(self, source: str):
-        self.runs: list[tuple[int, str, str, bool, bool]] = []  # block, path, text, skipped, inside the article
+        self.runs: list[tuple[int, str, str, bool, bool, int]] = []  # block, path, text, skipped, inside the article, tags before it
         self.tags: list[str] = []
         self.has_main = False
         stack: list[tuple[str, bool, bool]] = []  # name, skipped, main
@@ -97,9 +102,9 @@ class Page:
                     continue
                 if stack:
                     top = stack[-1]
-                    self.runs.append((block, "/".join(x[0] for x in stack[-4:]), piece, top[1], top[2]))
+                    self.runs.append((block, "/".join(x[0] for x in stack[-4:]), piece, top[1], top[2], len(self.tags)))
                 else:
-                    self.runs.append((block, "", piece, False, False))
+                    self.runs.append((block, "", piece, False, False, len(self.tags)))
                 continue
             name = _NAME.match(piece)
             if not name:
@@ -108,7 +113,7 @@ class Page:
             if tag in _BLOCK:
                 block += 1
             elif tag == "br" and stack:
-                self.runs.append((block, "", " ", stack[-1][1], stack[-1][2]))
+                self.runs.append((block, "", " ", stack[-1][1], stack[-1][2], len(self.tags)))
             if piece[1] == "/":
                 self.tags.append(f"</{tag}>")
                 for k in range(len(stack) - 1, -1, -1):
@@ -131,19 +136,40 @@ class Page:
                     stack.pop()
                 stack.append((tag, skipped, main))
 
-    def words(self) -> Iterator[tuple[str, str]]:
-        """(path, word) of text that could be boilerplate of the body; an article's words never are."""
-        for _, path, text, skipped, _ in self.runs:
-            if not skipped and not self.has_main:
-                for w in text.split():
-                    yield path, w
+    def roles(self) -> Iterator[tuple[int, str, int]]:
+        """(block, token, tags before it) of text that could be boilerplate: words of the body, or of an article its blocks as one."""
+        if not self.has_main:
+            for block, path, text, skipped, _, before in self.runs:
+                if not skipped:
+                    for w in text.split():
+                        yield block, f"{path} {w}", before
+            return
+        import xxhash
+
+        inside = ((run[0], run[1], w, run[5]) for run in self.runs if run[4] and not run[3] for w in run[2].split())
+        for block, own in groupby(inside, lambda x: x[0]):
+            _, path, word, before = next(own)
+            hashed = xxhash.xxh3_128(f"{path} {word}".encode())
+            for _, p, w, _ in own:
+                hashed.update(f"\n{p} {w}".encode())
+            yield block, f"{path} {hashed.hexdigest()}", before
 
     def tokens(self) -> Counter[str]:
         """How often the page holds each of its tokens."""
-        return Counter([*self.tags, *(f"{path} {w}" for path, w in self.words())])
+        return Counter([*self.tags, *(token for _, token, _ in self.roles())])
+
+    def places(self, template: frozenset[str]) -> dict[str, set[tuple[str, str]]]:
+        """For each word of the template the pairs of its tags that the word lies between."""
+        frame = [k for k, t in enumerate(self.tags) if t in template]
+        out: dict[str, set[tuple[str, str]]] = {}
+        for _, token, before in self.roles():
+            if token in template:
+                k = bisect_left(frame, before)
+                out.setdefault(token, set()).add((self.tags[frame[k - 1]] if k else "", self.tags[frame[k]] if k < len(frame) else ""))
+        return out
 
     def text(self, template: frozenset[str] = frozenset()) -> str:
-        """Text of the slots that remain, block by block; runs all of whose words belong to the template are no slots."""
+        """Text of the slots that remain, block by block; runs (inside an article, blocks) all of whose words belong to the template are no slots."""
         out: list[str] = []
         at, parts = -1, []
 
@@ -152,8 +178,9 @@ class Page:
             if t:
                 out.append(t)
 
-        for block, path, run, skipped, main in self.runs:
-            if skipped or (self.has_main and not main):
+        gone = {block for block, token, _ in self.roles() if token in template} if template and self.has_main else ()
+        for block, path, run, skipped, main, _ in self.runs:
+            if skipped or (self.has_main and not main) or block in gone:
                 continue
             if template and not main and all(f"{path} {w}" in template for w in run.split()):
                 run = " "
@@ -219,6 +246,33 @@ def templates(pages: DataFrame, url: str = "url", html: str = "html") -> DataFra
     return tokens.join(framed, ["host", "vector"]).join(whole, "host").where((F.col("framed") == 1) & (F.col("size") > 1) & (F.col("pages") >= MIN_SHARE * F.col("all"))).select("host", "token")
 
 
+def nested(pages: DataFrame, tokens: DataFrame, url: str = "url", html: str = "html") -> DataFrame:
+    """(host, token) of the template's words that lie between the same tags of the template on nearly all pages that hold them."""
+    source, template = with_template(pages.select(F.col(url).alias("url"), F.col(html).alias("html")), tokens)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        import xxhash
+
+        held: Counter[tuple[str, str, int]] = Counter()
+
+        def out() -> pa.RecordBatch:
+            columns = [pa.array([k[n] for k in held], t) for n, t in enumerate((pa.string(), pa.string(), pa.int64()))]
+            return pa.RecordBatch.from_arrays([*columns, pa.array([*held.values()], pa.int64())], names=["host", "token", "place", "n"])
+
+        for b in batches:
+            for u, words, t in zip(b.column("url").to_pylist(), b.column("words").to_pylist(), texts_of(b, "html"), strict=True):
+                host = host_of(u)
+                for token, places in Page(t.decode()).places(template(u, words)).items():
+                    held[host, token, xxhash.xxh3_64_intdigest(repr(sorted(places)).encode()) >> 1] += 1
+                if len(held) > 300_000:
+                    yield out()
+                    held.clear()
+        yield out()
+
+    counted = map_batches(source, run, "host string, token string, place long, n long").groupBy("host", "token", "place").agg(F.sum("n").alias("n"))
+    return counted.groupBy("host", "token").agg(F.max("n").alias("most"), F.sum("n").alias("all")).where(F.col("most") >= MIN_SHARE * F.col("all")).select("host", "token")
+
+
 def with_template(narrow: DataFrame, frame: DataFrame) -> tuple[DataFrame, Callable[[str | None, list[str] | None], frozenset[str]]]:
     """(url, html, further columns) with `words`, and the function of url and `words` that gives the tokens of the host's template.
 
@@ -249,7 +303,7 @@ def with_template(narrow: DataFrame, frame: DataFrame) -> tuple[DataFrame, Calla
 
 def extract(pages: DataFrame, page: str = "page_id", url: str = "url", html: str = "html") -> DataFrame:
     """page, url, text and n_chars of every row."""
-    frame = written(templates(pages, url, html).where(~F.col("token").contains("<")), "templates")
+    frame = written(nested(pages, written(templates(pages, url, html), "templates"), url, html), "nested")
     narrow = pages.select(F.col(page).alias("page"), F.col(url).alias("url"), F.col(html).alias("html"))
     kind = pages.schema[page].dataType.simpleString()
     source, template = with_template(narrow, frame)

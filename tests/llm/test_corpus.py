@@ -81,6 +81,22 @@ def test_template_words_go_and_content_stays(spark):
     assert got[40].text == "" and got[41].text == "" and got[42].text == "alone"
 
 
+def test_template_words_inside_articles_go(spark):
+    def page(k, n):
+        notice = "<div class='x9'><p>Sent to <b>all</b> readers</p></div>"
+        return f"<html><body><p>Top</p><article><h1>Daily</h1>{notice}{'<p>more of it</p>' * (k % 3)}<p>Story {k} of {n}</p><p>By staff</p></article></body></html>"
+
+    rows = [(k, f"https://a.example/{k}", page(k, k * 7)) for k in range(10)] + [(20 + k, f"https://b.example/{k}", page(1, 7)) for k in range(8)]
+    # a word that each page holds once, but now before and now after the others, is none of the frame's
+    moved = [f"<html><body>{'loose' * (k % 2)}<div><i>Home</i></div><div><u>{k}</u></div>{'loose' * (k % 2 == 0)}</body></html>" for k in range(10)]
+    rows += [(40 + k, f"https://c.example/{k}", x) for k, x in enumerate(moved)]
+    got = {r.page_id: r.text for r in html_extraction.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    for k in range(10):
+        assert got[k] == "\n".join(["more of it"] * (k % 3) + [f"Story {k} of {k * 7}"])
+        assert got[40 + k] == (f"loose\n{k}" if k % 2 else f"{k}\nloose")
+    assert got[20] == "Daily\nSent to all readers\nmore of it\nStory 1 of 7\nBy staff"  # copies are no template
+
+
 def test_templates_of_any_size_and_number_reach_their_pages(spark, monkeypatch):
     def page(k, frame):
         return f"<html><body><div><i>{frame}</i></div><div><p>Story {k} of {k * 7} things</p></div></body></html>"
