@@ -106,20 +106,26 @@ def is_held_out(doc: str) -> F.Column:
     return F.coalesce(F.crc32(F.col(doc).cast("string").cast("binary")) % 5 == 0, F.lit(False))
 
 
-def training_rows(docs: DataFrame, labels: DataFrame, doc: str, text: str, label: str, sample: int) -> tuple[list[np.ndarray], np.ndarray]:
-    """Features and labels of the labelled sample (bounded, so it may come to the driver)."""
+def labelled_rows(docs: DataFrame, labels: DataFrame, doc: str, text: str, label: str, sample: int) -> DataFrame:
+    """Label and text of the labelled sample."""
     chosen = labels.where(~is_held_out(doc) & F.col(label).isNotNull() & F.col(doc).isNotNull()).groupBy(doc).agg(F.max(label).cast("int").alias("_y"))
     chosen = chosen.orderBy(F.xxhash64(doc), doc).limit(sample).select(F.col(doc).alias("_id"), "_y")
     # at most `sample` rows of 12 bytes
-    rows = docs.join(F.broadcast(chosen), docs[doc] == F.col("_id")).select("_y", F.col(text).alias(text))
+    return docs.join(F.broadcast(chosen), docs[doc] == F.col("_id")).select("_y", F.col(text).alias(text))
+
+
+def training_rows(rows: DataFrame, text: str, most: int, votes: Votes | None = None) -> tuple[list[np.ndarray], np.ndarray]:
+    """Features of so many labelled rows (bounded, so they may come to the driver), and their labels or, given voters, their vote patterns."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hasher = Hasher()
         for b in batches:
-            own = [hasher.features(t.decode()).tobytes() for t in texts_of(b, text)]
-            yield pa.RecordBatch.from_arrays([b.column("_y"), pa.array(own, pa.binary())], names=["y", "f"])
+            texts = [t.decode() for t in texts_of(b, text)]
+            own = [hasher.features(t) for t in texts]
+            y = b.column("_y").to_pylist() if votes is None else [votes.pattern(t, f) for t, f in zip(texts, own, strict=True)]
+            yield pa.RecordBatch.from_arrays([pa.array(y, pa.int64()), pa.array([f.tobytes() for f in own], pa.binary())], names=["y", "f"])
 
-    got = map_batches(rows, run, "y int, f binary").orderBy(F.xxhash64("f")).limit(2 * sample).toLocalIterator()
+    got = map_batches(rows, run, "y long, f binary").orderBy(F.xxhash64("f")).limit(most).toLocalIterator()
     features, ys = [], []
     for r in got:
         features.append(np.frombuffer(bytes(r.f), np.uint64))
@@ -224,8 +230,10 @@ class Linear:
 
 
 def fit(docs: DataFrame, labels: DataFrame, doc: str = "doc_id", text: str = "text", label: str = "toxic", sample: int = SAMPLE) -> tuple[Votes, LabelModel, Linear]:
-    features, y = training_rows(docs, labels, doc, text, label, sample)
+    labelled = labelled_rows(docs, labels, doc, text, label, sample)
+    features, y = training_rows(labelled, text, 2 * sample)
     votes = Votes(learned_lexicon(features, y))
+    del features
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hasher = Hasher()
@@ -240,8 +248,8 @@ def fit(docs: DataFrame, labels: DataFrame, doc: str = "doc_id", text: str = "te
     # at most 2 ** VOTERS patterns, of all rows
     rows = map_batches(docs.select(text), run, "p long, n long").groupBy("p").agg(F.sum("n").alias("n")).collect()
     model = LabelModel(np.array([r.p for r in rows] or [0], np.int64), np.array([r.n for r in rows] or [1], np.int64), float(np.clip(y.mean(), 0.01, 0.4)) if len(y) else 0.1)
-    features = features[:FITTED]
-    patterns = np.array([votes.pattern("", f) for f in features], np.int64)
+    # the whole texts are read again: some voters look at more than the features
+    features, patterns = training_rows(labelled, text, FITTED, votes)
     linear = Linear(features, patterns, model.posterior(patterns) if len(patterns) else np.zeros(0))
     del features
     give_back()

@@ -342,6 +342,20 @@ def test_toxicity_finds_held_out_cases(spark):
     assert kept.columns == table(spark, rows).columns
 
 
+def test_training_rows_are_voted_on_whole_texts(spark, monkeypatch):
+    seen = []
+    monkeypatch.setattr(toxicity, "Linear", lambda features, patterns, target: seen.append((features, patterns)))
+    rng = random.Random(3)
+    rows = [(k, " ".join("".join(rng.choices("abcdefghijklmnop", k=7)) for _ in range(40)) + (" grobian!! GROSS" if k % 4 == 0 else " fine!! GREAT")) for k in range(200)]
+    _, model, _ = toxicity.fit(table(spark, rows), spark.createDataFrame([(k, int(k % 4 == 0)) for k in range(200)], "doc_id long, toxic int"))
+    ((features, patterns),) = seen
+    last = 1 + toxicity.KINDS * toxicity.SPLIT
+    used = [k for k in range(200) if zlib.crc32(str(k).encode()) % 5]
+    assert len(features) == len(patterns) == len(used)
+    for bit in (last + 2, last + 3):  # exclamation marks and capitals beside a word of the lexicon
+        assert (patterns >> bit & 1).sum() == sum(k % 4 == 0 for k in used)
+
+
 def test_without_labels_the_fixed_lexicon_votes(spark):
     none = spark.createDataFrame([], "doc_id long, toxic int")
     assert toxicity.scored(table(spark, [(1, "fine words"), (2, None)]), none).count() == 2
