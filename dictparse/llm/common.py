@@ -5,7 +5,6 @@ from __future__ import annotations
 import atexit
 import ctypes
 import gc
-import tempfile
 import uuid
 from collections.abc import Callable, Iterator
 
@@ -58,10 +57,10 @@ def map_batches(df: DataFrame, make: Callable[[Iterator[pa.RecordBatch]], Iterat
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or one of our own where none is set."""
+    """The folder that driver and executors share: spark.checkpoint.dir, or one beside the warehouse, which they share too, where none is set."""
     sc = spark.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="dictparse-"))
+        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/dictparse-checkpoints")
     return sc.getCheckpointDir()
 
 
@@ -84,6 +83,29 @@ def written(df: DataFrame, name: str, codec: str = "zstd", by: list[str] | None
     return spark.read.schema(df.schema).parquet(path)
 
 
+def fresh(df: DataFrame, name: str) -> str:
+    """A column name like the given one that the table doesn't have."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
+def skewed_join(rows: DataFrame, small: DataFrame, key: str, how: str = "left", share: int = 1000) -> DataFrame:
+    """Joins a table that has each key once, where one key may hold a large part of the rows.
+
+    A key that holds more than 1/share of all rows is hot; there are fewer than `share` of those, so what belongs to them is sent to
+    all tasks, and only the other rows are shuffled.
+    """
+    counts = rows.groupBy(key).agg(F.count(F.lit(1)).alias("held")).where(F.col(key).isNotNull())
+    total = rows.count()
+    hot = written(small.join(counts.where(F.col("held") > max(total // share, 64)).select(key), key), "hot-keys")
+    if hot.isEmpty():
+        return rows.join(small, key, how)
+    cold = rows.join(F.broadcast(hot.select(key)), key, "left_anti").join(small, key, how)
+    return rows.join(F.broadcast(hot), key).unionByName(cold)
+
+
 def utf8_bytes(text: Column) -> Column:
     return F.octet_length(F.coalesce(text, F.lit("")))
 

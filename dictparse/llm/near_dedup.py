@@ -1,17 +1,21 @@
 """Near-duplicate detection with SetSketch registers.
 
 A document's set of word shingles gives M registers: the truncated logarithm (base BASE) of the smallest of exponentially spaced hash
-values, so registers are small whole numbers, mergeable by taking the larger, and locality-sensitive. Equal sets are one class. Bands
-of registers propose class pairs: in each band bucket every class is first paired with the bucket's smallest; the joint likelihood of
-two register rows, given both set sizes, drops pairs that can't be similar; the others are confirmed on their full sets. Linked classes
-form components. In buckets that still hold several components, first each member's NEAREST likeliest partners in other components are
-confirmed, which joins most of what belongs together; then all pairs across components are looked at, by the same likelihood and
-confirmation, so no proposed link between components is left out. A pair that shares several bands is looked at in the first of them.
-Hot buckets, and hot groups of pairs to confirm, come in blocks of bounded size.
+values, so registers are small whole numbers, mergeable by taking the larger, and locality-sensitive. Equal sets (by a digest of 128
+bits for each shingle) are one class, numbered when it is written. Bands of registers propose class pairs, in three passes: in each band
+bucket every class is paired with the bucket's smallest; then, in buckets that still hold several components, each member outside the
+bucket's largest one with its NEAREST likeliest partners; then every pair across components, so no proposed link between components is
+left out. In each pass the joint likelihood of two register rows, given both set sizes, drops pairs that can't be similar; what remains
+is confirmed on the words of both texts, exactly and not by hashes. Linked classes form components.
+
+Hot groups: members of a bucket come in blocks, and blocks that hold only the bucket's largest component aren't looked at against each
+other; a pair that shares several bands is looked at in the first of them; pairs to confirm come in families of bounded size, so a text
+goes once to a family and not to every pair; classes and components that hold many rows are joined by broadcast.
 
 Edge cases: a text with fewer words than a shingle is its whole word sequence; one without words is empty and linked with nothing;
 null texts are empty; a missing id is an id smaller than all others; rows that share an id are one document, linked whatever their
-texts, and each returned; an empty table gives an empty result; further columns are not read.
+texts, and each returned; an empty table gives an empty result; further columns, whatever their names, are not read, and kept by
+`keep_first`. A text must fit in a Python worker some 30 times.
 """
 
 from __future__ import annotations
@@ -25,54 +29,82 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from dictparse.llm.common import lean, map_batches, read, texts_of, written
-from dictparse.llm.hashing import mix, word_hashes
+from dictparse.llm.common import fresh, lean, map_batches, read, skewed_join, texts_of, written
+from dictparse.llm.hashing import mix
 
 SIMILARITY = 80
 #: Registers, those of one band, and the base of their logarithm. A pair at the limit meets in one of the 32 bands with
-#: probability over 1 - 1e-7.
-M, ROWS, BASE = 128, 4, 1.02
+#: probability over 1 - 4e-6.
+M, ROWS, BASE = 160, 5, 1.02
 BANDS = M // ROWS
 #: Standard deviations that an estimate may lie below the limit.
 MARGIN = 5.0
-#: Members of a bucket looked at together; sets of one group confirmed together; a member's likeliest partners that are tried first.
-BLOCK, FAMILY, NEAREST = 1024, 256, 8
-#: A-Z folded; words end at these bytes.
+#: Members of a bucket looked at together; shingles of one family confirmed together; a member's likeliest partners that are tried first.
+BLOCK, FAMILY, NEAREST = 1024, 200_000, 8
+#: Rows that a worker looks at together, if they aren't of one bucket; words whose hashes it remembers.
+TOGETHER, REMEMBERED = 16_384, 300_000
+#: A-Z folded; words end at ASCII white space, as bytes.split() does it.
 _FOLD = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
-_IS_WORD = np.array([b != 0x20 and not 0x09 <= b <= 0x0D for b in range(256)])
 _ODD = np.random.default_rng(20240229).integers(1, 1 << 63, (2, M, 1), dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 #: Added to registers, so that the largest possible minimum still has one above 0.
 _OFFSET = 256
+_NO_ID = -(1 << 63)
+
+
+def words(text: bytes) -> list[bytes]:
+    return text.translate(_FOLD).split()
+
+
+class WordHashes:
+    """128-bit hashes of words, remembered up to a bound."""
+
+    def __init__(self) -> None:
+        self.known: dict[bytes, bytes] = {}
 
+    def _add(self, word: bytes) -> bytes:
+        import xxhash
 
-def shingles(text: bytes, width: int) -> np.ndarray:
-    """Sorted distinct 64-bit hashes of a text's shingles."""
-    words = word_hashes(text.translate(_FOLD), _IS_WORD)
-    n = len(words)
+        self.known[word] = out = xxhash.xxh3_128_digest(word)
+        return out
+
+    def of(self, listed: list[bytes]) -> np.ndarray:
+        if len(self.known) > REMEMBERED:
+            self.known = {}
+        get, add = self.known.get, self._add
+        return np.frombuffer(b"".join([get(w) or add(w) for w in listed]), np.uint64).reshape(-1, 2)
+
+
+def shingles(listed: list[bytes], width: int, hashes: WordHashes) -> tuple[np.ndarray, bytes]:
+    """Sorted distinct 64-bit hashes of a word sequence's shingles, and the set's digest, made of 128 bits for each."""
+    both = hashes.of(listed)
+    n = len(both)
     if not n:
-        return words
+        return np.zeros(0, np.uint64), b""
     size = min(width, n)
-    out = np.full(n - size + 1, size, np.uint64)
+    out = np.full((n - size + 1, 2), size, np.uint64)
     for k in range(size):
-        out = mix(out * np.uint64(0xC2B2AE3D27D4EB4F) + words[k : n - size + 1 + k])
-    return np.unique(out)
+        out = mix(out * np.uint64(0xC2B2AE3D27D4EB4F) + both[k : n - size + 1 + k])
+    order = np.argsort(out[:, 0], kind="stable")
+    out = out[order]
+    first = np.ones(len(out), bool)
+    first[1:] = out[1:, 0] != out[:-1, 0]
+    out = out[first]
+    return np.ascontiguousarray(out[:, 0]), hashlib.blake2b(out.tobytes(), digest_size=16).digest()
 
 
 def registers(hashes: np.ndarray) -> np.ndarray:
     """M truncated logarithms of minima, as 16-bit numbers."""
     least = np.full(M, np.iinfo(np.uint64).max)
     for at in range(0, len(hashes), 2048):
-        least = np.minimum(least, (hashes[None, at : at + 2048] * _ODD[0] + _ODD[1]).min(1))
+        values = hashes[None, at : at + 2048] * _ODD[0]
+        values += _ODD[1]
+        least = np.minimum(least, values.min(1))
     # -ln(1 - u) is exponential; the logarithm to BASE of its minimum, negated, truncated
     u = (least.astype(np.float64) + 0.5) / 2.0**64
     u = np.minimum(u, 1 - 2.0**-53)
     return np.clip(np.floor(-np.log(-np.log1p(-u)) / math.log(BASE)) + _OFFSET, 0, 65535).astype(np.uint16)
 
 
-def digest(hashes: np.ndarray) -> bytes:
-    return hashlib.blake2b(hashes.tobytes(), digest_size=16).digest()
-
-
 def likelihood_estimate(a: np.ndarray, b: np.ndarray, size_a: np.ndarray, size_b: np.ndarray) -> np.ndarray:
     """The most likely similarity of set pairs, from how many registers are larger in one, larger in the other, or equal.
 
@@ -117,79 +149,114 @@ def band_keys(regs: np.ndarray) -> np.ndarray:
     return key
 
 
+def _regs(column: pa.Array | pa.ChunkedArray) -> np.ndarray:
+    return np.frombuffer(b"".join(column.to_pylist()), np.uint16).reshape(-1, M)
+
+
 def sketches(docs: DataFrame, doc: str, text: str, width: int) -> DataFrame:
-    """(doc, n, class, id, regs) of every row: set size, digest of the set, the same in 64 bits as a node's id, and registers."""
+    """(doc, n, class, regs) of every row: set size, digest of the set, registers (the last two null for an empty set)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        hashes = WordHashes()
         for b in batches:
-            n, classes, ids, regs = [], [], [], []
-            for t in texts_of(b, text):
-                h = shingles(t, width)
+            n, classes, regs = [], [], []
+            for t in texts_of(b, "text"):
+                h, named = shingles(words(t), width, hashes)
                 n.append(len(h))
-                classes.append(digest(h))
-                ids.append(int.from_bytes(classes[-1][:8], "little", signed=True))
+                classes.append(named or None)
                 regs.append(registers(h).tobytes() if len(h) else None)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(classes, pa.binary()), pa.array(ids, pa.int64()), pa.array(regs, pa.binary())], names=["doc", "n", "class", "id", "regs"])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(classes, pa.binary()), pa.array(regs, pa.binary())], names=["doc", "n", "class", "regs"])
 
-    return map_batches(docs.select(F.col(doc).cast("long").alias("doc"), F.col(text).alias(text)), run, "doc long, n long, class binary, id long, regs binary")
+    return map_batches(docs.select(F.col(doc).cast("long").alias("doc"), F.col(text).alias("text")), run, "doc long, n long, class binary, regs binary")
 
 
-def _bands(rows: DataFrame) -> DataFrame:
+def _bands(nodes: DataFrame) -> DataFrame:
     """(key, id) of every band of every class."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            if not b.num_rows:
-                continue
-            key = band_keys(np.frombuffer(b"".join(b.column("regs").to_pylist()), np.uint16).reshape(-1, M))
-            ids = np.repeat(b.column("id").to_numpy(), BANDS)
-            yield pa.RecordBatch.from_arrays([pa.array(key.ravel().view(np.int64)), pa.array(ids)], names=["key", "id"])
+            if b.num_rows:
+                key = band_keys(_regs(b.column("regs")))
+                yield pa.RecordBatch.from_arrays([pa.array(key.ravel().view(np.int64)), pa.array(np.repeat(b.column("id").to_numpy(), BANDS))], names=["key", "id"])
 
-    return rows.select("id", "regs").mapInArrow(lean(run), "key long, id long")
+    return nodes.select("id", "regs").mapInArrow(lean(run), "key long, id long")
 
 
-def _filtered(pairs: DataFrame, nodes: DataFrame, similarity: int) -> DataFrame:
-    """The pairs (a, b) that the registers of both sides don't rule out."""
-    a = nodes.select(F.col("id").alias("a"), F.col("n").alias("n_a"), F.col("regs").alias("r_a"))
-    b = nodes.select(F.col("id").alias("b"), F.col("n").alias("n_b"), F.col("regs").alias("r_b"))
+_PAIRS = "a long, b long, n_a long, n_b long"
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for x in batches:
-            if not x.num_rows:
-                continue
-            ra, rb = (np.frombuffer(b"".join(x.column(c).to_pylist()), np.uint16).reshape(x.num_rows, M) for c in ("r_a", "r_b"))
-            ok = np.flatnonzero(link_estimate(ra, rb, x.column("n_a").to_numpy(), x.column("n_b").to_numpy(), similarity) >= 0)
-            yield pa.RecordBatch.from_arrays([x.column("a").take(pa.array(ok)), x.column("b").take(pa.array(ok))], names=["a", "b"])
 
-    return pairs.join(a, "a").join(b, "b").mapInArrow(lean(run), "a long, b long")
+def _pairs(a: np.ndarray, b: np.ndarray, n_a: np.ndarray, n_b: np.ndarray) -> pa.RecordBatch:
+    """Pairs with the smaller id first."""
+    swap = a > b
+    columns = (np.where(swap, b, a), np.where(swap, a, b), np.where(swap, n_b, n_a), np.where(swap, n_a, n_b))
+    return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], names=["a", "b", "n_a", "n_b"])
 
 
-def _confirmed(pairs: DataFrame, sets: DataFrame, similarity: int) -> DataFrame:
-    """The pairs (a, b) whose full sets meet the limit.
+def _starred(pairs: DataFrame, nodes: DataFrame, similarity: int) -> DataFrame:
+    """The pairs (a, b) that the registers of both sides don't rule out; many pairs may share their a."""
+    a = nodes.select(F.col("id").alias("a"), F.col("n").alias("n_a"), F.col("regs").alias("r_a"))
+    b = nodes.select(F.col("id").alias("b"), F.col("n").alias("n_b"), F.col("regs").alias("r_b"))
 
-    Pairs near each other form a group (by the smallest id two steps away), so a set is sent once for each group and not for each
-    pair; large groups are dealt with by pairs of blocks of about FAMILY sets.
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for x in batches:
+            if x.num_rows:
+                n_a, n_b = x.column("n_a").to_numpy(), x.column("n_b").to_numpy()
+                ok = np.flatnonzero(link_estimate(_regs(x.column("r_a")), _regs(x.column("r_b")), n_a, n_b, similarity) >= 0)
+                yield _pairs(x.column("a").to_numpy()[ok], x.column("b").to_numpy()[ok], n_a[ok], n_b[ok])
+
+    return skewed_join(pairs.join(b, "b"), a, "a").select("a", "b", "n_a", "r_a", "n_b", "r_b").mapInArrow(lean(run), _PAIRS)
+
+
+def exact_sets(texts: list[bytes], width: int) -> list[np.ndarray]:
+    """Each text's distinct shingles as sorted numbers; equal numbers mean equal words, over all the texts given."""
+    vocabulary: dict[bytes, int] = {}
+    number = vocabulary.setdefault
+    parts = []
+    for t in texts:
+        w = np.array([number(x, len(vocabulary) + 1) for x in words(t)], np.int64)
+        parts.append(np.pad(w, (0, max(0, width - len(w)))))  # 0 is no word
+    code = [w[: len(w) - width + 1] for w in parts]
+    cuts = np.cumsum([len(c) for c in code])[:-1]
+    flat = np.concatenate(code)
+    for k in range(1, width):
+        # two whole numbers to one, then numbered anew, so that they stay small
+        flat = flat * (len(vocabulary) + 1) + np.concatenate([w[k : len(w) - width + 1 + k] for w in parts])
+        if k + 1 < width:
+            flat = np.unique(flat, return_inverse=True)[1]
+    return [np.unique(c) for c in np.split(flat, cuts)]
+
+
+def _confirmed(pairs: DataFrame, texts: DataFrame, width: int, similarity: int) -> DataFrame:
+    """The pairs (a, b) whose sets meet the limit.
+
+    Pairs near each other form a family (by the smallest id two steps away), so a text is sent once for each family and not for each
+    pair. Large families are dealt with by pairs of blocks of about FAMILY shingles, small ones several at a time.
     """
-    both = pairs.unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b")))
+    pairs = written(pairs, "near-pairs")
+    both = pairs.select("a", "b").unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b")))
     one = both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("g"))
     two = both.join(one.select(F.col("a").alias("b"), "g"), "b").groupBy("a").agg(F.min("g").alias("g"))
-    grouped = pairs.join(two, "a").join(two.select(F.col("a").alias("b"), F.col("g").alias("h")), "b").select("a", "b", F.least("g", "h").alias("g"))
-    grouped = written(grouped, "near-groups")
-    ends = grouped.select("g", F.explode(F.array("a", "b")).alias("id")).distinct()
-    blocks = ends.groupBy("g").agg(F.ceil(F.count("*") / FAMILY).alias("blocks"))
-    own = lambda c: F.pmod(F.xxhash64(c), F.col("blocks"))
-    placed = written(grouped.join(blocks, "g").select("a", "b", "g", F.least(own("a"), own("b")).alias("x"), F.greatest(own("a"), own("b")).alias("y")), "near-placed-pairs")
-    wanted = placed.select(F.col("g").alias("g_"), F.col("x").alias("x_"), F.col("y").alias("y_"), F.explode(F.array("a", "b")).alias("id")).distinct().join(sets, "id")
-
-    def check(pairs: pa.Table, sets: pa.Table) -> pa.Table:
-        held = {i: np.frombuffer(x, np.uint64) for i, x in zip(sets["id"].to_pylist(), sets["set"].to_pylist(), strict=True)}
-        out = []
+    grouped = written(pairs.join(two, "a").join(two.select(F.col("a").alias("b"), F.col("g").alias("h")), "b").withColumn("g", F.least("g", "h")).drop("h"), "near-groups")
+    ends = grouped.select("g", F.explode(F.array(F.struct(F.col("a").alias("id"), F.col("n_a").alias("n")), F.struct(F.col("b").alias("id"), F.col("n_b").alias("n")))).alias("e")).distinct()
+    sizes = written(ends.groupBy("g").agg(F.sum("e.n").alias("n")), "near-sizes")
+    small = F.col("n") <= FAMILY
+    tasks = 1 + int(sizes.where(small).agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]) // FAMILY
+    blocks = F.ceil(F.col("n") / FAMILY)
+    own = lambda c: F.when(small, F.lit(-1)).otherwise(F.pmod(F.xxhash64(c), blocks))
+    held = F.when(small, F.pmod(F.xxhash64("g"), F.lit(tasks))).otherwise(F.col("g"))
+    placed = skewed_join(grouped, sizes, "g").select("a", "b", held.alias("g"), F.least(own("a"), own("b")).alias("x"), F.greatest(own("a"), own("b")).alias("y"))
+    placed = written(placed, "near-placed-pairs")
+    wanted = placed.select(F.col("g").alias("g_"), F.col("x").alias("x_"), F.col("y").alias("y_"), F.explode(F.array("a", "b")).alias("id")).distinct().join(texts, "id")
+
+    def check(pairs: pa.Table, texts: pa.Table) -> pa.Table:
+        sets = dict(zip(texts["id"].to_pylist(), exact_sets(texts["text"].to_pylist(), width), strict=True)) if pairs.num_rows else {}
+        left, right = [], []
         for a, b in zip(pairs["a"].to_pylist(), pairs["b"].to_pylist(), strict=True):
-            s, t = held[a], held[b]
+            s, t = sets[a], sets[b]
             both = len(np.intersect1d(s, t, assume_unique=True))
             if 100 * both >= similarity * (len(s) + len(t) - both):
-                out.append((a, b))
-        left, right = zip(*out, strict=True) if out else ((), ())
+                left.append(a)
+                right.append(b)
         return pa.table({"a": pa.array(left, pa.int64()), "b": pa.array(right, pa.int64())})
 
     return placed.groupBy("g", "x", "y").cogroup(wanted.groupBy("g_", "x_", "y_")).applyInArrow(check, "a long, b long")
@@ -221,134 +288,191 @@ def _merged(roots: DataFrame, links: DataFrame) -> DataFrame:
     """(id, root) after links (a, b) between ids join what they reach."""
     ends = links.join(roots.select(F.col("id").alias("a"), F.col("root").alias("u")), "a").join(roots.select(F.col("id").alias("b"), F.col("root").alias("v")), "b")
     found = components(ends.where("u <> v").select(F.col("u").alias("a"), F.col("v").alias("b")))
-    moved = roots.join(found.select(F.col("id").alias("root"), F.col("root").alias("_to")), "root", "left")
-    return written(moved.select("id", F.coalesce("_to", "root").alias("root")), "near-roots")
-
-
-def _across(buckets: DataFrame, roots: DataFrame, nodes: DataFrame, sets: DataFrame, similarity: int, nearest: int | None = None) -> DataFrame:
-    """Confirmed links (a, b) of different components that share a bucket.
+    moved = skewed_join(roots, found.select(F.col("id").alias("root"), F.col("root").alias("to")), "root")
+    return written(moved.select("id", F.coalesce("to", "root").alias("root")), "near-roots")
+
+
+class Bucket:
+    """Members of some band buckets, row by row, those of one bucket (or pair of blocks) together."""
+
+    def __init__(self, rows: pa.Table, group: np.ndarray, similarity: int):
+        self.group, self.similarity = group, similarity
+        self.key = rows["key"].to_numpy().view(np.uint64)
+        self.ids, self.roots, self.own, self.n = (rows[c].to_numpy() for c in ("id", "root", "own", "n"))
+        self.regs = _regs(rows["regs"])
+        self.keys = band_keys(self.regs)
+
+    def likely(self, cross: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(i, j, estimate) of the pairs across components that the registers don't rule out; `cross` marks rows whose group is a pair of blocks."""
+        got: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+        at = np.arange(len(self.ids))
+        d = 1
+        while True:
+            at = at[at + d < len(self.ids)]
+            at = at[self.group[at] == self.group[at + d]]  # a group that is too short stays too short
+            if not len(at):
+                break
+            i, j = at, at + d
+            small, large = np.minimum(self.n[i], self.n[j]), np.maximum(self.n[i], self.n[j])
+            ok = (self.roots[i] != self.roots[j]) & (100 * small >= self.similarity * large) & (~cross[i] | (self.own[i] != self.own[j]))
+            i, j = i[ok], j[ok]
+            if len(i):
+                same = self.keys[i] == self.keys[j]
+                first = same.argmax(1)
+                ok = self.keys[i, first] == self.key[i]
+                i, j = i[ok], j[ok]
+            for k in range(0, len(i), 8192):
+                p, q = i[k : k + 8192], j[k : k + 8192]
+                estimate = link_estimate(self.regs[p], self.regs[q], self.n[p], self.n[q], self.similarity)
+                ok = estimate >= 0
+                got.append((p[ok], q[ok], estimate[ok]))
+            d += 1
+        return tuple(np.concatenate(x) for x in zip(*got, strict=True)) if got else (at, at, np.zeros(0))
+
+    def nearest(self, i: np.ndarray, j: np.ndarray, estimate: np.ndarray, most: int) -> tuple[np.ndarray, np.ndarray]:
+        """Each member outside its group's largest component keeps so many of its likeliest partners."""
+        _, component, size = np.unique(np.stack([self.group, self.roots]), axis=1, return_inverse=True, return_counts=True)
+        component = component.ravel()
+        largest = np.zeros(int(self.group.max()) + 1, np.int64)
+        by = np.argsort(size[component], kind="stable")
+        largest[self.group[by]] = component[by]
+        a, b, e = np.concatenate([i, j]), np.concatenate([j, i]), np.concatenate([estimate, estimate])
+        out = component[a] != largest[self.group[a]]
+        a, b, e = a[out], b[out], e[out]
+        order = np.lexsort((-e, a))
+        a, b = a[order], b[order]
+        begin = np.flatnonzero(np.r_[True, a[1:] != a[:-1]]) if len(a) else np.zeros(0, np.int64)
+        rank = np.arange(len(a)) - np.repeat(begin, np.diff(np.r_[begin, len(a)]))
+        a, b = a[rank < most], b[rank < most]
+        pairs = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)]), axis=1)
+        return pairs[0], pairs[1]
+
+
+def _across(buckets: DataFrame, roots: DataFrame, nodes: DataFrame, similarity: int, nearest: int | None = None) -> DataFrame:
+    """Likely pairs of different components that share a bucket.
 
     With `nearest`, only so many of the likeliest partners of each member outside the bucket's largest component, within one block.
-    Pairs that the registers don't rule out stay inside their block: a row for each member names its partners, and gets its set.
     """
-    buckets = buckets.join(roots, "id").select("key", "id", "root")
-    mixed = buckets.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count("*").alias("size")).where("lo <> hi").select("key", "size")
-    members = buckets.join(mixed, "key").withColumn("blocks", F.ceil(F.col("size") / BLOCK)).withColumn("own", F.pmod(F.xxhash64("id"), F.col("blocks")))
+    buckets = written(buckets.join(roots, "id").select("key", "id", "root"), "near-members")
+    held = buckets.groupBy("key", "root").agg(F.count("*").alias("held"))
+    mixed = held.groupBy("key").agg(F.sum("held").alias("size"), F.max("held").alias("most"), F.max_by("root", "held").alias("top"), F.count("*").alias("roots")).where("roots > 1").drop("roots")
+    members = skewed_join(buckets, mixed, "key", how="inner")
+    dealt = lambda rows: F.pmod(F.xxhash64("id"), F.ceil(rows / BLOCK))
     if nearest:
-        pairs = members.select("key", F.col("own").alias("x"), F.col("own").alias("y"), "own", "id", "root")
-    else:  # a bucket of several blocks is looked at block pair by block pair
-        pairs = members.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
-        pairs = pairs.select("key", F.least("own", "other").alias("x"), F.greatest("own", "other").alias("y"), "own", "id", "root")
-
-    def look(table: pa.Table) -> pa.Table:
-        ids, roots, own, n = (table[c].to_numpy() for c in ("id", "root", "own", "n"))
-        regs = np.frombuffer(b"".join(table["regs"].to_pylist()), np.uint16).reshape(-1, M)
-        keys, key = band_keys(regs), np.int64(table["key"][0].as_py()).view(np.uint64)
-        band = int(np.flatnonzero(keys[0] == key)[0])
-        cross = own.min() != own.max()
-        found: list[tuple[int, np.ndarray]] = []
-        names, sizes = np.unique(roots, return_counts=True)
-        largest = names[sizes.argmax()]
-        for i in range(len(ids)):
-            if nearest and roots[i] == largest:
+        pairs = members.withColumn("own", dealt(F.col("size"))).withColumn("x", F.col("own")).withColumn("y", F.col("own"))
+    else:
+        # blocks of the largest component have numbers below 0 and meet only the others
+        top, rest = F.col("root") == F.col("top"), F.ceil((F.col("size") - F.col("most")) / BLOCK)
+        own = F.when(F.col("size") <= BLOCK, F.lit(0)).when(top, -1 - dealt(F.col("most"))).otherwise(dealt(F.col("size") - F.col("most")))
+        others = F.when(F.col("size") <= BLOCK, F.array(F.lit(0).cast("long"))).when(top, F.sequence(F.lit(0).cast("long"), rest - 1))
+        others = others.otherwise(F.sequence(-F.ceil(F.col("most") / BLOCK), rest - 1))
+        pairs = members.withColumn("own", own).withColumn("other", F.explode(others)).withColumn("x", F.least("own", "other")).withColumn("y", F.greatest("own", "other"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def look(rows: pa.Table) -> pa.RecordBatch:
+            key, x, y = (rows[c].to_numpy() for c in ("key", "x", "y"))
+            edge = np.r_[True, (key[1:] != key[:-1]) | (x[1:] != x[:-1]) | (y[1:] != y[:-1])]
+            bucket = Bucket(rows, np.cumsum(edge) - 1, similarity)
+            i, j, estimate = bucket.likely(x != y)
+            if nearest:
+                i, j = bucket.nearest(i, j, estimate, nearest)
+            return _pairs(bucket.ids[i], bucket.ids[j], bucket.n[i], bucket.n[j])
+
+        waiting: list[pa.RecordBatch] = []
+        for b in batches:
+            if not b.num_rows:
                 continue
-            other = np.flatnonzero((roots != roots[i]) & (nearest is not None or ((own != own[i]) & (own[i] < own) if cross else ids > ids[i])))
-            if band and len(other):
-                other = other[~(keys[other, :band] == keys[i, :band]).any(1)]
-            if len(other):
-                likely = link_estimate(np.broadcast_to(regs[i], (len(other), M)), regs[other], np.full(len(other), n[i]), n[other], similarity)
-                ok = np.flatnonzero(likely >= 0)
-                if nearest and len(ok) > nearest:
-                    ok = ok[np.argpartition(-likely[ok], nearest)[:nearest]]
-                if len(ok):
-                    found.append((i, other[ok]))
-        partners: dict[int, list[int]] = {}
-        for i, js in found:
-            partners.setdefault(i, []).extend(ids[js].tolist())
-            for j in js.tolist():
-                partners.setdefault(j, [])
-        at = pa.array([*partners], pa.int64())
-        return table.select(["key", "x", "y", "id"]).take(at).append_column("partners", pa.array([*partners.values()], pa.list_(pa.int64())))
-
-    def confirm(table: pa.Table) -> pa.Table:
-        ids = table["id"].to_pylist()
-        held = dict(zip(ids, (np.frombuffer(x, np.uint64) for x in table["set"].to_pylist()), strict=True))
-        left, right = [], []
-        for i, others in zip(ids, table["partners"].to_pylist(), strict=True):
-            if others:
-                own, them = held[i], [held[j] for j in others]
-                sizes = np.array([len(t) for t in them])
-                joined = np.concatenate(them)
-                at = np.minimum(np.searchsorted(own, joined), len(own) - 1)
-                both = np.add.reduceat(own[at] == joined, np.cumsum(sizes) - sizes, dtype=np.int64)
-                linked = np.flatnonzero(100 * both >= similarity * (len(own) + sizes - both))
-                left += [i] * len(linked)
-                right += [others[k] for k in linked]
-        return pa.table({"a": pa.array(left, pa.int64()), "b": pa.array(right, pa.int64())})
+            waiting.append(b)
+            if sum(w.num_rows for w in waiting) < TOGETHER:
+                continue
+            rows = pa.Table.from_batches(waiting)
+            last = [rows[c][-1].as_py() for c in ("key", "x", "y")]
+            same = np.logical_and.reduce([rows[c].to_numpy() == v for c, v in zip(("key", "x", "y"), last, strict=True)])
+            cut = int(same.argmax())  # the last group may go on
+            if cut:
+                yield look(rows.slice(0, cut))
+            waiting = rows.slice(cut).combine_chunks().to_batches()
+        if waiting:
+            yield look(pa.Table.from_batches(waiting))
+
+    shape = pairs.select("key", F.col("x").cast("long").alias("x"), F.col("y").cast("long").alias("y"), F.col("own").cast("long").alias("own"), "id", "root").join(nodes.select("id", "n", "regs"), "id")
+    return shape.repartition("key", "x", "y").sortWithinPartitions("key", "x", "y").mapInArrow(lean(run), _PAIRS)
 
-    shape = pairs.join(nodes.select("id", "n", "regs"), "id").groupBy("key", "x", "y").applyInArrow(look, "key long, x long, y long, id long, partners array<long>")
-    members = written(shape, "near-partners")
-    return members.join(sets, "id").groupBy("key", "x", "y").applyInArrow(confirm, "a long, b long").distinct()
+
+def _texts(docs: DataFrame, doc: str, text: str, involved: DataFrame, width: int) -> DataFrame:
+    """(id, text) of the nodes in question, read from their documents; rows that share an id are told apart by their sets."""
+    source = docs.select(F.coalesce(F.col(doc).cast("long"), F.lit(_NO_ID)).alias("own"), F.col(text).alias("text"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        hashes = WordHashes()
+        for b in batches:
+            same = [shingles(words(t), width, hashes)[1] == c for t, c in zip(texts_of(b, "text"), b.column("class").to_pylist(), strict=True)]
+            yield pa.RecordBatch.from_arrays([b.column("id"), b.column("text").cast(pa.binary())], names=["id", "text"]).filter(pa.array(same, pa.bool_()))
+
+    got = source.join(involved.hint("shuffle_hash"), "own").select("id", "class", "text").mapInArrow(lean(run), "id long, text binary")
+    return got.groupBy("id").agg(F.first("text").alias("text"))
 
 
 def near_duplicates(docs: DataFrame, doc: str = "doc_id", text: str = "text", width: int = 5, similarity: int = SIMILARITY) -> DataFrame:
     """(doc, n, component) of every row; component is the smallest id that the row's document can reach, itself included."""
-    no_id = F.lit(-(1 << 63))
-    rows = written(sketches(docs, doc, text, width).withColumn("own", F.coalesce("doc", no_id)), "sketches")
+    rows = written(sketches(docs, doc, text, width).withColumn("own", F.coalesce("doc", F.lit(_NO_ID))), "sketches")
     full = rows.where("n > 0")
-    # one node for each distinct set, with a document to read it from
-    nodes = written(full.groupBy("id").agg(F.min("own").alias("own"), F.first("n").alias("n"), F.first("regs").alias("regs")), "near-nodes")
+    # one node for each distinct set, with a document to read it from; its number is fixed as it is written
+    nodes = written(full.groupBy("class").agg(F.min("own").alias("own"), F.first("n").alias("n"), F.first("regs").alias("regs")).withColumn("id", F.monotonically_increasing_id()), "near-nodes")
     keys = _bands(nodes)
-    shared = keys.groupBy("key").agg(F.count("*").alias("size"), F.min("id").alias("least")).where("size > 1")
-    buckets = written(keys.join(shared, "key").select("key", "id", "least"), "near-buckets")
-    stars = written(_filtered(buckets.where("id <> least").select(F.col("least").alias("a"), F.col("id").alias("b")).distinct(), nodes, similarity), "near-stars")
-    source = docs.select(F.coalesce(F.col(doc).cast("long"), no_id).alias("own"), F.coalesce(F.col(text), F.lit("")).alias("text"))
-    sets = written(_sets(source, buckets.select("id").distinct().join(nodes.select("id", "own"), "id"), width), "near-sets", codec="none")
-    roots = _merged(nodes.select("id", F.col("id").alias("root")), _confirmed(stars, sets, similarity))
+    shared = keys.groupBy("key").agg(F.count("*").alias("size"), F.min("id").alias("least")).where("size > 1").drop("size")
+    buckets = written(skewed_join(keys, shared, "key", how="inner"), "near-buckets")
+    texts = written(_texts(docs, doc, text, buckets.select("id").distinct().join(nodes.select("id", "own", "class"), "id"), width), "near-texts")
+    roots = nodes.select("id", F.col("id").alias("root"))
+    stars = written(buckets.where("id <> least").select(F.col("least").alias("a"), F.col("id").alias("b")).distinct(), "near-stars")
+    roots = _merged(roots, _confirmed(_starred(stars, nodes, similarity), texts, width, similarity))
     for nearest in (NEAREST, None):
-        roots = _merged(roots, _across(buckets, roots, nodes, sets, similarity, nearest))
+        roots = _merged(roots, _confirmed(_across(buckets, roots, nodes, similarity, nearest), texts, width, similarity))
     # rows that share an id are one document, whatever their sets
-    named = full.groupBy("own").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).where("lo <> hi").select("own", "lo")
-    final = _merged(roots, full.join(named, "own").where("id <> lo").select(F.col("lo").alias("a"), F.col("id").alias("b")))
-    placed = rows.select("doc", "own", "n", "id").join(final, "id", "left").withColumn("root", F.coalesce("root", "id"))
-    placed = written(placed.select("doc", "own", "n", "root"), "near-placed")
-    least = placed.where("n > 0").groupBy("root").agg(F.min("own").alias("least"))
-    whole = placed.join(least, "root", "left").withColumn("least", F.when(F.col("n") > 0, F.col("least")).otherwise(F.col("own")))
-    return whole.select("doc", "n", F.when(F.col("least") != no_id, F.col("least")).alias("component"))
-
-
-def _sets(source: DataFrame, involved: DataFrame, width: int) -> DataFrame:
-    """(id, set) of the nodes in question, read from their documents; rows that share an id are told apart by their sets."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            sets = [shingles(t, width) for t in texts_of(b, "text")]
-            same = [int.from_bytes(digest(s)[:8], "little", signed=True) == i for s, i in zip(sets, b.column("id").to_pylist(), strict=True)]
-            yield pa.RecordBatch.from_arrays([b.column("id"), pa.array([s.tobytes() for s in sets], pa.binary())], names=["id", "set"]).filter(pa.array(same, pa.bool_()))
-
-    got = source.join(involved.hint("shuffle_hash"), "own").select("id", "text").mapInArrow(lean(run), "id long, set binary")
-    return got.groupBy("id").agg(F.first("set").alias("set"))
+    several = full.join(full.groupBy("own").count().where("count > 1").select("own"), "own").select("own", "class").distinct().join(nodes.select("class", "id"), "class")
+    several = several.join(several.groupBy("own").agg(F.min("id").alias("lo")), "own").where("id <> lo").select(F.col("lo").alias("a"), F.col("id").alias("b"))
+    final = written(nodes.select("id", "own", "class").join(_merged(roots, several), "id"), "near-final")
+    least = final.groupBy("root").agg(F.min("own").alias("least"))
+    of_class = written(skewed_join(final.select("class", "root"), least, "root").select("class", "least"), "near-classes")
+    whole = skewed_join(rows.select("doc", "own", "n", "class"), of_class, "class").withColumn("least", F.when(F.col("n") > 0, F.col("least")).otherwise(F.col("own")))
+    return whole.select("doc", "n", F.when(F.col("least") != _NO_ID, F.col("least")).alias("component"))
 
 
 def keep_first(docs: DataFrame, doc: str = "doc_id", text: str = "text", width: int = 5, similarity: int = SIMILARITY) -> DataFrame:
     """The rows of one document of each component, columns as they are; rows that share an id count once."""
-    no_id = F.lit(-(1 << 63))
-    found = written(near_duplicates(docs, doc, text, width, similarity).select(F.coalesce("doc", no_id).alias("_own"), F.col("doc").eqNullSafe(F.col("component")).alias("_kept")), "near-kept")
-    ids = found.groupBy("_own").agg(F.max("_kept").alias("_kept"), F.count("*").alias("_rows"))
-    keyed = docs.withColumn("_own", F.coalesce(F.col(doc).cast("long"), no_id))
-    kept = keyed.join(ids.where("_kept").select("_own", "_rows").hint("shuffle_hash"), "_own")
-    if not ids.where("_rows > 1").limit(1).count():
+    own, times = fresh(docs, "own"), fresh(docs, "rows")
+    found = near_duplicates(docs, doc, text, width, similarity)
+    found = found.select(F.coalesce("doc", F.lit(_NO_ID)).alias(own), F.col("doc").eqNullSafe(F.col("component")).alias("kept"))
+    ids = written(found.groupBy(own).agg(F.max("kept").alias("kept"), F.count("*").alias(times)).where("kept").drop("kept"), "near-kept")
+    keyed = docs.withColumn(own, F.coalesce(F.col(doc).cast("long"), F.lit(_NO_ID)))
+    kept = keyed.join(ids.hint("shuffle_hash"), own)
+    if not ids.where(F.col(times) > 1).limit(1).count():
         return kept.select(*docs.columns)
     # one of the rows of an id, by the content
-    whole = F.struct(*[F.col(c) for c in docs.columns])
-    several = kept.where("_rows > 1").groupBy("_own").agg(F.min(whole).alias("_row")).select("_row.*")
-    return kept.where("_rows = 1").select(*docs.columns).unionByName(several)
+    several = kept.where(F.col(times) > 1).groupBy(own).agg(F.min(F.struct(*docs.columns)).alias("row")).select("row.*")
+    return kept.where(F.col(times) == 1).select(*docs.columns).unionByName(several)
 
 
 def op10_setsketch(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """doc_id, n_shingles, component_id, kept of every document: two words a shingle, linked from a similarity of 0.8."""
     found = near_duplicates(read(spark, sf_dir, "documents").select("doc_id", "text"), width=2)
     return found.select(F.col("doc").alias("doc_id"), F.col("n").alias("n_shingles"), F.col("component").alias("component_id"), F.col("doc").eqNullSafe(F.col("component")).alias("kept"))
 
 
 QUERIES = {"op10_setsketch": op10_setsketch}
-SQL: dict[str, str] = {}
+SQL = {
+    "op10_setsketch": rf"""WITH RECURSIVE word_lists AS (
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS ws FROM documents),
+sets AS MATERIALIZED (
+  SELECT doc_id, list_sort(list_distinct(CASE WHEN len(ws) < 2 THEN ws ELSE list_transform(range(1, len(ws)), lambda k: ws[k] || ' ' || ws[k + 1]) END)) AS parts FROM word_lists),
+classes AS MATERIALIZED (SELECT min(doc_id) AS id, parts FROM sets WHERE len(parts) > 0 GROUP BY parts),
+entries AS (SELECT id, len(parts) AS n, unnest(parts) AS part FROM classes),
+links AS MATERIALIZED (
+  SELECT a.id AS x, b.id AS y FROM entries a JOIN entries b ON a.part = b.part AND a.id < b.id AND 100 * a.n >= 80 * b.n AND 100 * b.n >= 80 * a.n
+  GROUP BY a.id, b.id, a.n, b.n HAVING 100 * count(*) >= 80 * (a.n + b.n - count(*))),
+edges AS (SELECT x, y FROM links UNION ALL SELECT y, x FROM links),
+reach AS (SELECT id, id AS least FROM classes UNION SELECT edges.y, reach.least FROM reach JOIN edges ON edges.x = reach.id AND reach.least < edges.y),
+lowest AS (SELECT id, min(least) AS least FROM reach GROUP BY id)
+SELECT s.doc_id, CAST(len(s.parts) AS BIGINT) AS n_shingles, coalesce(l.least, s.doc_id) AS component_id, s.doc_id = coalesce(l.least, s.doc_id) AS kept
+FROM sets s LEFT JOIN classes c ON s.parts = c.parts AND len(s.parts) > 0 LEFT JOIN lowest l ON l.id = c.id"""
+}

@@ -9,6 +9,7 @@ from collections import Counter, defaultdict
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from dictparse.llm import decontamination, html_extraction, knn, line_dedup, near_dedup, packing, repeats, sharding, token_counts, toxicity
 
@@ -430,8 +431,38 @@ def test_near_duplicates(spark, rows, width):
     assert got == brute_components(rows, width)
 
 
+def test_words_whose_polynomial_hashes_collide_are_apart(spark):
+    word = "a"
+    while len(word) < 2048:  # a Thue-Morse word and its complement: equal under any polynomial modulo 2 ** 64
+        word += word.translate({97: 98, 98: 97})
+    docs = table(spark, [(1, word), (2, word.translate({97: 98, 98: 97})), (3, word.upper())])
+    assert {r.doc: r.component for r in near_dedup.near_duplicates(docs).collect()} == {1: 1, 2: 2, 3: 1}
+
+
+def test_exact_sets_tell_words_apart():
+    texts = [b"a b c d", b"A b c", b"a", b"", b"b c d e a b c"]
+    for width in (1, 2, 3):
+        listed = [[x.lower() for x in t.split()] for t in texts]
+        plain = [{tuple(w[k : k + width]) for k in range(max(1, len(w) - width + 1))} for w in listed]
+        for s, p in zip(near_dedup.exact_sets(texts, width), plain, strict=True):
+            for t, q in zip(near_dedup.exact_sets(texts, width), plain, strict=True):
+                assert len(np.intersect1d(s, t)) <= len(p) == len(s)
+        sets = near_dedup.exact_sets(texts, width)
+        assert [[len(np.intersect1d(s, t)) for t in sets] for s in sets] == [[len(p & q) for q in plain] for p in plain]
+
+
+def test_hot_keys_are_joined_by_broadcast(spark):
+    from dictparse.llm.common import skewed_join
+
+    left = spark.range(3000).selectExpr("id", "CASE WHEN id < 1000 THEN 7 WHEN id % 10 = 0 THEN NULL ELSE id END AS k")
+    right = spark.range(0, 3000, 2).selectExpr("id AS k", "id * 2 AS v").unionByName(spark.createDataFrame([(7, 14)], "k long, v long"))
+    plain = sorted(map(str, left.join(right, "k", "left").select("id", "k", "v").collect()))
+    assert sorted(map(str, skewed_join(left, right, "k").select("id", "k", "v").collect())) == plain
+    assert skewed_join(left, right, "k", "inner").count() == left.join(right, "k").count()
+
+
 def test_keep_first(spark, rows):
-    docs = table(spark, rows)
+    docs = table(spark, rows).withColumn("own", F.lit(1)).withColumn("Rows", F.lit(2)).withColumn("kept", F.lit(3))
     kept = near_dedup.keep_first(docs)
     assert kept.columns == docs.columns
     expected = {i for i, _, c in brute_components(rows, 5) if i == c}
