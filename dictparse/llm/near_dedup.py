@@ -9,8 +9,9 @@ left out. In each pass the joint likelihood of two register rows, given both set
 is confirmed on the words of both texts, exactly and not by hashes. Linked classes form components.
 
 Hot groups: members of a bucket come in blocks, and blocks that hold only the bucket's largest component aren't looked at against each
-other; a pair that shares several bands is looked at in the first of them; pairs to confirm come in families of bounded size, so a text
-goes once to a family and not to every pair; classes and components that hold many rows are joined by broadcast.
+other; a pair that shares several bands is looked at in the first of them; likely pairs stay inside their block, where each member names
+its partners, and are never rows; what is confirmed together is of bounded size, and a text goes there once and not with every pair;
+classes and components that hold many rows are joined by broadcast.
 
 Edge cases: a text with fewer words than a shingle is its whole word sequence; one without words is empty and linked with nothing;
 null texts are empty; a missing id is an id smaller than all others; rows that share an id are one document, linked whatever their
@@ -39,8 +40,9 @@ M, ROWS, BASE = 160, 5, 1.02
 BANDS = M // ROWS
 #: Standard deviations that an estimate may lie below the limit.
 MARGIN = 5.0
-#: Members of a bucket looked at together; shingles of one family confirmed together; a member's likeliest partners that are tried first.
-BLOCK, FAMILY, NEAREST = 1024, 200_000, 8
+#: Weight of a bucket's members looked at together, and of those whose texts are confirmed together (a text weighs its shingles and
+#: LIGHT more); a member's likeliest partners that are tried first.
+BLOCK, FAMILY, LIGHT, NEAREST = 1 << 19, 50_000, 50, 8
 #: Rows that a worker looks at together, if they aren't of one bucket; words whose hashes it remembers.
 TOGETHER, REMEMBERED = 16_384, 300_000
 #: A-Z folded; words end at ASCII white space, as bytes.split() does it.
@@ -182,16 +184,6 @@ def _bands(nodes: DataFrame) -> DataFrame:
     return nodes.select("id", "regs").mapInArrow(lean(run), "key long, id long")
 
 
-_PAIRS = "a long, b long, n_a long, n_b long"
-
-
-def _pairs(a: np.ndarray, b: np.ndarray, n_a: np.ndarray, n_b: np.ndarray) -> pa.RecordBatch:
-    """Pairs with the smaller id first."""
-    swap = a > b
-    columns = (np.where(swap, b, a), np.where(swap, a, b), np.where(swap, n_b, n_a), np.where(swap, n_a, n_b))
-    return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], names=["a", "b", "n_a", "n_b"])
-
-
 def _starred(pairs: DataFrame, nodes: DataFrame, similarity: int) -> DataFrame:
     """The pairs (a, b) that the registers of both sides don't rule out; many pairs may share their a."""
     a = nodes.select(F.col("id").alias("a"), F.col("n").alias("n_a"), F.col("regs").alias("r_a"))
@@ -202,9 +194,9 @@ def _starred(pairs: DataFrame, nodes: DataFrame, similarity: int) -> DataFrame:
             if x.num_rows:
                 n_a, n_b = x.column("n_a").to_numpy(), x.column("n_b").to_numpy()
                 ok = np.flatnonzero(link_estimate(_regs(x.column("r_a")), _regs(x.column("r_b")), n_a, n_b, similarity) >= 0)
-                yield _pairs(x.column("a").to_numpy()[ok], x.column("b").to_numpy()[ok], n_a[ok], n_b[ok])
+                yield x.select(["a", "b", "n_a", "n_b"]).take(pa.array(ok))
 
-    return skewed_join(pairs.join(b, "b"), a, "a").select("a", "b", "n_a", "r_a", "n_b", "r_b").mapInArrow(lean(run), _PAIRS)
+    return skewed_join(pairs.join(b, "b"), a, "a").select("a", "b", "n_a", "r_a", "n_b", "r_b").mapInArrow(lean(run), "a long, b long, n_a long, n_b long")
 
 
 def exact_sets(texts: list[bytes], width: int) -> list[np.ndarray]:
@@ -238,9 +230,9 @@ def _confirmed(pairs: DataFrame, texts: DataFrame, width: int, similarity: int)
     two = both.join(one.select(F.col("a").alias("b"), "g"), "b").groupBy("a").agg(F.min("g").alias("g"))
     grouped = written(pairs.join(two, "a").join(two.select(F.col("a").alias("b"), F.col("g").alias("h")), "b").withColumn("g", F.least("g", "h")).drop("h"), "near-groups")
     ends = grouped.select("g", F.explode(F.array(F.struct(F.col("a").alias("id"), F.col("n_a").alias("n")), F.struct(F.col("b").alias("id"), F.col("n_b").alias("n")))).alias("e")).distinct()
-    sizes = written(ends.groupBy("g").agg(F.sum("e.n").alias("n")), "near-sizes")
+    sizes = written(ends.groupBy("g").agg(F.sum(F.col("e.n") + LIGHT).alias("n")), "near-sizes")
     small = F.col("n") <= FAMILY
-    tasks = 1 + int(sizes.where(small).agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]) // FAMILY
+    tasks = _tasks(sizes.where(small), "n")
     blocks = F.ceil(F.col("n") / FAMILY)
     own = lambda c: F.when(small, F.lit(-1)).otherwise(F.pmod(F.xxhash64(c), blocks))
     held = F.when(small, F.pmod(F.xxhash64("g"), F.lit(tasks))).otherwise(F.col("g"))
@@ -348,36 +340,46 @@ class Bucket:
         return pairs[0], pairs[1]
 
 
-def _across(buckets: DataFrame, roots: DataFrame, nodes: DataFrame, similarity: int, nearest: int | None = None) -> DataFrame:
-    """Likely pairs of different components that share a bucket.
+def _tasks(rows: DataFrame, weight: str) -> int:
+    return 1 + int(rows.agg(F.coalesce(F.sum(weight), F.lit(0))).first()[0]) // FAMILY
 
-    With `nearest`, only so many of the likeliest partners of each member outside the bucket's largest component, within one block.
+
+def _partners(buckets: DataFrame, roots: DataFrame, nodes: DataFrame, similarity: int, nearest: int | None) -> DataFrame:
+    """(key, x, y, whole, id, n, partners): members of a bucket's block (or pair of blocks x, y) with the ids of their likely partners.
+
+    A pair across components is named by one of its two members, the other is a row too. With `nearest`, only so many of the
+    likeliest partners of each member outside the bucket's largest component, within one block.
     """
-    buckets = written(buckets.join(roots, "id").select("key", "id", "root"), "near-members")
-    held = buckets.groupBy("key", "root").agg(F.count("*").alias("held"))
+    buckets = written(buckets.join(roots, "id").join(nodes.select("id", "n"), "id").select("key", "id", "root", "n"), "near-members")
+    held = buckets.groupBy("key", "root").agg(F.sum(F.col("n") + LIGHT).alias("held"))
     mixed = held.groupBy("key").agg(F.sum("held").alias("size"), F.max("held").alias("most"), F.max_by("root", "held").alias("top"), F.count("*").alias("roots")).where("roots > 1").drop("roots")
-    members = skewed_join(buckets, mixed, "key", how="inner")
-    dealt = lambda rows: F.pmod(F.xxhash64("id"), F.ceil(rows / BLOCK))
+    members = skewed_join(buckets, mixed, "key", how="inner").withColumn("whole", F.col("size") <= BLOCK)
+    dealt = lambda weight: F.pmod(F.xxhash64("id"), F.ceil(weight / BLOCK))
     if nearest:
         pairs = members.withColumn("own", dealt(F.col("size"))).withColumn("x", F.col("own")).withColumn("y", F.col("own"))
     else:
         # blocks of the largest component have numbers below 0 and meet only the others
-        top, rest = F.col("root") == F.col("top"), F.ceil((F.col("size") - F.col("most")) / BLOCK)
-        own = F.when(F.col("size") <= BLOCK, F.lit(0)).when(top, -1 - dealt(F.col("most"))).otherwise(dealt(F.col("size") - F.col("most")))
-        others = F.when(F.col("size") <= BLOCK, F.array(F.lit(0).cast("long"))).when(top, F.sequence(F.lit(0).cast("long"), rest - 1))
-        others = others.otherwise(F.sequence(-F.ceil(F.col("most") / BLOCK), rest - 1))
-        pairs = members.withColumn("own", own).withColumn("other", F.explode(others)).withColumn("x", F.least("own", "other")).withColumn("y", F.greatest("own", "other"))
+        top, others = F.col("root") == F.col("top"), F.col("size") - F.col("most")
+        first, last, zero = -F.ceil(F.col("most") / BLOCK), F.ceil(others / BLOCK) - 1, F.lit(0).cast("long")
+        own = F.when(F.col("whole"), F.lit(0)).when(top, -1 - dealt(F.col("most"))).otherwise(dealt(others))
+        met = F.when(F.col("whole"), F.array(zero)).when(top, F.sequence(zero, last)).otherwise(F.sequence(first, last))
+        pairs = members.withColumn("own", own).withColumn("met", F.explode(met)).withColumn("x", F.least("own", "met")).withColumn("y", F.greatest("own", "met"))
+
+    def look(rows: pa.Table) -> pa.RecordBatch:
+        key, x, y = (rows[c].to_numpy() for c in ("key", "x", "y"))
+        edge = np.r_[True, (key[1:] != key[:-1]) | (x[1:] != x[:-1]) | (y[1:] != y[:-1])]
+        bucket = Bucket(rows, np.cumsum(edge) - 1, similarity)
+        i, j, estimate = bucket.likely(x != y)
+        if nearest:
+            i, j = bucket.nearest(i, j, estimate, nearest)
+        by = np.argsort(i, kind="stable")
+        i, j = i[by], j[by]
+        at = np.unique(np.concatenate([i, j]))
+        named = pa.ListArray.from_arrays(pa.array(np.searchsorted(i, np.r_[at, len(bucket.ids)]), pa.int32()), pa.array(bucket.ids[j], pa.int64()))
+        some = rows.select(["key", "x", "y", "whole", "id", "n"]).take(pa.array(at))
+        return some.append_column("partners", named).combine_chunks().to_batches()[0] if len(at) else None
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        def look(rows: pa.Table) -> pa.RecordBatch:
-            key, x, y = (rows[c].to_numpy() for c in ("key", "x", "y"))
-            edge = np.r_[True, (key[1:] != key[:-1]) | (x[1:] != x[:-1]) | (y[1:] != y[:-1])]
-            bucket = Bucket(rows, np.cumsum(edge) - 1, similarity)
-            i, j, estimate = bucket.likely(x != y)
-            if nearest:
-                i, j = bucket.nearest(i, j, estimate, nearest)
-            return _pairs(bucket.ids[i], bucket.ids[j], bucket.n[i], bucket.n[j])
-
         waiting: list[pa.RecordBatch] = []
         for b in batches:
             if not b.num_rows:
@@ -389,14 +391,41 @@ def _across(buckets: DataFrame, roots: DataFrame, nodes: DataFrame, similarity:
             last = [rows[c][-1].as_py() for c in ("key", "x", "y")]
             same = np.logical_and.reduce([rows[c].to_numpy() == v for c, v in zip(("key", "x", "y"), last, strict=True)])
             cut = int(same.argmax())  # the last group may go on
-            if cut:
-                yield look(rows.slice(0, cut))
+            if cut and (found := look(rows.slice(0, cut))):
+                yield found
             waiting = rows.slice(cut).combine_chunks().to_batches()
-        if waiting:
-            yield look(pa.Table.from_batches(waiting))
+        if waiting and (found := look(pa.Table.from_batches(waiting))):
+            yield found
+
+    shape = pairs.select("key", F.col("x").cast("long").alias("x"), F.col("y").cast("long").alias("y"), F.col("own").cast("long").alias("own"), "whole", "id", "root", "n").join(nodes.select("id", "regs"), "id")
+    return shape.repartition("key", "x", "y").sortWithinPartitions("key", "x", "y").mapInArrow(lean(run), "key long, x long, y long, whole boolean, id long, n long, partners array<long>")
+
+
+def _across(buckets: DataFrame, roots: DataFrame, nodes: DataFrame, texts: DataFrame, width: int, similarity: int, nearest: int | None = None) -> DataFrame:
+    """Confirmed links (a, b) of different components that share a bucket."""
+    named = written(_partners(buckets, roots, nodes, similarity, nearest).withColumn("weight", F.col("n") + LIGHT), "near-partners")
+    # whole buckets are confirmed several at a time, so a text that is in many of them goes there once
+    tasks = _tasks(named.where("whole").select("id", "weight").distinct(), "weight")
+    placed = named.withColumn("g", F.when(F.col("whole"), F.pmod(F.xxhash64("key"), F.lit(4 * tasks))).otherwise(F.col("key")))
+    placed = placed.select("g", *(F.when(F.col("whole"), F.lit(-1 << 62)).otherwise(F.col(c)).alias(c) for c in ("x", "y")), "id", "partners")
+    wanted = placed.select(F.col("g").alias("g_"), F.col("x").alias("x_"), F.col("y").alias("y_"), F.col("id").alias("member")).distinct().join(texts.withColumnRenamed("id", "member"), "member")
+
+    def confirm(members: pa.Table, texts: pa.Table) -> pa.Table:
+        sets = dict(zip(texts["member"].to_pylist(), exact_sets(texts["text"].to_pylist(), width), strict=True))
+        left, right = [], []
+        for i, others in zip(members["id"].to_pylist(), members["partners"].to_pylist(), strict=True):
+            if others:
+                own, them = sets[i], [sets[j] for j in others]
+                sizes = np.array([len(t) for t in them])
+                joined = np.concatenate(them)
+                at = np.minimum(np.searchsorted(own, joined), len(own) - 1)
+                both = np.add.reduceat(own[at] == joined, np.cumsum(sizes) - sizes, dtype=np.int64)
+                linked = np.flatnonzero(100 * both >= similarity * (len(own) + sizes - both))
+                left += [i] * len(linked)
+                right += [others[k] for k in linked]
+        return pa.table({"a": pa.array(left, pa.int64()), "b": pa.array(right, pa.int64())})
 
-    shape = pairs.select("key", F.col("x").cast("long").alias("x"), F.col("y").cast("long").alias("y"), F.col("own").cast("long").alias("own"), "id", "root").join(nodes.select("id", "n", "regs"), "id")
-    return shape.repartition("key", "x", "y").sortWithinPartitions("key", "x", "y").mapInArrow(lean(run), _PAIRS)
+    return placed.groupBy("g", "x", "y").cogroup(wanted.groupBy("g_", "x_", "y_")).applyInArrow(confirm, "a long, b long").distinct()
 
 
 def _texts(docs: DataFrame, doc: str, text: str, involved: DataFrame, width: int) -> DataFrame:
@@ -427,7 +456,7 @@ def near_duplicates(docs: DataFrame, doc: str = "doc_id", text: str = "text", wi
     stars = written(buckets.where("id <> least").select(F.col("least").alias("a"), F.col("id").alias("b")).distinct(), "near-stars")
     roots = _merged(roots, _confirmed(_starred(stars, nodes, similarity), texts, width, similarity))
     for nearest in (NEAREST, None):
-        roots = _merged(roots, _confirmed(_across(buckets, roots, nodes, similarity, nearest), texts, width, similarity))
+        roots = _merged(roots, _across(buckets, roots, nodes, texts, width, similarity, nearest))
     # rows that share an id are one document, whatever their sets
     several = full.join(full.groupBy("own").count().where("count > 1").select("own"), "own").select("own", "class").distinct().join(nodes.select("class", "id"), "class")
     several = several.join(several.groupBy("own").agg(F.min("id").alias("lo")), "own").where("id <> lo").select(F.col("lo").alias("a"), F.col("id").alias("b"))
