@@ -91,19 +91,20 @@ def fresh(df: DataFrame, name: str) -> str:
     return name
 
 
-def skewed_join(rows: DataFrame, small: DataFrame, key: str, how: str = "left", share: int = 1000) -> DataFrame:
+def skewed_join(rows: DataFrame, small: DataFrame, *keys: str, how: str = "left", share: int = 1000) -> DataFrame:
     """Joins a table that has each key once, where one key may hold a large part of the rows.
 
     A key that holds more than 1/share of all rows is hot; there are fewer than `share` of those, so what belongs to them is sent to
     all tasks, and only the other rows are shuffled.
     """
-    counts = rows.groupBy(key).agg(F.count(F.lit(1)).alias("held")).where(F.col(key).isNotNull())
+    on = [*keys]
+    counts = rows.groupBy(*on).agg(F.count(F.lit(1)).alias("held")).where(F.col(on[0]).isNotNull())
     total = rows.count()
-    hot = written(small.join(counts.where(F.col("held") > max(total // share, 64)).select(key), key), "hot-keys")
+    hot = written(small.join(counts.where(F.col("held") > max(total // share, 64)).select(*on), on), "hot-keys")
     if hot.isEmpty():
-        return rows.join(small, key, how)
-    cold = rows.join(F.broadcast(hot.select(key)), key, "left_anti").join(small, key, how)
-    return rows.join(F.broadcast(hot), key).unionByName(cold)
+        return rows.join(small, on, how)
+    cold = rows.join(F.broadcast(hot.select(*on)), on, "left_anti").join(small, on, how)
+    return rows.join(F.broadcast(hot), on).unionByName(cold)
 
 
 def utf8_bytes(text: Column) -> Column:
