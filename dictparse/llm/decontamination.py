@@ -1,12 +1,14 @@
 """Benchmark decontamination with suffix arrays of the training texts.
 
 Each shard (the texts of some megabytes, or one longer text) gets a suffix array over its words: suffixes in the order of their
-first `depth` words, by prefix doubling on ranks. Every test suffix is binary-searched in it; the matching range gives the places
-of a window, and comparison beyond it the longest verbatim match. Nothing is shuffled: the test items, a stated set, go to the
-shards in blocks of bounded size, and each block adds to the marks that a row carries.
+first words, at least as many as a window has, by prefix doubling on ranks. Every test suffix is binary-searched in it by its first
+window; the range found gives all places, and places that follow each other in text and item alike make up the longest verbatim
+matches with their locations, whose words are the hits. Nothing is shuffled: the test items, a stated set, go to the shards in blocks
+of bounded size. Arrays are built for each block of items; a benchmark of up to BLOCK_BYTES is one block.
 
 Edge cases: a null text has no words; an item with fewer words than a window is one window, without words none; repeated rows
-give repeated results; with an empty benchmark nothing is hit; further columns are kept by `decontaminate` and not read otherwise.
+give repeated results; with an empty benchmark nothing is hit; further columns, whatever their names, are kept by `decontaminate`.
+A text must fit in a Python worker some 30 times.
 """
 
 from __future__ import annotations
@@ -19,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from dictparse.llm.common import map_batches, read, texts_of, utf8_bytes
+from dictparse.llm.common import fresh, map_batches, read, texts_of
 
 WINDOW = 10
 #: Bytes of item texts that are sent to the executors at once.
@@ -105,54 +107,39 @@ class Items:
             own += [(k, at, size) for at in range(len(w) - size + 1 if size else 0)]
         self.windows = own
 
-    def numbered(self, shard: Shard) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """(item, word numbers, length) of the windows all of whose words the shard has."""
+    def numbered(self, shard: Shard) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """(item, place in it, word numbers, length) of the windows all of whose words the shard has."""
         get = shard.vocabulary.get
         numbers = [np.array([get(x, -1) for x in w], np.int32) for w in self.words]
-        item, rows, size = [], [], []
+        item, place, rows, size = [], [], [], []
         for k, at, n in self.windows:
             q = numbers[k][at : at + n]
             if q.min() > 0:
                 item.append(k)
+                place.append(at)
                 rows.append(np.pad(q, (0, self.window - n)))
                 size.append(n)
-        return np.array(item, np.int64), np.array(rows, np.int32).reshape(-1, self.window), np.array(size, np.int64)
+        return np.array(item, np.int64), np.array(place, np.int64), np.array(rows, np.int32).reshape(-1, self.window), np.array(size, np.int64)
 
 
-def matches(shard: Shard, items: Items) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(item, place, length) of every occurrence of a window in the shard."""
-    item, queries, size = items.numbered(shard)
+def longest_matches(shard: Shard, items: Items) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(item, place in it, place in the shard, length) of every longest verbatim match of at least a window (or a short item)."""
+    item, at, queries, size = items.numbered(shard)
     if not len(item) or not len(shard.order):
         none = np.zeros(0, np.int64)
-        return none, none, none
+        return none, none, none, none
     lo, hi = shard.ranges(queries, size)
     count = hi - lo
     which = np.repeat(np.arange(len(item)), count)
-    inside = np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count)
-    return item[which], shard.order[lo[which] + inside], size[which]
-
-
-def longest_matches(shard: Shard, test: list[bytes]) -> list[tuple[int, int]]:
-    """For every suffix of the test words: length of its longest verbatim match in the shard and a place of it (-1: none)."""
-    q = np.array([shard.vocabulary.get(w, -1) for w in test], np.int32)
-    out = []
-    for at in range(len(q)):
-        best, place, lo, hi = 0, -1, 0, len(shard.order)
-        size = 0
-        while at + size < len(q) and q[at + size] > 0 and size < 16:
-            a, b = shard.ranges(np.pad(q[at : at + size + 1], (0, 15 - size))[None, :], np.array([size + 1]))
-            if a[0] == b[0]:
-                break
-            lo, hi, size = int(a[0]), int(b[0]), size + 1
-        if size:
-            for p in shard.order[lo:hi].tolist():
-                m = size
-                while at + m < len(q) and p + m < len(shard.words) and q[at + m] == shard.words[p + m]:
-                    m += 1
-                if m > best:
-                    best, place = m, p
-        out.append((best, place))
-    return out
+    place = shard.order[lo[which] + np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count)]
+    # windows one word apart in both belong to one match
+    by = np.lexsort((place, place - at[which], item[which]))
+    which, place = which[by], place[by]
+    first = np.ones(len(which), bool)
+    first[1:] = (item[which][1:] != item[which][:-1]) | (np.diff(place) != 1) | (np.diff(at[which]) != 1)
+    begin = np.flatnonzero(first)
+    last = np.r_[begin[1:], len(which)] - 1
+    return item[which[begin]], at[which[begin]], place[begin], place[last] - place[begin] + size[which[last]] if len(begin) else begin
 
 
 def _groups(batches: Iterator[pa.RecordBatch], text: str) -> Iterator[tuple[pa.RecordBatch, list[bytes]]]:
@@ -184,11 +171,11 @@ def _blocks(items: DataFrame, item: str, text: str) -> Iterator[list[tuple[str,
 
 
 def mark(docs: DataFrame, benchmark: DataFrame, text: str = "text", item: str = "item_id", item_text: str = "text", window: int = WINDOW) -> DataFrame:
-    """Adds _n_words, _spans (merged [from, to) word spans, flat) and _items (ids of items with an occurring window, sorted)."""
+    """The documents, and as the last three columns _n_words, _spans (merged [from, to) word spans, flat) and _items (ids of items with
+    an occurring window, sorted), or like names that are free."""
     spark = docs.sparkSession
-    base = [f for f in docs.schema.fields]
-    schema = "struct<" + ",".join(f"`{f.name}`:{f.dataType.simpleString()}" for f in base) + ",_n_words:bigint,_spans:array<bigint>,_items:array<string>>"
-    out = docs.select("*", F.lit(0).cast("long").alias("_n_words"), F.array().cast("array<bigint>").alias("_spans"), F.array().cast("array<string>").alias("_items"))
+    kinds = dict(zip((fresh(docs, c) for c in ("_n_words", "_spans", "_items")), ("bigint", "array<bigint>", "array<string>"), strict=True))
+    out = docs.select("*", *((F.lit(0) if kind == "bigint" else F.array()).cast(kind).alias(c) for c, kind in kinds.items()))
     for rows in list_blocks(benchmark, item, item_text):
         sent = spark.sparkContext.broadcast(rows)
 
@@ -197,7 +184,7 @@ def mark(docs: DataFrame, benchmark: DataFrame, text: str = "text", item: str =
             for batch, texts in _groups(batches, text):
                 yield _marked(batch, texts, items)
 
-        out = map_batches(out, run, schema[7:-1].replace("`:", "` "))
+        out = map_batches(out, run, ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in out.schema.fields))
     return out
 
 
@@ -212,11 +199,12 @@ def list_blocks(benchmark: DataFrame, item: str, item_text: str) -> Iterator[lis
 
 
 def _marked(batch: pa.RecordBatch, texts: list[bytes], items: Items) -> pa.RecordBatch:
-    shard = Shard([words(t) for t in texts])
-    item, place, size = matches(shard, items)
+    shard = Shard([words(t) for t in texts], items.window)
+    item, _, place, size = longest_matches(shard, items)
     row = np.searchsorted(shard.starts, place, "right") - 1
     n_words = np.diff(shard.starts) - 1
-    spans, names = batch.column("_spans").to_pylist(), batch.column("_items").to_pylist()
+    *kept, _, old_spans, old_items = batch.columns
+    spans, names = old_spans.to_pylist(), old_items.to_pylist()
     by = np.lexsort((place, row))
     cuts = np.searchsorted(row[by], np.arange(len(texts) + 1))
     for k in np.unique(row).tolist():
@@ -225,8 +213,8 @@ def _marked(batch: pa.RecordBatch, texts: list[bytes], items: Items) -> pa.Recor
         old = np.array(spans[k], np.int64).reshape(-1, 2)
         spans[k] = _merged(np.concatenate([a, old[:, 0]]), np.concatenate([a + size[mine], old[:, 1]]))
         names[k] = sorted({*names[k], *(items.ids[x] for x in np.unique(item[mine]).tolist() if items.ids[x] is not None)})
-    new = {"_n_words": pa.array(n_words, pa.int64()), "_spans": pa.array(spans, pa.list_(pa.int64())), "_items": pa.array(names, pa.list_(pa.string()))}
-    return pa.RecordBatch.from_arrays([new.get(n, batch.column(n)) for n in batch.schema.names], names=batch.schema.names)
+    new = [pa.array(n_words, pa.int64()), pa.array(spans, pa.list_(pa.int64())), pa.array(names, pa.list_(pa.string()))]
+    return pa.RecordBatch.from_arrays([*kept, *new], names=batch.schema.names)
 
 
 def _merged(begin: np.ndarray, end: np.ndarray) -> list[int]:
@@ -239,10 +227,12 @@ def _merged(begin: np.ndarray, end: np.ndarray) -> list[int]:
 
 def decontaminate(docs: DataFrame, benchmark: DataFrame, text: str = "text") -> DataFrame:
     """The documents in which no window of an item occurs; columns stay as they are."""
-    return mark(docs, benchmark, text).where(F.size("_spans") == 0).select(*docs.columns)
+    marked = mark(docs, benchmark, text)
+    return marked.where(F.size(marked.columns[-2]) == 0).select(*docs.columns)
 
 
 def op2_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """doc_id, n_words, n_hit, n_items, items_sha256, contaminated of every document."""
     docs = read(spark, sf_dir, "documents").select("doc_id", "text")
     marked = mark(docs, read(spark, sf_dir, "benchmark"))
     signed = F.transform("_spans", lambda x, k: F.when(k % 2 == 1, x).otherwise(-x))

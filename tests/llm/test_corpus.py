@@ -151,6 +151,8 @@ def test_decontamination(spark, rows):
     assert got == sorted((i if i is not None else -1, *brute_hits(t, items)) for i, t in rows)
     clean = decontamination.decontaminate(docs, bench)
     assert clean.columns == docs.columns
+    clashing = decontamination.decontaminate(docs.select("*", F.lit("own").alias("_spans"), F.lit("own").alias("_Items")), bench)
+    assert clashing.where("_spans = 'own' AND _items = 'own'").count() == clean.count()
     assert clean.count() == sum(brute_hits(t, items)[1] == 0 for _, t in rows)
     old, decontamination.BLOCK_BYTES = decontamination.BLOCK_BYTES, 100  # items in blocks
     try:
@@ -159,18 +161,28 @@ def test_decontamination(spark, rows):
         decontamination.BLOCK_BYTES = old
 
 
-def test_word_suffix_array():
-    rng = random.Random(1)
-    texts = [[b"abc"[k : k + 1] for k in (rng.randrange(3) for _ in range(n))] for n in (50, 0, 1, 80)]
-    shard = decontamination.Shard(texts)
+@pytest.mark.parametrize("window", [3, 10, 40])
+def test_longest_matches(window):
+    rng = random.Random(window)
+    texts = [[b"abc"[k : k + 1] for k in (rng.randrange(3) for _ in range(n))] for n in (150, 0, 1, 300)]
+    texts.append(texts[0][20:120] + [b"z"] + texts[3][:90])
+    shard = decontamination.Shard(texts, window)
     seq = shard.words.tolist()
-    assert [seq[i : i + 16] for i in shard.order] == sorted(seq[i : i + 16] for i in range(len(seq)))
-    test = [b"a", b"b", b"z", b"c", b"a", b"a"]
-    for at, (size, place) in enumerate(decontamination.longest_matches(shard, test)):
-        naive = max((n for n in range(len(test) - at + 1) if any(t[k : k + n] == test[at : at + n] for t in texts for k in range(len(t) - n + 1))), default=0)
-        assert size == naive
-        if size:
-            assert [shard.vocabulary[w] for w in test[at : at + size]] == seq[place : place + size]
+    assert [seq[i : i + window] for i in shard.order] == sorted(seq[i : i + window] for i in range(len(seq)))
+    test = [texts[0][10:100], [b"y"] + texts[3][40:81] + [b"y"], texts[3][7:9], [], [b"q"] * 50]
+    items = decontamination.Items([(str(k), b" ".join(t)) for k, t in enumerate(test)], window)
+    expected = set()
+    for k, t in enumerate(test):
+        for r, own in enumerate(texts):
+            for a in range(len(t)):
+                for b in range(len(own)):
+                    if t[a] == own[b] and (not a or not b or t[a - 1] != own[b - 1]):
+                        n = 0
+                        while a + n < len(t) and b + n < len(own) and t[a + n] == own[b + n]:
+                            n += 1
+                        if n >= min(window, len(t)):
+                            expected.add((k, a, int(shard.starts[r]) + b, n))
+    assert {*zip(*(x.tolist() for x in decontamination.longest_matches(shard, items)), strict=True)} == expected
 
 
 # ---- token counts
@@ -384,15 +396,19 @@ def test_line_dedup(spark, rows):
     many = rows + [(300 + k, f"  A LINE that many documents have \t\n{'x' * (18 + k % 3)}\nown {k}\n\n") for k in range(12)] + [(311, "a line that many documents have")]
     got = sorted((r.doc_id if r.doc_id is not None else -1, r._n_lines, r._n_dropped, r._kept) for r in line_dedup.drop_repeated_lines(table(spark, many)).collect())
     assert got == brute_lines(many)
+    clashing = table(spark, many).select("*", *(F.lit(k).alias(c) for k, c in enumerate(("_doc", "_lines", "_stay", "_KEPT", "_n_lines", "drops", "batch", "h2"))))
+    wide = line_dedup.drop_repeated_lines(clashing)
+    assert wide.columns[:-3] == clashing.columns and wide.where("_doc <> 0 OR _stay <> 2 OR drops <> 5").count() == 0
+    assert sorted((r.doc_id if r.doc_id is not None else -1, r[-2], r[-1], r[-3]) for r in wide.collect()) == got
 
 
-def test_line_runs_know_what_is_new(spark):
-    batch = lambda lo, hi, doc: spark.createDataFrame([(k, k, doc) for k in range(lo, hi)], "h1 long, h2 long, doc long")
+def test_line_runs_hold_a_key_once(spark):
+    spans = [(0, 10), (5, 15), (12, 20), (0, 3), (30, 31)]
     runs = line_dedup.LineRuns(spark, fanout=2)
-    for n, (lo, hi) in enumerate([(0, 10), (5, 15), (12, 20), (0, 3), (30, 31)]):
-        fresh = {r.h1 for r in runs.unseen(batch(lo, hi, n)).collect()}
-        assert fresh == set(range(lo, hi)) - {k for a, b in [(0, 10), (5, 15), (12, 20), (0, 3), (30, 31)][:n] for k in range(a, b)}
-        runs.add(batch(lo, hi, n))
+    for n, (lo, hi) in enumerate(spans):
+        runs.add(spark.createDataFrame([(k, k, n) for k in range(lo, hi)], "h1 long, h2 long, doc long"))
+        held = [r.h1 for run in runs.runs() for r in run.collect()]
+        assert sorted(held) == sorted({k for a, b in spans[: n + 1] for k in range(a, b)})  # the anti-join lets no key in twice
     assert len(runs.runs()) < 5
     assert {(r.h1, r.max_doc) for r in runs.repeated(2).collect()} == {(k, 3) for k in range(3)} | {(k, 1) for k in range(5, 10)} | {(k, 2) for k in range(12, 15)}
 
@@ -458,7 +474,7 @@ def test_hot_keys_are_joined_by_broadcast(spark):
     right = spark.range(0, 3000, 2).selectExpr("id AS k", "id * 2 AS v").unionByName(spark.createDataFrame([(7, 14)], "k long, v long"))
     plain = sorted(map(str, left.join(right, "k", "left").select("id", "k", "v").collect()))
     assert sorted(map(str, skewed_join(left, right, "k").select("id", "k", "v").collect())) == plain
-    assert skewed_join(left, right, "k", "inner").count() == left.join(right, "k").count()
+    assert skewed_join(left, right, "k", how="inner").count() == left.join(right, "k").count()
 
 
 def test_keep_first(spark, rows):
