@@ -6,10 +6,11 @@ occurs in the whole corpus, estimates each voter's rates under both classes and
 voters; correlated voters share their weight. Its posterior labels train a linear classifier over votes and hashed words.
 
 Labels are read only from rows whose crc32(id as text) mod 5 is not 0, at most SAMPLE of them (those with the smallest id hash), of
-which FITTED train the classifier.
+which FITTED train the classifier. In the learned lexicons, labelled rows of one label that share their two smallest feature hashes
+(near copies) count as one row, so a text copied often is no evidence of its words.
 
 Edge cases: a null text is an empty one and gets the score of a text without features; repeated rows are scored each; without usable
-labels only the fixed lexicon votes; an empty table gives an empty result; further columns are not inputs.
+labels only the fixed lexicon votes; an empty table gives an empty result; further columns, whatever their names, are not inputs.
 """
 
 from __future__ import annotations
@@ -23,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from dictparse.llm.common import give_back, map_batches, read, texts_of
+from dictparse.llm.common import fresh, give_back, map_batches, read, texts_of
 
 #: Labelled rows read for the lexicons, at most; those of them that train the classifier, at most; its hashed weights.
 SAMPLE, FITTED, SPACE = 8_000, 4_000, 1 << 18
@@ -108,19 +109,19 @@ def is_held_out(doc: str) -> F.Column:
 
 def labelled_rows(docs: DataFrame, labels: DataFrame, doc: str, text: str, label: str, sample: int) -> DataFrame:
     """Label and text of the labelled sample."""
-    chosen = labels.where(~is_held_out(doc) & F.col(label).isNotNull() & F.col(doc).isNotNull()).groupBy(doc).agg(F.max(label).cast("int").alias("_y"))
-    chosen = chosen.orderBy(F.xxhash64(doc), doc).limit(sample).select(F.col(doc).alias("_id"), "_y")
+    marked = labels.where(~is_held_out(doc)).select(F.col(doc).alias("own"), F.col(label).alias("y")).where("own IS NOT NULL AND y IS NOT NULL")
+    chosen = marked.groupBy("own").agg(F.max("y").cast("int").alias("_y")).orderBy(F.xxhash64("own"), "own").limit(sample)
     # at most `sample` rows of 12 bytes
-    return docs.join(F.broadcast(chosen), docs[doc] == F.col("_id")).select("_y", F.col(text).alias(text))
+    return docs.select(F.col(doc).alias("own"), F.col(text).alias("text")).join(F.broadcast(chosen), "own").select("_y", "text")
 
 
-def training_rows(rows: DataFrame, text: str, most: int, votes: Votes | None = None) -> tuple[list[np.ndarray], np.ndarray]:
+def training_rows(rows: DataFrame, most: int, votes: Votes | None = None) -> tuple[list[np.ndarray], np.ndarray]:
     """Features of so many labelled rows (bounded, so they may come to the driver), and their labels or, given voters, their vote patterns."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hasher = Hasher()
         for b in batches:
-            texts = [t.decode() for t in texts_of(b, text)]
+            texts = [t.decode() for t in texts_of(b, "text")]
             own = [hasher.features(t) for t in texts]
             y = b.column("_y").to_pylist() if votes is None else [votes.pattern(t, f) for t, f in zip(texts, own, strict=True)]
             yield pa.RecordBatch.from_arrays([pa.array(y, pa.int64()), pa.array([f.tobytes() for f in own], pa.binary())], names=["y", "f"])
@@ -231,7 +232,7 @@ class Linear:
 
 def fit(docs: DataFrame, labels: DataFrame, doc: str = "doc_id", text: str = "text", label: str = "toxic", sample: int = SAMPLE) -> tuple[Votes, LabelModel, Linear]:
     labelled = labelled_rows(docs, labels, doc, text, label, sample)
-    features, y = training_rows(labelled, text, 2 * sample)
+    features, y = training_rows(labelled, 2 * sample)
     votes = Votes(learned_lexicon(features, y))
     del features
 
@@ -249,7 +250,7 @@ def fit(docs: DataFrame, labels: DataFrame, doc: str = "doc_id", text: str = "te
     rows = map_batches(docs.select(text), run, "p long, n long").groupBy("p").agg(F.sum("n").alias("n")).collect()
     model = LabelModel(np.array([r.p for r in rows] or [0], np.int64), np.array([r.n for r in rows] or [1], np.int64), float(np.clip(y.mean(), 0.01, 0.4)) if len(y) else 0.1)
     # the whole texts are read again: some voters look at more than the features
-    features, patterns = training_rows(labelled, text, FITTED, votes)
+    features, patterns = training_rows(labelled, FITTED, votes)
     linear = Linear(features, patterns, model.posterior(patterns) if len(patterns) else np.zeros(0))
     del features
     give_back()
@@ -257,7 +258,8 @@ def fit(docs: DataFrame, labels: DataFrame, doc: str = "doc_id", text: str = "te
 
 
 def scored(docs: DataFrame, labels: DataFrame, doc: str = "doc_id", text: str = "text", label: str = "toxic", sample: int = SAMPLE) -> DataFrame:
-    """The documents with `_score` beside their own columns."""
+    """The documents, and as the last column _score, or a like name that is free."""
+    name = fresh(docs, "_score")
     votes, _, linear = fit(docs, labels, doc, text, label, sample)
     sent = docs.sparkSession.sparkContext.broadcast((votes, linear))  # SPACE weights and a lexicon: fixed bounds
 
@@ -268,17 +270,20 @@ def scored(docs: DataFrame, labels: DataFrame, doc: str = "doc_id", text: str =
             texts = [t.decode() for t in texts_of(b, text)]
             features = [hasher.features(t) for t in texts]
             score = lin.score(np.array([v.pattern(t, f) for t, f in zip(texts, features, strict=True)], np.int64), features)
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(score, pa.float64())], names=[*b.schema.names, "_score"])
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(score, pa.float64())], names=[*b.schema.names, name])
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
-    return map_batches(docs, run, f"{schema}, _score double")
+    return map_batches(docs, run, f"{schema}, `{name}` double")
 
 
 def drop_toxic(docs: DataFrame, labels: DataFrame, doc: str = "doc_id", text: str = "text") -> DataFrame:
-    return scored(docs, labels, doc, text).where(F.col("_score") < 0.5).select(*docs.columns)
+    """The documents that score below 0.5; columns stay as they are."""
+    found = scored(docs, labels, doc, text)
+    return found.where(F.col(found.columns[-1]) < 0.5).select(*docs.columns)
 
 
 def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """doc_id, held_out, score, predicted of every document."""
     docs = read(spark, sf_dir, "documents").select("doc_id", "text")
     return scored(docs, read(spark, sf_dir, "labels").select("doc_id", "toxic")).select("doc_id", is_held_out("doc_id").alias("held_out"), F.col("_score").alias("score"), (F.col("_score") >= 0.5).cast("int").alias("predicted"))
 

@@ -315,18 +315,22 @@ def test_plan_is_best_fit_decreasing():
 # ---- kNN
 
 
-def test_knn(spark):
+def test_knn(spark, monkeypatch):
     rng = np.random.default_rng(0)
     data = [(k, [float(x) for x in rng.normal(0, 0.2, 8)]) for k in range(400)]
-    data += [(k, data[0][1]) for k in range(400, 460)] + [(500, None), (501, [1.0] * 7 + [None]), (502, [float("nan")] * 8), (503, [1.0] * 3), (None, data[1][1]), (399, data[399][1])]
-    got = sorted((r.query_id, r["rank"], r.id, r.score) for r in knn.top_k(spark.createDataFrame(data, "vec_id long, embedding array<float>"), "id % 50 = 0").collect())
-    usable = {i: np.floor(256 * np.array(v, np.float32).astype(np.float64)).astype(np.int64) for i, v in data if i is not None and v and len(v) == 8 and all(x is not None and math.isfinite(x) for x in v)}
+    data += [(k, data[0][1]) for k in range(400, 460)] + [(500, None), (501, [1.0] * 7 + [None]), (502, [float("nan")] * 8), (503, [1.0] * 3), (550, []), (None, data[1][1]), (399, data[399][1]), (50, data[7][1]), (50, data[50][1])]
+    usable = [(i, np.pad(np.floor(256 * np.array(v, np.float32).astype(np.float64)).astype(np.int64), (0, 8 - len(v)))) for i, v in data if i is not None and v is not None and all(x is not None and math.isfinite(x) for x in v)]
     expected = []
-    for q in sorted(usable):
+    for a, (q, v) in enumerate(usable):
         if q % 50 == 0:
-            top = sorted((-int(usable[q] @ v), i) for i, v in usable.items() if i != q)[:5]
+            top = sorted((-int(v @ w), i) for b, (i, w) in enumerate(usable) if a != b)[:5]
             expected += [(q, k, i, -s) for k, (s, i) in enumerate(top, 1)]
-    assert got == expected
+    table = spark.createDataFrame([(i, v, 1, "x") for i, v in data], "vec_id long, embedding array<float>, row long, cell string")
+    for cell, block, part in ((4096, 512, 20_000), (40, 2, 30)):  # one cell; many cells, blocks and parts
+        monkeypatch.setattr(knn, "CELL", cell)
+        monkeypatch.setattr(knn, "BLOCK", block)
+        monkeypatch.setattr(knn, "PART", part)
+        assert sorted((r.query_id, r["rank"], r.id, r.score) for r in knn.top_k(table, "id % 50 = 0").collect()) == sorted(expected)
     two = knn.top_k(spark.createDataFrame(data[:3], "vec_id long, embedding array<float>"), "id % 50 = 0").collect()
     assert len(two) == 2
 
@@ -351,8 +355,21 @@ def test_toxicity_finds_held_out_cases(spark):
     held = [k for k in range(600) if zlib.crc32(str(k).encode()) % 5 == 0]
     assert np.mean([(got[k] >= 0.5) == (k % 5 == 0) for k in held]) > 0.97
     assert got[1000] == got[1001] < 0.5 and all(0 <= s <= 1 for s in got.values())
-    kept = toxicity.drop_toxic(table(spark, rows), marks)
-    assert kept.columns == table(spark, rows).columns
+    clashing = table(spark, rows).select("*", F.lit(7).alias("_Score"), F.lit(8).alias("_y"), F.lit(9).alias("own"))
+    kept = toxicity.drop_toxic(clashing, marks)
+    assert kept.columns == clashing.columns and kept.where("_score <> 7 OR _y <> 8 OR own <> 9").count() == 0
+    assert sorted(r.doc_id for r in kept.collect()) == sorted(i for i, _ in rows if got[i] < 0.5)
+
+
+def test_toxicity_on_held_out_rows_of_a_given_table(spark, duck):
+    sf = "/root/testdata/sf0.01"
+    truth = dict(duck.execute(f"SELECT doc_id, max(toxic) FROM '{sf}/labels.parquet' WHERE toxic IS NOT NULL GROUP BY doc_id").fetchall())
+    rows = [r for r in toxicity.op8_toxicity(spark, sf).collect() if r.held_out and r.doc_id in truth]
+    toxic, clean = ([r for r in rows if truth[r.doc_id] == y] for y in (1, 0))
+    caught, false = sum(r.predicted for r in toxic), sum(r.predicted for r in clean)
+    auc = np.mean([(t.score > c.score) + 0.5 * (t.score == c.score) for t in toxic for c in clean])
+    print(f"held out {len(rows)}, toxic {len(toxic)}, AUC {auc:.3f}, precision {caught / max(1, caught + false):.3f}, recall {caught / len(toxic):.3f}")
+    assert auc > 0.9 and caught >= 0.8 * (caught + false) and caught >= 0.6 * len(toxic)
 
 
 def test_training_rows_are_voted_on_whole_texts(spark, monkeypatch):
