@@ -12,9 +12,11 @@ fingerprints instead of ranks, level by level:
 3. windows: what is left, and the windows of those that stand for a class, are counted one by one.
 
 Texts are held in chunks of some megabytes in a table bucketed by chunk. At each level a chunk sends each distinct fingerprint once
-(so copies add nothing), sorted, in blobs by fingerprint range, and gets a bit for each back; no texts are shuffled.
+(so copies add nothing), sorted, in blobs by group, and gets a bit for each back; no texts are shuffled. Groups, tasks and buckets grow
+with the text, and a chunk only touches groups that it has something for.
 
-Fingerprints have 64 bits, plus the bits of the range they are dealt to, which come from an independent hash.
+At levels 2 and 3 fingerprints have 64 bits, plus the bits of the group they are dealt to, both made of two independent hashes. A false
+match of two different windows has a chance of 2 ** -64 or less and isn't excluded. At level 1 a false match only leaves a window open.
 
 Edge cases: null texts are empty; texts shorter than the window lose nothing; windows never cross texts; texts without triggers (runs of
 one letter) are compared at level 3; repeated rows are repeats of each other; an empty table gives an empty result; further columns
@@ -120,15 +122,17 @@ class Chunk:
         upto = np.concatenate([[0], np.cumsum(candidate)])
         return np.flatnonzero(upto[self.hi + 1] - upto[self.lo] == self.hi + 1 - self.lo)
 
+    def _named(self, lo: np.ndarray, hi: np.ndarray, shape: np.ndarray | int = 0) -> tuple[np.ndarray, np.ndarray]:
+        """Fingerprints of [lo, hi) and the hashes that deal them to groups, each from both running hashes."""
+        one, two = between(self.prefix, lo, hi), between(running(self.data, 1), lo, hi, 1)
+        return mix(mix(one + shape) + two), mix(two * np.uint64(0xC2B2AE3D27D4EB4F) + one)
+
     def contexts(self, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         lo, hi = self.lo[at], self.hi[at]
-        shape = ((hi - lo) << 16 | self.anchor[at] - lo).astype(np.uint64)
-        other = running(self.data, 1)
-        return mix(between(self.prefix, lo, hi + self.length) + shape), mix(between(other, lo, hi + self.length, 1))
+        return self._named(lo, hi + self.length, ((hi - lo) << 16 | self.anchor[at] - lo).astype(np.uint64))
 
     def windows(self, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        other = running(self.data, 1)
-        return mix(between(self.prefix, at, at + self.length)), mix(between(other, at, at + self.length, 1))
+        return self._named(at, at + self.length, np.uint64(0))
 
 
 def _dealt(keys: np.ndarray, spread: np.ndarray, groups: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -152,16 +156,16 @@ class Level:
         more = count > 1
         if twice is not None:
             more[place[twice]] = True
-        cut = np.searchsorted(group, np.arange(self.groups + 1))
-        return [(g, chunk, own[a:b].tobytes(), np.packbits(more[a:b]).tobytes()) for g, (a, b) in enumerate(zip(cut[:-1], cut[1:], strict=True)) if a < b]
+        some, begin = np.unique(group, return_index=True)
+        end = np.r_[begin[1:], len(group)]
+        return [(g, chunk, own[a:b].tobytes(), np.packbits(more[a:b]).tobytes()) for g, a, b in zip(some.tolist(), begin.tolist(), end.tolist(), strict=True)]
 
     def hear(self, answers: list[dict] | None, keys: np.ndarray, spread: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """For every key: whether the corpus has it twice, and whether this is the place that stands for it."""
         own, group, _, place = _dealt(keys, spread, self.groups)
-        cut = np.searchsorted(group, np.arange(self.groups + 1))
         twice, stands = np.zeros(len(own), bool), np.zeros(len(own), bool)
         for x in answers or ():
-            a, b = cut[x["group"]], cut[x["group"] + 1]
+            a, b = np.searchsorted(group, [x["group"], x["group"] + 1]).tolist()
             bits = np.unpackbits(np.frombuffer(x["bits"], np.uint8))[: 2 * (b - a)].reshape(-1, 2).astype(bool)
             twice[a:b], stands[a:b] = bits[:, 0], bits[:, 1]
         first = np.zeros(len(keys), bool)
@@ -169,8 +173,8 @@ class Level:
         return twice[place], stands[place] & first
 
 
-def _answers(asked: DataFrame, name: str) -> DataFrame:
-    """(chunk, answers) from (group, chunk, keys, more)."""
+def _answers(asked: DataFrame, name: str, tasks: int, buckets: int) -> DataFrame:
+    """(chunk, answers) from (group, chunk, keys, more), dealt out as the chunks are."""
 
     def compare(table: pa.Table) -> pa.Table:
         blobs = [np.frombuffer(x, np.uint64) for x in table["keys"].to_pylist()]
@@ -185,12 +189,12 @@ def _answers(asked: DataFrame, name: str) -> DataFrame:
             at += len(k)
         return pa.table({"group": table["group"], "chunk": table["chunk"], "bits": pa.array(out, pa.binary())})
 
-    bits = written(asked.groupBy("group").applyInArrow(compare, "group int, chunk long, bits binary"), name)
-    return bits.groupBy("chunk").agg(F.collect_list(F.struct("group", "bits")).alias(name))
+    bits = written(asked.repartition(tasks, "group").groupBy("group").applyInArrow(compare, "group int, chunk long, bits binary"), name)
+    return bits.repartition(buckets, "chunk").groupBy("chunk").agg(F.collect_list(F.struct("group", "bits")).alias(name))
 
 
-def _chunks(docs: DataFrame, doc: str, text: str) -> DataFrame:
-    """The texts in a table of chunks (chunk, data, sizes, docs), bucketed by chunk in the shared folder."""
+def _chunks(docs: DataFrame, doc: str, text: str) -> tuple[DataFrame, int]:
+    """The texts in a table of chunks (chunk, data, sizes, docs), bucketed by chunk in the shared folder, and its number of buckets."""
     spark = docs.sparkSession
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -214,10 +218,11 @@ def _chunks(docs: DataFrame, doc: str, text: str) -> DataFrame:
 
     rows = map_batches(docs.select(F.col(doc).cast("long").alias("_doc"), F.col(text).alias(text)), run, "chunk long, data binary, sizes array<long>, docs array<long>")
     name = f"dictparse_chunks_{uuid.uuid4().hex}"
-    buckets = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    # a scan's partition holds some 128 MB of compressed text
+    buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 4 * docs.rdd.getNumPartitions())
     rows.write.option("compression", "zstd").option("path", f"{shared_dir(spark)}/{name}").bucketBy(buckets, "chunk").sortBy("chunk").saveAsTable(name)
     atexit.register(_drop, spark, name)
-    return spark.table(name)
+    return spark.table(name), buckets
 
 
 def _drop(spark: SparkSession, name: str) -> None:
@@ -255,7 +260,7 @@ def _sent(rows: list[tuple[int, int, bytes, bytes]]) -> Iterator[pa.RecordBatch]
 def repeats(docs: DataFrame, doc: str = "doc_id", text: str = "text", length: int = LENGTH, keep_text: bool = False) -> DataFrame:
     """For every row: doc, n_bytes, n_removed, n_spans, kept_sha256, and the kept bytes if wanted."""
     spark = docs.sparkSession
-    table = _chunks(docs, doc, text)
+    table, buckets = _chunks(docs, doc, text)
     total = table.select(F.coalesce(F.sum(F.octet_length("data")), F.lit(0))).first()[0]
     least = int(spark.conf.get("spark.sql.shuffle.partitions"))
     # bytes of fingerprints that a level can get: one for each phrase, for each anchor, and at worst half of all windows
@@ -304,13 +309,14 @@ def repeats(docs: DataFrame, doc: str = "doc_id", text: str = "text", length: in
         yield pa.RecordBatch.from_arrays(columns + [pa.array(kept, pa.binary())] * keep_text, names=["_doc", "n_bytes", "n_removed", "n_spans", "kept_sha256"] + ["kept"] * keep_text)
 
     heard: dict[str, DataFrame] = {}
-    for name, make in (("phrase_bits", phrases), ("context_bits", contexts), ("window_bits", windows)):
-        heard[name] = _answers(_over(table, dict(heard), make, _ASKED, length), name)
+    for name, make, level in (("phrase_bits", phrases, one), ("context_bits", contexts, two), ("window_bits", windows, three)):
+        heard[name] = _answers(_over(table, dict(heard), make, _ASKED, length), name, max(least, level.groups // 8), buckets)
     schema = "_doc long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", kept binary" * keep_text
     return _over(table, heard, removed, schema, length).withColumnRenamed("_doc", doc)
 
 
 def op5_prefix_free_parsing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """doc_id, n_bytes, n_removed, n_spans, kept_sha256 of every document, without what 200 bytes found elsewhere cover."""
     return repeats(read(spark, sf_dir, "documents"))
 
 
