@@ -2,7 +2,7 @@
 
 Documents are tokenized in one pass; only their piece lengths go on. Pieces of one length are alike for packing, and so are open
 sequences with one fill history, so both sorted sides of a round are run-length coded: at most `capacity` runs of pieces, each
-drawn from a distributed count. A round takes the longest unpacked run, sweeps the gaps for its successor (the smallest gap that
+drawn from a distributed count, and the sweep over them runs on the driver. A round takes the longest unpacked run, sweeps the gaps for its successor (the smallest gap that
 holds it), lets the lower ranks win where pieces want the same gaps, updates the gaps, and repeats. The outcome is a table of
 rank intervals (its size depends on the capacity, not on the data); each piece finds its place by its rank within its length,
 which is counted in hashed blocks.
@@ -106,14 +106,13 @@ def plan(counts: dict[int, int], capacity: int) -> list[tuple[int, int, int, int
         while left:
             space = gaps.successor(size)
             if space is None:
-                # as many new sequences as this run fills when each takes what fits
-                fit = capacity // size
-                first, count = opened, -(-left // fit)
+                first, space = opened, capacity
+                count = max(1, left // (space // size))
                 opened += count
-                space = capacity
             else:
                 first, count = gaps.take(space)
-            used = min(count, left)
+            # as many sequences as this run fills to the last piece that fits, or one
+            used = min(count, max(1, left // (space // size)))
             out.append((size, rank, used, first, capacity - space))
             gaps.put(space - size, first, used)
             gaps.put(space, first + used, count - used)
@@ -162,6 +161,7 @@ def sequences(docs: DataFrame, doc: str = "doc_id", text: str = "text", capacity
 
 
 def op6_best_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """doc_id, piece, start, length, ids_crc32, sequence_id, offset of every piece of every document, 1024 tokens a sequence."""
     return pack_documents(read(spark, sf_dir, "documents"))
 
 

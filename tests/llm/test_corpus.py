@@ -300,16 +300,23 @@ def test_packing(spark, rows):
 
 def test_plan_is_best_fit_decreasing():
     rng = random.Random(4)
-    counts = Counter(rng.randrange(1, 65) for _ in range(500))
-    steps = packing.plan(dict(counts), 64)
-    used = Counter()
-    for size, first_rank, ranks, first, offset in steps:
-        for k in range(ranks):
-            assert used[first + k] == offset
-            used[first + k] += size
-            assert used[first + k] <= 64
-    assert Counter({s: sum(n for size, _, n, _, _ in steps if size == s) for s in counts}) == counts
-    assert len(used) <= 1.02 * math.ceil(sum(s * n for s, n in counts.items()) / 64)
+    for capacity, pieces in [(64, 500), (64, 30), (20, 200), (1024, 400)] + [(50, 40)] * 40:
+        counts = Counter(rng.randrange(1, capacity + 1) for _ in range(pieces))
+        steps = packing.plan(dict(counts), capacity)
+        used = Counter()
+        for size, first_rank, ranks, first, offset in steps:
+            for k in range(ranks):
+                assert used[first + k] == offset
+                used[first + k] += size
+                assert used[first + k] <= capacity
+        assert Counter({s: sum(n for size, _, n, _, _ in steps if size == s) for s in counts}) == counts
+        gaps = []  # plain best fit, the longest first
+        for size in sorted(counts.elements(), reverse=True):
+            fits = [g for g in gaps if g >= size]
+            if fits:
+                gaps.remove(min(fits))
+            gaps.append((min(fits) if fits else capacity) - size)
+        assert Counter(capacity - n for n in used.values()) == Counter(gaps)
 
 
 # ---- kNN
