@@ -36,14 +36,14 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from dictparse.llm.common import lean, map_batches, read, shared_dir, texts_of, written
+from dictparse.llm.common import lean, map_batches, read, shared_dir, texts_of, utf8_bytes, written
 from dictparse.llm.hashing import between, mix, powers, running
 
 LENGTH = 200
 #: Bytes of a trigger, and the mean distance between triggers.
 WIDTH, EVERY = 12, 32
-#: Text of a chunk, and fingerprints (in bytes) that one group compares.
-CHUNK_BYTES, GROUP_BYTES = 2 << 20, 8 << 20
+#: Text of a chunk and of a bucket of chunks, and fingerprints (in bytes) that one group compares.
+CHUNK_BYTES, BUCKET_BYTES, GROUP_BYTES = 2 << 20, 16 << 20, 8 << 20
 
 
 def trigger_places(data: np.ndarray, prefix: np.ndarray, width: int = WIDTH, every: int = EVERY) -> np.ndarray:
@@ -157,7 +157,7 @@ class Level:
         if twice is not None:
             more[place[twice]] = True
         some, begin = np.unique(group, return_index=True)
-        end = np.r_[begin[1:], len(group)]
+        end = np.r_[begin[1:], len(group)] if len(group) else begin
         return [(g, chunk, own[a:b].tobytes(), np.packbits(more[a:b]).tobytes()) for g, a, b in zip(some.tolist(), begin.tolist(), end.tolist(), strict=True)]
 
     def hear(self, answers: list[dict] | None, keys: np.ndarray, spread: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -193,8 +193,8 @@ def _answers(asked: DataFrame, name: str, tasks: int, buckets: int) -> DataFrame
     return bits.repartition(buckets, "chunk").groupBy("chunk").agg(F.collect_list(F.struct("group", "bits")).alias(name))
 
 
-def _chunks(docs: DataFrame, doc: str, text: str) -> tuple[DataFrame, int]:
-    """The texts in a table of chunks (chunk, data, sizes, docs), bucketed by chunk in the shared folder, and its number of buckets."""
+def _chunks(docs: DataFrame, doc: str, text: str, buckets: int) -> DataFrame:
+    """The texts in a table of chunks (chunk, data, sizes, docs), bucketed by chunk in the shared folder."""
     spark = docs.sparkSession
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -218,11 +218,9 @@ def _chunks(docs: DataFrame, doc: str, text: str) -> tuple[DataFrame, int]:
 
     rows = map_batches(docs.select(F.col(doc).cast("long").alias("_doc"), F.col(text).alias(text)), run, "chunk long, data binary, sizes array<long>, docs array<long>")
     name = f"dictparse_chunks_{uuid.uuid4().hex}"
-    # a scan's partition holds some 128 MB of compressed text
-    buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 4 * docs.rdd.getNumPartitions())
     rows.write.option("compression", "zstd").option("path", f"{shared_dir(spark)}/{name}").bucketBy(buckets, "chunk").sortBy("chunk").saveAsTable(name)
     atexit.register(_drop, spark, name)
-    return spark.table(name), buckets
+    return spark.table(name)
 
 
 def _drop(spark: SparkSession, name: str) -> None:
@@ -260,9 +258,10 @@ def _sent(rows: list[tuple[int, int, bytes, bytes]]) -> Iterator[pa.RecordBatch]
 def repeats(docs: DataFrame, doc: str = "doc_id", text: str = "text", length: int = LENGTH, keep_text: bool = False) -> DataFrame:
     """For every row: doc, n_bytes, n_removed, n_spans, kept_sha256, and the kept bytes if wanted."""
     spark = docs.sparkSession
-    table, buckets = _chunks(docs, doc, text)
-    total = table.select(F.coalesce(F.sum(F.octet_length("data")), F.lit(0))).first()[0]
     least = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    total = docs.agg(F.coalesce(F.sum(utf8_bytes(F.col(text))), F.lit(0))).first()[0]
+    buckets = max(least, -(-total // BUCKET_BYTES))
+    table = _chunks(docs, doc, text, buckets)
     # bytes of fingerprints that a level can get: one for each phrase, for each anchor, and at worst half of all windows
     one, two, three = (Level(max(least, -(-int(total * share) // GROUP_BYTES))) for share in (8 / EVERY, 8 / EVERY, 1.0))
 
@@ -310,7 +309,7 @@ def repeats(docs: DataFrame, doc: str = "doc_id", text: str = "text", length: in
 
     heard: dict[str, DataFrame] = {}
     for name, make, level in (("phrase_bits", phrases, one), ("context_bits", contexts, two), ("window_bits", windows, three)):
-        heard[name] = _answers(_over(table, dict(heard), make, _ASKED, length), name, max(least, level.groups // 8), buckets)
+        heard[name] = _answers(_over(table, dict(heard), make, _ASKED, length), name, max(least, level.groups // 2), buckets)
     schema = "_doc long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", kept binary" * keep_text
     return _over(table, heard, removed, schema, length).withColumnRenamed("_doc", doc)
 
