@@ -42,7 +42,7 @@ BANDS = M // ROWS
 MARGIN = 5.0
 #: Weight of a bucket's members looked at together, and of those whose texts are confirmed together (a text weighs its shingles and
 #: LIGHT more); a member's likeliest partners that are tried first.
-BLOCK, FAMILY, LIGHT, NEAREST = 1 << 19, 50_000, 50, 8
+BLOCK, FAMILY, LIGHT, NEAREST = 1 << 17, 50_000, 50, 8
 #: Rows that a worker looks at together, if they aren't of one bucket; words whose hashes it remembers.
 TOGETHER, REMEMBERED = 16_384, 300_000
 #: A-Z folded; words end at ASCII white space, as bytes.split() does it.
@@ -450,7 +450,7 @@ def near_duplicates(docs: DataFrame, doc: str = "doc_id", text: str = "text", wi
     nodes = written(full.groupBy("class").agg(F.min("own").alias("own"), F.first("n").alias("n"), F.first("regs").alias("regs")).withColumn("id", F.monotonically_increasing_id()), "near-nodes")
     keys = _bands(nodes)
     shared = keys.groupBy("key").agg(F.count("*").alias("size"), F.min("id").alias("least")).where("size > 1").drop("size")
-    buckets = written(skewed_join(keys, shared, "key", how="inner"), "near-buckets")
+    buckets = written(keys.join(shared, "key"), "near-buckets")  # rows of 16 bytes; a hot bucket is split as the session splits skewed joins
     texts = written(_texts(docs, doc, text, buckets.select("id").distinct().join(nodes.select("id", "own", "class"), "id"), width), "near-texts")
     roots = nodes.select("id", F.col("id").alias("root"))
     stars = written(buckets.where("id <> least").select(F.col("least").alias("a"), F.col("id").alias("b")).distinct(), "near-stars")
