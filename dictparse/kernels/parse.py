@@ -5,7 +5,8 @@ A factor is a tuple (begin, length, kind, ref1, sym1, ref2, sym2, power), begin
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections import deque
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
 from itertools import islice
 
@@ -53,12 +54,7 @@ class Rules:
         self.trie.insert(begin, length, x)
 
     def _first(self, at: int, gate: int, lce, extra: search.Extra):
-        if self.fused:
-            return search.fused_first(self.trie, at, gate, lce, extra)
-        entry = search.fused_first(self.trie, at, gate, None, extra)[:2]
-        cut = search.fused_first(self.trie, at, gate, None, extra)[2:4]
-        power = search.fused_first(self.trie, at, gate, lce, extra)[4:] if lce else (0, 0)
-        return (*entry, *cut, *power)
+        return (search.fused_first if self.fused else search.separate_first)(self.trie, at, gate, lce, extra)
 
     def best(self, at: int, gate: int = NEVER, extra: search.Extra = None) -> Factor:
         """The greedy factor at a place."""
@@ -138,6 +134,59 @@ def greedy(rules: Rules) -> Iterator[Factor]:
         at += found[1]
 
 
+def greedy_reach(rules: Rules) -> Callable[[int], int]:
+    """The function that gives the length of the greedy factor at a place, with the dictionary as it was when the parse stood there."""
+    text, trie, get = rules.text, rules.trie, rules.trie.get
+    label, size, own, own_end, first_end = trie.label, trie.size, trie.entry, trie.entry_end, trie.first_end
+    n, slack, starts, powers, extension = len(text), rules.slack, text.startswith, rules.scheme == "pair_run", rules.lce
+
+    def measure(p: int) -> int:
+        gate = p + slack
+        node = done = whole = reach = 0
+        here, first = p, text[p]
+        while here < n:
+            child = get(node, text[here])
+            if child is None or first_end[child] > gate:
+                break
+            s = size[child]
+            if s > 1:
+                place = label[child]
+                if not starts(text[place : place + s], here):
+                    done += 1 + extensions.first_difference(text, place + 1, here + 1, min(s, n - here) - 1)
+                    break
+            done += s
+            here += s
+            node = child
+            if own[node] and own_end[node] <= gate:
+                whole = done
+                if powers and here < n and text[here] == first:
+                    reach = max(reach, done + extension(p, here))
+        length = whole or 1
+        if slack:
+            return length
+        node, rest, here = 0, 0, p + length
+        if here < n:
+            while here < n:
+                child = get(node, text[here])
+                if child is None or first_end[child] > gate:
+                    break
+                s = size[child]
+                if s > 1:
+                    place = label[child]
+                    if not starts(text[place : place + s], here):
+                        rest += 1 + extensions.first_difference(text, place + 1, here + 1, min(s, n - here) - 1)
+                        break
+                rest += s
+                here += s
+                node = child
+            length += rest or 1
+        if powers and p + 1 < n and text[p + 1] == first:
+            reach = max(reach, 1 + extension(p, p + 1))
+        return max(length, done, reach)
+
+    return measure
+
+
 class Parse:
     """A parse: its phrases, its entries where these aren't the phrases, and the rules with their dictionary and counters."""
 
@@ -163,24 +212,31 @@ class Parse:
         rules = self.rules
         self.entries = [*greedy(rules)]
         n, at = rules.n, 0
-        kept: dict[int, Factor] = {}
         reach: dict[int, int] = {n: 0}
+        measure = greedy_reach(rules) if rules.scheme in ("pair_cut", "pair_run", "seeded") else lambda p: rules.best(p, p)[1]
 
         def reach_at(p: int) -> int:
             if p not in reach:
-                kept[p] = rules.best(p, p)
-                reach[p] = kept[p][1]
+                reach[p] = measure(p)
             return reach[p]
 
+        # places whose reach ends furthest, of those up to where the current factor could end; a chosen place's factor never ends
+        # before the last one's, so the range only moves on
+        best: deque[int] = deque()
+        upto = 0
         while at < n:
-            most = reach_at(at)
-            length, total = most, most + reach_at(at + most)
-            for less in range(most - 1, 0, -1):
-                if less + reach_at(at + less) > total:
-                    length, total = less, less + reach_at(at + less)
-            yield self._clipped(kept[at], length)
+            end = at + reach_at(at)
+            for p in range(max(upto, at) + 1, end + 1):
+                far = p + reach_at(p)
+                while best and best[-1] + reach[best[-1]] <= far:  # of equal ones the longer factor
+                    best.pop()
+                best.append(p)
+            upto = max(upto, end)
+            while best[0] <= at:
+                best.popleft()
+            length = best[0] - at
+            yield self._clipped(rules.best(at, at), length)
             for p in range(at, at + length):
-                kept.pop(p, None)
                 reach.pop(p, None)
             at += length
 
@@ -264,3 +320,119 @@ def count_seeded(text: Text) -> int:
         else:
             node = child
     return z
+
+
+_NONE: dict = {}
+
+
+def count_pairs(text: Text, scheme: str) -> tuple[int, int, int, int, int]:
+    """(combine, cut, repeat) factor counts of `pair`, `pair_cut` or `pair_run`, and (nodes, split nodes) of the dictionary.
+
+    Without tokens a node needs neither index nor stamp. Where cuts are allowed a factor is no shorter than the first descent went,
+    so it becomes an entry where that descent ended.
+    """
+    n, cuts, powers = len(text), scheme != "pair", scheme == "pair_run"
+    label, size, own, kids = [0], [0], [False], [_NONE]
+    starts, combine, cut, repeat, at = text.startswith, 0, 0, 0, 0
+    extension = extensions.Direct(text) if powers else None
+
+    def leaf(node: int, place: int, length: int) -> None:
+        if kids[node] is _NONE:
+            kids[node] = {}
+        kids[node][text[place]] = len(size)
+        label.append(place)
+        size.append(length)
+        own.append(True)
+        kids.append(_NONE)
+
+    def divided(node: int, child: int, same: int) -> int:
+        place, middle = label[child], len(size)
+        kids[node][text[place]] = middle
+        label.append(place)
+        size.append(same)
+        own.append(False)
+        kids.append({text[place + same]: child})
+        label[child] = place + same
+        size[child] -= same
+        return middle
+
+    while at < n:
+        # the first descent: longest entry, longest cut, longest power
+        node = done = entry = reach = same = child = 0
+        first = text[at]
+        here = at
+        while here < n:
+            child = kids[node].get(text[here], 0)
+            if not child:
+                break
+            s = size[child]
+            if s > 1:
+                place = label[child]
+                if not starts(text[place : place + s], here):
+                    same = 1 + extensions.first_difference(text, place + 1, here + 1, min(s, n - here) - 1)
+                    done += same
+                    break
+            done += s
+            here += s
+            node = child
+            if own[node]:
+                entry = done
+                if powers and here < n and text[here] == first:
+                    far = done + extension(at, here)
+                    if far > reach:
+                        reach = far
+        # the second part
+        length = entry or 1
+        begin = at + length
+        if begin < n:
+            at2, inner, rest, whole = begin, 0, 0, 0
+            while at2 < n:
+                below = kids[inner].get(text[at2], 0)
+                if not below:
+                    break
+                s = size[below]
+                if s > 1:
+                    place = label[below]
+                    if not starts(text[place : place + s], at2):
+                        rest += 1 + extensions.first_difference(text, place + 1, at2 + 1, min(s, n - at2) - 1)
+                        break
+                rest += s
+                at2 += s
+                inner = below
+                if own[inner]:
+                    whole = rest
+            length += (rest if cuts else whole) or 1
+        kind = 0
+        if cuts and done > length:
+            length, kind = done, 1
+        if powers:
+            if at + 1 < n and text[at + 1] == first:
+                far = 1 + extension(at, at + 1)
+                if far >= reach:
+                    reach = far
+            if reach > length:
+                length, kind = reach, 2
+        if kind == 0:
+            combine += 1
+        elif kind == 1:
+            cut += 1
+        else:
+            repeat += 1
+        if length < done:  # only without cuts: the entry ends on the way of the first descent
+            node = done = same = 0
+            while done < length:
+                child = kids[node][text[at + done]]
+                s = size[child]
+                if s > length - done:
+                    same = length - done
+                    done = length
+                    break
+                node, done = child, done + s
+        if same:
+            node = divided(node, child, same)
+        if length > done:
+            leaf(node, at + done, length - done)
+        else:
+            own[node] = True
+        at += length
+    return combine, cut, repeat, len(size), sum(not x for x in own[1:])

@@ -6,6 +6,8 @@ All lengths are 0 if nothing fits.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 from dictparse.kernels.lce import first_difference
 from dictparse.kernels.trie import NEVER, RadixDictionary
 
@@ -49,20 +51,58 @@ def walk(trie: RadixDictionary, at: int, gate: int = NEVER, lce=None) -> tuple[i
     return entry, entry_size, cut, cut_size, base, power_size
 
 
+def _edges(trie: RadixDictionary, at: int, gate: int) -> Iterator[tuple[int, int, bool]]:
+    """One descent by itself: (node, symbols matched, whether its edge matched whole) of every edge taken."""
+    text = trie.text
+    n, node, done = len(text), 0, 0
+    while at + done < n:
+        child = trie.get(node, text[at + done])
+        trie.lookups += 1
+        if child is None or trie.first_end[child] > gate:
+            return
+        size = trie.size[child]
+        same = first_difference(text, trie.label[child], at + done, min(size, n - at - done))
+        trie.compared += same
+        done += same
+        yield child, done, same == size
+        if same < size:
+            return
+        node = child
+
+
 def longest_entry(trie: RadixDictionary, at: int, gate: int = NEVER) -> tuple[int, int]:
     """(entry, length) of the longest whole entry, else nothing."""
-    return walk(trie, at, gate)[:2]
+    best = (0, 0)
+    for node, done, whole in _edges(trie, at, gate):
+        if whole and trie.entry[node] and trie.entry_end[node] <= gate:
+            best = (trie.entry[node], done)
+    return best
 
 
 def longest_cut(trie: RadixDictionary, at: int, gate: int = NEVER) -> tuple[int, int]:
     """(entry, length) of the longest prefix of any entry."""
-    return walk(trie, at, gate)[2:4]
+    best = (0, 0)
+    for node, done, whole in _edges(trie, at, gate):
+        own = whole and trie.entry[node] and trie.entry_end[node] <= gate
+        best = (trie.entry[node] if own else trie.first[node], done)
+    return best
 
 
 def longest_power(trie: RadixDictionary, at: int, lce, gate: int = NEVER) -> tuple[int, int]:
-    """(entry or 0 for the symbol itself, length) of the longest (cut) power; a symbol's run wins ties."""
-    base, size = walk(trie, at, gate, lce)[4:]
-    return with_symbol(trie, at, lce, base, size)
+    """(entry, length) of the longest (cut) power of a whole entry."""
+    best = (0, 0)
+    for node, done, whole in _edges(trie, at, gate):
+        if whole and trie.entry[node] and trie.entry_end[node] <= gate:
+            reach = done + lce(at, at + done)
+            if reach > best[1]:
+                best = (trie.entry[node], reach)
+    return best
+
+
+def separate_first(trie: RadixDictionary, at: int, gate: int, lce, extra: Extra = None) -> tuple[int, int, int, int, int, int]:
+    """What fused_first() finds, by a descent for each of the three roles."""
+    found = (*longest_entry(trie, at, gate), *longest_cut(trie, at, gate), *(longest_power(trie, at, lce, gate) if lce else (0, 0)))
+    return _with_extra(trie, at, lce, extra, found)
 
 
 def with_symbol(trie: RadixDictionary, at: int, lce, base: int, size: int) -> tuple[int, int]:
@@ -75,19 +115,25 @@ def with_symbol(trie: RadixDictionary, at: int, lce, base: int, size: int) -> tu
 
 def fused_first(trie: RadixDictionary, at: int, gate: int, lce, extra: Extra = None) -> tuple[int, int, int, int, int, int]:
     """walk(), with an extra phrase taken into account in all three roles."""
-    entry, entry_size, cut, cut_size, base, power_size = walk(trie, at, gate, lce)
-    if extra:
-        begin, length, x = extra
-        same = first_difference(trie.text, begin, at, min(length, len(trie.text) - at))
-        if same == length:
-            if length > entry_size:
-                entry, entry_size = x, length
-            if lce is not None:
-                reach = length + lce(at, at + length)
-                if reach > power_size:
-                    base, power_size = x, reach
-        if same > cut_size:
-            cut, cut_size = x, same
+    found = walk(trie, at, gate, lce)
+    return _with_extra(trie, at, lce, extra, found) if extra else found
+
+
+def _with_extra(trie: RadixDictionary, at: int, lce, extra: Extra, found: tuple[int, int, int, int, int, int]) -> tuple[int, int, int, int, int, int]:
+    if not extra:
+        return found
+    entry, entry_size, cut, cut_size, base, power_size = found
+    begin, length, x = extra
+    same = first_difference(trie.text, begin, at, min(length, len(trie.text) - at))
+    if same == length:
+        if length > entry_size:
+            entry, entry_size = x, length
+        if lce is not None:
+            reach = length + lce(at, at + length)
+            if reach > power_size:
+                base, power_size = x, reach
+    if same > cut_size:
+        cut, cut_size = x, same
     return entry, entry_size, cut, cut_size, base, power_size
 
 

@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from dictparse.kernels.parse import Factor, Parse, count_seeded, count_step
+from dictparse.kernels.parse import PAIRS, Factor, Parse, count_pairs, count_seeded, count_step
 from dictparse.plans.spec import FACTOR, SUMMARY, ParseSpec, columns, named
 
 _ARROW = {"int": pa.int32(), "long": pa.int64(), "string": pa.string(), "double": pa.float64()}
@@ -41,12 +41,16 @@ def parse(text: str, spec: ParseSpec) -> Parse:
 def summary_row(text: str, spec: ParseSpec) -> tuple:
     began = time.perf_counter()
     peak = resource.getrusage(resource.RUSAGE_SELF).ru_maxrss / 1024
-    if spec.name in ("step", "seeded") and spec.children == "hash" and spec.stop_above is None:
-        # counting needs no tokens: a node for each entry, one lookup for each symbol
+    if spec.lookahead == "none" and spec.scheme != "step_run" and (spec.children, spec.lce, spec.fused, spec.stop_above, spec.counters) == ("hash", "direct", True, None, False):
+        # counting needs no tokens
         sigma = len(set(text))
-        z = count_step(text) if spec.name == "step" else count_seeded(text)
-        nodes = 1 + (z if spec.name == "step" else max(z - 1, 0) + sigma)
-        return (len(text), sigma, z, 0, 0, 0, nodes, 0, len(text), 0, (time.perf_counter() - began) * 1000, peak)
+        if spec.scheme in PAIRS:
+            *kinds, nodes, split = count_pairs(text, spec.scheme)
+            z = sum(kinds)
+        else:  # a node for each entry, one lookup for each symbol
+            z, kinds, split = count_step(text) if spec.scheme == "step" else count_seeded(text), [0, 0, 0], 0
+            nodes = 1 + (z if spec.scheme == "step" else max(z - 1, 0) + sigma)
+        return (len(text), sigma, z, *kinds, nodes, split, None, None, (time.perf_counter() - began) * 1000, peak)
     p = parse(text, spec)
     took = (time.perf_counter() - began) * 1000
     kinds = [f[2] for f in p.phrases]

@@ -24,7 +24,8 @@ SUMMARY = [
 class ParseSpec:
     """A validated parse: scheme, look-ahead, and how it is carried out.
 
-    symbols: 'codepoint' or 'byte' (of UTF-8). stop_above: give up a text once it has more factors (its z is then null).
+    symbols: 'codepoint' or 'byte' (of UTF-8). stop_above: give up a text once it has more factors (its z is then null). counters: a
+    summary says how many lookups and comparisons were made, else they are null where a count does without tokens.
     """
 
     scheme: str
@@ -35,6 +36,7 @@ class ParseSpec:
     fused: bool = True
     symbol_runs: bool = True
     stop_above: int | None = None
+    counters: bool = False
 
     def __post_init__(self) -> None:
         for value, known in ((self.scheme, SCHEMES), (self.lookahead, LOOKAHEADS), (self.symbols, ("codepoint", "byte")), (self.lce, BACKENDS), (self.children, CHILDREN)):

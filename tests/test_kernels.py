@@ -5,7 +5,7 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 
 from dictparse.kernels import lce
-from dictparse.kernels.parse import LOOKAHEADS, PAIRS, SCHEMES, Parse, count_seeded, count_step
+from dictparse.kernels.parse import LOOKAHEADS, PAIRS, SCHEMES, Parse, count_pairs, count_seeded, count_step
 from dictparse.kernels.tokens import decode, written
 from dictparse.sources.family_source import four_letter
 from dictparse.streaming.online import OnlineParser
@@ -86,6 +86,10 @@ def test_parses_decode_and_keep_their_laws(text):
     assert all(f[1] >= 2 for s in PAIRS for f in Parse(text, s).phrases[:-1])
     steps = pieces(Parse(text, "step"), text)
     assert len(set(steps[:-1])) == len(steps[:-1])
+    for scheme in PAIRS:
+        p = Parse(text, scheme)
+        kinds = [f[2] for f in p.phrases]
+        assert count_pairs(text, scheme) == (*(kinds.count(k) for k in ("combine", "cut", "repeat")), p.rules.trie.nodes, p.rules.trie.split_nodes)
     assert count_step(text) == len(steps) and count_seeded(text) == len(Parse(text, "seeded").phrases)
 
 
@@ -139,3 +143,77 @@ def test_extension_example():
     assert lce.suffix_match("babababb", 9, 1) == 0
     long = "ab" * 5000 + "c"
     assert lce.RollingHash(long, 64)(0, 2) == lce.Direct(long)(0, 2) == 9998
+
+
+def plain(text, scheme):
+    """Lengths of the greedy factors, by comparing every earlier string."""
+    out, at, entries, n = [], 0, [], len(text)
+
+    def common(e, p):
+        k = 0
+        while k < len(e) and p + k < n and e[k] == text[p + k]:
+            k += 1
+        return k
+
+    def power(e, p):
+        k = 0
+        while p + k < n and text[p + k] == e[k % len(e)]:
+            k += 1
+        return k
+
+    while at < n:
+        whole = max((len(e) for e in entries if text.startswith(e, at)), default=0)
+        cut = max((common(e, at) for e in entries), default=0)
+        if scheme in PAIRS:
+            first = whole or 1
+            p = at + first
+            second = max((len(e) if text.startswith(e, p) else 0 for e in entries) if scheme == "pair" else (common(e, p) for e in entries), default=0)
+            length = first + (max(1, second) if p < n else 0)
+        elif scheme == "seeded":
+            length = max(1, whole)
+        else:
+            length = whole + (at + whole < n)
+        if scheme in ("pair_cut", "pair_run", "step_run"):
+            length = max(length, cut)
+        if scheme in ("pair_run", "step_run"):
+            length = max(length, *(power(e, at) for e in {*entries, text[at]} if text.startswith(e, at)))
+        out.append(length)
+        if scheme == "seeded":
+            if at + length < n:
+                entries.append(text[at : at + length + 1])
+        else:
+            entries.append(text[at : at + length])
+        at += length
+    return out
+
+
+def test_whole_documents_against_plain_search():
+    import pyarrow.parquet as pq
+
+    for table, column, few in (("documents", "text", 12), ("pages", "html", 4), ("conversations", "text", 30)):
+        listed = [t for t in pq.read_table(f"/root/testdata/sf0.001/{table}.parquet").column(column).to_pylist() if t]
+        for text in sorted(listed, key=len)[len(listed) // 2 :][:few]:
+            for scheme in SCHEMES:
+                assert [f[1] for f in Parse(text, scheme).phrases] == plain(text, scheme)
+
+
+def test_plain_search_knows_power_of_one_symbol():
+    assert plain("aaaaab", "pair_run") == [5, 1] and plain("abababab", "pair_run")[0] == 2
+
+
+def _look(text, scheme):
+    """Lengths chosen by the look-ahead over greedy entries, from its definition."""
+    rules, at, ends = Parse(text, scheme).rules, 0, []
+    reach = [rules.best(p, p)[1] for p in range(len(text))] + [0]
+    while at < len(text):
+        best = max(range(1, reach[at] + 1), key=lambda k: (k + reach[at + k], k))
+        ends.append(best)
+        at += best
+    return ends
+
+
+@settings(max_examples=80, deadline=None)
+@given(texts.filter(len))
+def test_lookahead_over_greedy_entries_from_its_definition(text):
+    for scheme in ("pair_cut", "pair_run", "seeded", "step", "step_run"):
+        assert [f[1] for f in Parse(text, scheme, "flex_fixed").phrases] == _look(text, scheme)
