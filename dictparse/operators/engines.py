@@ -96,20 +96,18 @@ def rounds(df: DataFrame, ids: list[str]) -> DataFrame:
         a = F.col("_l1") + F.when(F.col("_pos") + F.col("_l1") > F.col("_n"), 0).otherwise(F.greatest(F.lit(1), F.col("_l2")))
         found = both.withColumn("_a", a).withColumn("len", F.greatest("_a", "_c")).withColumn("kind", F.when(F.col("_a") >= F.col("_c"), "combine").otherwise("cut"))
         step = found.select(*ids, (F.col("_x") + 1).alias("x"), F.col("_pos").cast("long").alias("beg"), "len", "kind", F.expr("left(_rest, len)").alias("piece"))
-        done = _cut_lineage(step if done is None else done.unionByName(step))
+        done = cut_lineage(step if done is None else done.unionByName(step))
         frontier = done.groupBy(*ids).agg((F.max(F.col("beg") + F.col("len"))).cast("int").alias("_pos"), F.max("x").alias("_x"))
     return done.drop("piece")
 
 
-def _cut_lineage(df: DataFrame) -> DataFrame:
-    """A reliable checkpoint in the folder that the session names, or in one of our own where it names none."""
-    import tempfile
-
-    sc = df.sparkSession.sparkContext
-    if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="dictparse-"))
+def cut_lineage(df: DataFrame) -> DataFrame:
+    """A reliable checkpoint in the folder that the session names, or in one beside the warehouse, which the cluster shares too."""
+    spark = df.sparkSession
+    if spark.sparkContext.getCheckpointDir() is None:
+        beside = f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/dictparse-checkpoints"
+        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or beside)
     return df.checkpoint()
 
 
-
 ENGINES = {"fold": fold, "recursive": recursive, "rounds": rounds}

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Iterator
 
@@ -10,6 +9,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
+from pyspark.sql.types import IntegerType, StructField, StructType
 
 from dictparse.kernels import lce as extensions
 from dictparse.kernels import search
@@ -80,14 +80,19 @@ STATE = "text string, lengths array<int>, block int, seen long, last timestamp,
 OUT = "key long, block_id int, x int, beg long, len int, kind string, final boolean, seen long, late long"
 
 
-def _on_rows(scheme: str, block_symbols: int):
-    """Rows wait until the watermark has passed them, are then appended in order, and what comes behind them is counted and left out."""
+def _on_rows(scheme: str, block_symbols: int, idle_ms: int | None = None):
+    """Rows wait until the watermark has passed them, are then appended in order, and what comes behind them is counted and left out.
+
+    With idle_ms, a key whose last row the watermark has left that far behind is at its end: what remains is emitted as final, and
+    rows that come later begin a block of their own.
+    """
 
     def update(key: tuple, pdfs: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         text, lengths, block, seen, last, late, *waiting = state.get if state.exists else ("", [], 0, 0, None, 0, [], [], [])
         held = pd.DataFrame({"ts": pd.to_datetime(pd.Series([*waiting[0]], dtype="datetime64[ns]")), "ord": pd.Series([*waiting[1]], dtype="int64"), "piece": pd.Series([*waiting[2]], dtype="object")})
-        fresh = pd.concat([p[["ts", "ord", "piece"]] for p in pdfs])
-        rows = fresh if held.empty else pd.concat([held, fresh])
+        parts = [p[["ts", "ord", "piece"]] for p in pdfs]
+        fresh = pd.concat(parts) if parts else held.iloc[:0]
+        rows = fresh if held.empty else held if fresh.empty else pd.concat([held, fresh])
         rows = rows.assign(piece=rows["piece"].fillna("")).sort_values(["ts", "ord"], kind="stable")
         if last is not None:
             behind = rows["ts"] < pd.Timestamp(last)
@@ -110,12 +115,20 @@ def _on_rows(scheme: str, block_symbols: int):
             for k, f in enumerate(factors, parser.x - len(factors) + 1):
                 out.append([key[0], block, k, f[0] + 1, f[1], f[2], final, None, late])
 
+        ended = bool(state.hasTimedOut)
+        if ended:
+            ready[:] = True
         feed(rows["piece"][ready], True)
         if ready.any():
             last = rows["ts"][ready].iloc[-1]
+        if ended and parser.rules.n:
+            emit(parser.close(), True)
+            parser, block = OnlineParser(scheme), block + 1
         rest = rows[~ready]
         at = pd.Timestamp(last).to_pydatetime() if last is not None else None
         state.update((parser.rules.text, parser.rules.lengths[1:], block, seen, at, late, [t.to_pydatetime() for t in rest["ts"]], [int(o) for o in rest["ord"]], [*rest["piece"]]))
+        if idle_ms is not None and not ended and len(rows):
+            state.setTimeoutTimestamp(max(int(rows["ts"].max().timestamp() * 1000), state.getCurrentWatermarkMs()) + idle_ms)
         feed(rest["piece"], False)  # what the rest would be if nothing more came
         emit(parser.close(), False)
         out.append([key[0], block, 0, 0, 0, "", False, None, late])
@@ -126,19 +139,31 @@ def _on_rows(scheme: str, block_symbols: int):
     return update
 
 
-def factors_of_stream(stream: DataFrame, key: str, ts: str, order: str, piece, scheme: str = "pair_cut", block_symbols: int = 1 << 20, watermark: str = "10 minutes") -> DataFrame:
-    """Factor rows of every key as its pieces arrive. Rows with final = false are the rest at that moment."""
+def factors_of_stream(stream: DataFrame, key: str, ts: str, order: str, piece, scheme: str = "pair_cut", block_symbols: int = 1 << 20, watermark: str = "10 minutes", idle_ms: int | None = None) -> DataFrame:
+    """Factor rows of every key as its pieces arrive. Rows with final = false are the rest at that moment; with idle_ms a key that falls
+    silent for so long (in event time) ends, and its rest becomes final."""
     rows = stream.select(F.col(key).cast("long").alias("key"), F.col(ts).alias("ts"), F.col(order).alias("ord"), piece.alias("piece")).withWatermark("ts", watermark)
-    return rows.groupBy("key").applyInPandasWithState(_on_rows(scheme, block_symbols), OUT, STATE, "append", GroupStateTimeout.NoTimeout)
+    return rows.groupBy("key").applyInPandasWithState(_on_rows(scheme, block_symbols, idle_ms), OUT, STATE, "append", GroupStateTimeout.NoTimeout if idle_ms is None else GroupStateTimeout.EventTimeTimeout)
 
 
 def run_to_table(out: DataFrame, mode: str = "append", checkpoint: str | None = None) -> DataFrame:
-    """Runs a stream over all there is now and returns what its memory sink got."""
-    name = f"stream_{uuid.uuid4().hex}"
-    base = checkpoint or out.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="dictparse-stream-")
-    query = out.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", f"{base}/{name}").trigger(availableNow=True).start()
+    """Runs a stream over all there is now and returns its rows, as a Parquet table in the shared folder.
+
+    Each micro-batch overwrites a part of its own, so a batch that is run again changes nothing; in complete mode the last part counts.
+    """
+    spark = out.sparkSession
+    base = checkpoint or spark.conf.get("spark.checkpoint.dir", None) or f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/dictparse-streams"
+    path = f"{base}/stream-{uuid.uuid4().hex}"
+
+    def put(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/rows/part_={number}")
+
+    query = out.writeStream.foreachBatch(put).outputMode(mode).option("checkpointLocation", f"{path}/state").trigger(availableNow=True).start()
     query.awaitTermination()
-    return out.sparkSession.table(name)
+    rows = spark.read.schema(StructType([*out.schema, StructField("part_", IntegerType())])).parquet(f"{path}/rows")
+    if mode == "complete":
+        rows = rows.where(F.col("part_") == rows.agg(F.max("part_")).first()[0])
+    return rows.drop("part_")
 
 
 def settled(emitted: DataFrame) -> DataFrame:
@@ -175,16 +200,22 @@ def near_in_time(left: DataFrame, right: DataFrame, key: str, minutes: int = 5)
     return a.join(b, near).select("k", "left_id", "right_id")
 
 
-def upsert(path: str, keys: list[str]):
-    """A foreachBatch function that keeps the last row of each key in a Parquet table: versions are written aside, the newest is read."""
+def upsert(path: str, keys: list[str], order: list[str]):
+    """A foreachBatch function that keeps the last row of each key, by `order`, in a Parquet table.
+
+    A batch is reduced to one row a key and overwrites a version of its own, so running it again changes nothing; `latest` reads them.
+    """
 
     def write(batch: DataFrame, batch_id: int) -> None:
-        batch.withColumn("_batch", F.lit(batch_id)).write.mode("append").partitionBy("_batch").parquet(path)
+        last = F.max_by(F.struct(*batch.columns), F.struct(*order, F.xxhash64(*batch.columns)))
+        batch.groupBy(*(F.col(k).alias(f"key_{k}") for k in keys)).agg(last.alias("row")).select("row.*").write.mode("overwrite").parquet(f"{path}/version_={batch_id}")
 
     return write
 
 
-def latest(spark: SparkSession, path: str, keys: list[str]) -> DataFrame:
+def latest(spark: SparkSession, path: str, keys: list[str], order: list[str]) -> DataFrame:
+    """The last row of each key; between versions `order` decides too, so late batches don't undo newer rows."""
     rows = spark.read.parquet(path)
-    others = [c for c in rows.columns if c not in keys and c != "_batch"]
-    return rows.groupBy(*keys).agg(F.max_by(F.struct(*others), "_batch").alias("_row")).select(*keys, "_row.*")
+    columns = [c for c in rows.columns if c != "version_"]
+    last = F.max_by(F.struct(*columns), F.struct(*order, F.col("version_")))
+    return rows.groupBy(*(F.col(k).alias(f"key_{k}") for k in keys)).agg(last.alias("row")).select("row.*")
