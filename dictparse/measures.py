@@ -95,6 +95,11 @@ def encoded_bits(factors: DataFrame, ids: list[str], sigma: int = 256) -> DataFr
     return factors.groupBy(*ids, "scheme").agg(F.sum(bits).alias("bits"), F.sum("len").alias("symbols"))
 
 
+def compression_ratio(bits: DataFrame, symbol_bits: int = 8) -> DataFrame:
+    """Estimated stored bits against those of the plain text, in ten-thousandths."""
+    return bits.withColumn("ratio_e4", F.expr(f"bits * 10000 div (symbols * {symbol_bits})"))
+
+
 def blocking_loss(blocked: DataFrame, whole: DataFrame, ids: list[str]) -> DataFrame:
     """What separate dictionaries cost: summed counts of a text's blocks against the whole text's, in percent."""
     summed = blocked.groupBy(*ids, "scheme").agg(F.sum("z").alias("blocks_z"))

@@ -11,6 +11,7 @@ from dictparse import measures
 from dictparse.functions import columns as C
 from dictparse.functions import udfs
 from dictparse.operators import decode as D
+from dictparse.operators.engines import cut_lineage
 from dictparse.operators.factorize import factor_counts, factorize, parse_many
 from dictparse.plans import oracles as O
 from dictparse.sources import workloads as W
@@ -118,7 +119,7 @@ def lce_example(spark, sf):
 
 
 #: The printed counts of the four-letter family (k; pair; pair_cut; pair_run).
-_FAMILY = [(4, 24, 24, 24), (8, 56, 56, 51), (16, 144, 144, 99), (32, 416, 416, 195), (64, 1344, 1344, 387)]
+_FAMILY = [(4, 24, 24, 24), (8, 56, 56, 51), (16, 144, 144, 99), (32, 416, 416, 195), (64, 1344, 1344, 387), (128, 4736, 4736, 771), (256, 17664, 17664, 1539)]
 
 
 @add("family_counts", _values([(*r, 6 * r[0] + 3, 5 * r[0] + r[0] * r[0] // 4) for r in _FAMILY], ["k", "pair", "pair_cut", "pair_run", "linear", "quadratic"], ["INTEGER", *["BIGINT"] * 5]))
@@ -204,7 +205,7 @@ def flex_bound(spark, sf):
 @add("work_counters", "SELECT doc_id, true AS steps_ok, true AS nodes_ok FROM documents WHERE text IS NOT NULL")
 def work_counters(spark, sf):
     """Child lookups and trie size within their bounds on every document."""
-    counts = factor_counts(_docs(spark, sf), "text", ["doc_id"], schemes=["pair_cut"])
+    counts = factor_counts(_docs(spark, sf), "text", ["doc_id"], schemes=["pair_cut"], counters=True)
     return measures.work(counts).select("doc_id", "steps_ok", "nodes_ok")
 
 
@@ -308,14 +309,63 @@ def scheme_grid(spark, sf):
     return wanted.join(counts, ["id", "scheme"]).groupBy("scheme").agg(F.sum("z").alias("z"), F.count("*").alias("texts"))
 
 
+def _large(spark, sf, names: list[str]) -> DataFrame:
+    return W.catalog(spark, sf, names).withColumn("name", F.concat_ws(":", "corpus", "id"))
+
+
 @add("rel_large")
 def rel_large(spark, sf):
-    """Counts on the large texts: each language's prose and the texts made from numeric tables, whole."""
-    texts = W.catalog(spark, sf, ["languages", "flags", "quantities", "event_values"])
-    counts = factor_counts(texts.withColumn("name", F.concat_ws(":", "corpus", "id")), "text", ["name"], schemes=[*_GREEDY.values()])
+    """Counts on the large texts, whole: each language's prose, all mark-up, records, and the texts made from numeric tables."""
+    texts = _large(spark, sf, ["languages", "markup", "records", "flags", "quantities", "event_values"])
+    counts = factor_counts(texts, "text", ["name"], schemes=[*_GREEDY.values()])
     return measures.relative(counts, ["name"], [*_GREEDY.values()])
 
 
+@add("rel_large_flex")
+def rel_large_flex(spark, sf):
+    """The look-aheads on large texts, whole, against `pair`, in percent."""
+    names = ["pair", "pair_run", "pair_run+flex_fixed", "pair_run+flex_own", "pair_run+flex_longest"]
+    counts = factor_counts(_large(spark, sf, ["languages", "quantities", "event_values"]), "text", ["name"], schemes=names)
+    return measures.relative(counts, ["name"], names)
+
+
+#: Lengths at which the large texts are counted, as sizes of the experiment.
+_SIZES = [10_000, 20_000, 40_000]
+
+
+@add("rel_large_sizes")
+def rel_large_sizes(spark, sf):
+    """How the counts of the large texts grow: symbols for each factor at each size of the experiment."""
+    texts = W.catalog(spark, sf, ["languages", "markup", "records", "flags", "quantities", "event_values"], _SIZES)
+    counts = factor_counts(texts, "text", ["corpus", "id", "prefix"], schemes=[*_GREEDY.values()])
+    return counts.select("corpus", "id", "prefix", "scheme", "n", "z", measures.percent(F.col("n"), F.col("z")).alias("symbols_each"))
+
+
+def _factors_of(texts: Query, key: str, full: str) -> Query:
+    return lambda spark, sf: factorize(texts(spark, sf).withColumnRenamed("id", key), "text", [key], scheme=full).select(key, "x", "beg", "len", "kind")
+
+
+for _full in ("pair_cut", "pair_run"):
+    add(f"pages_{SHORT[_full]}_factors")(_factors_of(W.pages, "page_id", _full))
+    add(f"conv_{SHORT[_full]}_factors")(_factors_of(W.conversations, "conv_id", _full))
+add("props_run_factors")(_factors_of(W.event_props, "user_id", "pair_run"))
+
+#: Whole tables as many short texts, with SQL that gives the same ones.
+_ORDERED = "string_agg({}, '' ORDER BY l_linenumber, l_partkey, l_suppkey, l_quantity, l_extendedprice) AS t FROM lineitem GROUP BY l_orderkey"
+_GRIDS = {
+    "flags_counts": (lambda spark, sf: W.flags(spark, sf, "l_orderkey"), "SELECT l_orderkey AS id, " + _ORDERED.format("chr(97 + 2 * (ascii(l_returnflag) % 3) + ascii(l_linestatus) % 2)")),
+    "quant_counts": (lambda spark, sf: W.quantities(spark, sf, "l_orderkey"), "SELECT l_orderkey AS id, " + _ORDERED.format("chr(65 + CAST(trunc(l_quantity) AS INTEGER) % 20)")),
+    "etype_counts": (W.event_types, SETS["user_"][2]),
+}
+for _name, (_texts, _source) in _GRIDS.items():
+    _union = " UNION ALL ".join(f"SELECT '{full}' AS scheme, count(*) AS z FROM p_{short}" for short, full in _GREEDY.items())
+
+    def _grid(spark, sf, texts=_texts):
+        return factor_counts(texts(spark, sf), "text", ["id"], schemes=[*_GREEDY.values()]).groupBy("scheme").agg(F.sum("z").alias("z"))
+
+    add(_name, _with({f"p_{short}": full for short, full in _GREEDY.items()}, _source, _union))(_grid)
+
+
 @add("numeric_counts")
 def numeric_counts(spark, sf):
     """Counts on quantised vectors, one text for each."""
@@ -430,16 +480,20 @@ SELECT id AS user_id, CAST(max(depth) AS INTEGER) AS depth FROM d GROUP BY id"""
 
 @relational("reference_depth", _DEPTH)
 def reference_depth(spark, sf):
-    """The longest chain of references down to symbols, by recursive SQL."""
-    _f(spark, sf).select("user_id", "x", F.coalesce("ref1", F.lit(0)).alias("ref1"), F.coalesce("ref2", F.lit(0)).alias("ref2")).createOrReplaceTempView("_depth_factors")
-    spark.conf.set("spark.sql.cteRecursionRowLimit", "-1")
-    return spark.sql(
-        """WITH RECURSIVE d AS (
-  SELECT user_id, x, 1 AS depth FROM _depth_factors WHERE ref1 = 0 AND ref2 = 0
-  UNION ALL
-  SELECT f.user_id, f.x, d.depth + 1 FROM _depth_factors f JOIN d ON f.user_id = d.user_id AND (f.ref1 = d.x OR f.ref2 = d.x))
-SELECT user_id, max(depth) AS depth FROM d GROUP BY user_id"""
-    )
+    """The longest chain of references down to symbols, one round of joins a level; a factor counts once in a round, however many paths lead to it."""
+    f = _f(spark, sf)
+    edges = f.select("user_id", "x", F.explode(F.array_distinct(F.array_compact(F.array("ref1", "ref2")))).alias("used")).where("used > 0")
+    edges = cut_lineage(edges)
+    level = f.select("user_id").distinct().withColumn("depth", F.lit(1))
+    deepest, front, depth = [level], edges.select("user_id", "x").distinct(), 1
+    while not front.isEmpty():
+        depth += 1
+        deepest.append(front.select("user_id").distinct().withColumn("depth", F.lit(depth)))
+        front = cut_lineage(front.withColumnRenamed("x", "used").join(edges, ["user_id", "used"]).select("user_id", "x").distinct())
+    out = deepest[0]
+    for d in deepest[1:]:
+        out = out.unionByName(d)
+    return out.groupBy("user_id").agg(F.max("depth").alias("depth"))
 
 
 @relational("most_referenced", ", u AS (SELECT id, ref1 AS r FROM f WHERE ref1 > 0 UNION ALL SELECT id, ref2 FROM f WHERE ref2 > 0) SELECT id AS user_id, r AS x, count(*) AS uses FROM u GROUP BY id, r ORDER BY uses DESC, user_id, x LIMIT 20")
@@ -497,6 +551,59 @@ for _name, _op in (("common_boundaries", "INTERSECT"), ("only_cut_boundaries", "
     add(_name, _with(_TWO, _U, f"SELECT id AS user_id, beg FROM f {_op} SELECT id, beg FROM g"))(_boundaries)
 
 
+@add("only_run_boundaries", _with({"f": "pair_run", "g": "pair_cut"}, _U, "SELECT id AS user_id, beg FROM f EXCEPT SELECT id, beg FROM g"))
+def only_run_boundaries(spark, sf):
+    return _parsed("user_", "pair_run")(spark, sf).select("user_id", "beg").subtract(_f(spark, sf).select("user_id", "beg"))
+
+
+@add("factors_by_label", _with({"f": "pair_run"}, _U, "SELECT toxic, quality, kind, count(*) AS factors FROM f JOIN labels ON doc_id = id GROUP BY toxic, quality, kind"))
+def factors_by_label(spark, sf):
+    """Inner join with labels, null labels among the groups."""
+    labels = load(spark, sf, "labels").withColumnRenamed("doc_id", "user_id")
+    return _parsed("user_", "pair_run")(spark, sf).join(labels, "user_id").groupBy("toxic", "quality", "kind").agg(F.count("*").alias("factors"))
+
+
+for _name, _how, _not in (("docs_with_power", "left_semi", ""), ("docs_without_power", "left_anti", "NOT ")):
+
+    def _powers(spark, sf, how=_how):
+        docs = load(spark, sf, "part", ["p_partkey", "p_brand"])
+        return docs.join(_parsed("part_", "pair_run")(spark, sf).where("kind = 'repeat'"), "p_partkey", how)
+
+    add(_name, _with({"f": "pair_run"}, SETS["part_"][2], f"SELECT p_partkey, p_brand FROM part WHERE p_partkey {_not}IN (SELECT id FROM f WHERE kind = 'repeat')"))(_powers)
+
+
+def _doc_factors(spark, sf) -> DataFrame:
+    """Every document's factors with its language, source and quality."""
+    about = load(spark, sf, "documents", ["doc_id", "lang", "source"]).join(load(spark, sf, "labels", ["doc_id", "quality"]).groupBy("doc_id").agg(F.max("quality").alias("quality")), "doc_id", "left")
+    return factorize(_docs(spark, sf), "text", ["doc_id"], scheme="pair_cut").join(about, "doc_id")
+
+
+#: A document's factors cover it, so their lengths add up to its own.
+_COVERED = "(SELECT d.doc_id, lang, source, quality, length(text) AS n FROM documents d LEFT JOIN (SELECT doc_id, max(quality) AS quality FROM labels GROUP BY doc_id) l ON l.doc_id = d.doc_id WHERE length(text) > 0)"
+
+
+@add("rollup_lang_source", f"SELECT lang, source, count(DISTINCT doc_id) AS texts, CAST(sum(n) AS BIGINT) AS symbols FROM {_COVERED} GROUP BY ROLLUP (lang, source)")
+def rollup_lang_source(spark, sf):
+    return _doc_factors(spark, sf).rollup("lang", "source").agg(F.countDistinct("doc_id").alias("texts"), F.sum("len").alias("symbols"))
+
+
+@add("grouping_sets_lang_quality", f"SELECT lang, quality, count(DISTINCT doc_id) AS texts, CAST(sum(n) AS BIGINT) AS symbols FROM {_COVERED} GROUP BY GROUPING SETS ((lang), (quality), ())")
+def grouping_sets_lang_quality(spark, sf):
+    f = _doc_factors(spark, sf)
+    return f.groupingSets([["lang"], ["quality"], []], "lang", "quality").agg(F.countDistinct("doc_id").alias("texts"), F.sum("len").alias("symbols"))
+
+
+@add("cube_kind_segment", _with({"f": "pair_run"}, _U, "SELECT kind, c_mktsegment, count(*) AS factors, CAST(sum(len) AS BIGINT) AS symbols FROM f JOIN customer ON c_custkey = id GROUP BY CUBE (kind, c_mktsegment)"))
+def cube_kind_segment(spark, sf):
+    customers = load(spark, sf, "customer", ["c_custkey", "c_mktsegment"]).withColumnRenamed("c_custkey", "user_id")
+    return _parsed("user_", "pair_run")(spark, sf).join(customers, "user_id").cube("kind", "c_mktsegment").agg(F.count("*").alias("factors"), F.sum("len").alias("symbols"))
+
+
+@add("cube_kind_lang")
+def cube_kind_lang(spark, sf):
+    return _doc_factors(spark, sf).cube("kind", "lang").agg(F.count("*").alias("factors"), F.sum("len").alias("symbols"))
+
+
 @relational("rollup_segment", "SELECT c_mktsegment, kind, count(*) AS factors FROM f JOIN customer ON c_custkey = id GROUP BY ROLLUP (c_mktsegment, kind)")
 def rollup_segment(spark, sf):
     customers = load(spark, sf, "customer", ["c_custkey", "c_mktsegment"]).withColumnRenamed("c_custkey", "user_id")
@@ -596,6 +703,12 @@ def encoded_bits(spark, sf):
     return measures.encoded_bits(rows, ["item_id"])
 
 
+@add("compression_ratio", "SELECT *, CAST(bits * 10000 // (symbols * 8) AS BIGINT) AS ratio_e4 FROM (" + SQL["encoded_bits"] + ")")
+def compression_ratio(spark, sf):
+    """Estimated stored size of each scheme's tokens against one byte a symbol."""
+    return measures.compression_ratio(encoded_bits(spark, sf))
+
+
 # ---- planning: reuse of equal texts, blocks
 
 

@@ -1,6 +1,9 @@
 """The texts of the experiments, made from the given tables, and the generated families.
 
 A workload is a DataFrame (id, text). Texts that are put together from rows are ordered by unique keys, so every run sees the same.
+A parse needs its whole text in one worker, so a text made from a table must fit there: such workloads (languages, markup, records,
+flags, quantities, event values as one text) are the experiments' single large texts. On larger tables take one text for each value of
+a column (`by`), or parse in blocks.
 """
 
 from __future__ import annotations
@@ -41,6 +44,12 @@ def pages(spark: SparkSession, sf_dir: str) -> DataFrame:
     return load(spark, sf_dir, "pages", ["page_id", "html"]).select(F.col("page_id").alias("id"), F.col("html").alias("text"))
 
 
+def markup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All pages as one text."""
+    rows = load(spark, sf_dir, "pages", ["page_id", "html"]).withColumn("_all", F.lit("pages"))
+    return concatenated(rows, ["_all"], [F.col("page_id")], F.coalesce("html", F.lit(""))).withColumnRenamed("_all", "id")
+
+
 def conversations(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = load(spark, sf_dir, "conversations", ["conv_id", "turn", "text"])
     return concatenated(rows, ["conv_id"], [F.col("turn")], F.col("text"), "\n").withColumnRenamed("conv_id", "id")
@@ -137,7 +146,7 @@ def prefix(df: DataFrame, n: int) -> DataFrame:
 EXAMPLE, LOOKAHEAD_EXAMPLE, EXTENSION_EXAMPLE = "aabbaabbbaabbbbbababaabccccbababc", "aaababaaaaaabaaab", "babababb"
 
 CATALOG = {
-    "documents": documents, "benchmark": items, "part_names": part_names, "nation_names": nation_names, "pages": pages, "conversations": conversations, "languages": by_language, "sources": by_source,
+    "documents": documents, "benchmark": items, "part_names": part_names, "nation_names": nation_names, "pages": pages, "markup": markup, "conversations": conversations, "languages": by_language, "sources": by_source,
     "event_types": event_types, "event_props": event_props, "event_values": event_values, "flags": flags, "quantities": quantities, "records": records, "vectors": vectors,
 }
 

@@ -127,3 +127,86 @@ def test_stream_blocks(spark):
     sums = got.groupBy("key").agg(F.sum("len").alias("n"), F.max("block_id").alias("b")).collect()
     sizes = {r.id: len(r.text) for r in W.event_types(spark, SF).collect()}
     assert {r.key: r.n for r in sums} == sizes and max(r.b for r in sums) > 0
+
+
+def test_flagship_on_a_small_table(spark, tmp_path):
+    from dictparse.queries import flagship
+    from tests.test_kernels import plain
+
+    docs = spark.read.parquet(f"{SF}/documents.parquet").where("length(text) BETWEEN 50 AND 900").orderBy("doc_id").limit(25)
+    docs.coalesce(1).write.parquet(str(tmp_path / "documents.parquet"))
+    total = {}
+    for r in docs.collect():
+        for scheme in ("pair", "pair_cut", "pair_run", "step"):
+            total[r.lang, scheme] = total.get((r.lang, scheme), 0) + len(plain(r.text, scheme))
+    for r in flagship(spark, str(tmp_path)).collect():
+        for scheme in ("pair_cut", "pair_run", "step"):
+            assert abs(float(r[scheme]) - (total[r.lang, scheme] / total[r.lang, "pair"] - 1) * 100) < 1e-3
+
+
+def test_more_measures(spark):
+    counts = spark.createDataFrame([(k, s, z) for k in range(40) for s, z in (("pair", 100), ("pair_cut", 90 + k % 3))], "id int, scheme string, z long")
+    rel = measures.relative(counts, ["id"], ["pair", "pair_cut"])
+    r = measures.improvement(rel, ["pair_cut"]).first()
+    assert r.best == -10 and -10 < r["mean"] < -8
+    few = measures.sampled(counts.where("scheme = 'pair'"), "id", 4)
+    assert 0 < few.count() < 40 and few.exceptAll(measures.sampled(counts.where("scheme = 'pair'"), "id", 4)).isEmpty()
+    e = measures.estimate(rel, "pair_cut").first()
+    assert e.low < e["mean"] < e.high and e.texts == 40
+    bits = spark.createDataFrame([("step", 120, 30)], "scheme string, bits long, symbols long")
+    assert measures.compression_ratio(bits).first().ratio_e4 == 5000
+    line = spark.createDataFrame([(1, float(k), 3.0 * k + 2) for k in range(6)], "g int, x double, y double")
+    assert abs(line.groupBy("g").agg(udfs.linear_slope("x", "y").alias("s")).first().s - 3) < 1e-9
+
+
+def _events(spark, tmp_path, parts):
+    """A stream that reads one file of rows in each micro-batch."""
+    schema = "event_id long, ts timestamp, user_id long, event_type string"
+    for k, rows in enumerate(parts):
+        spark.createDataFrame(rows, schema).coalesce(1).write.parquet(str(tmp_path / "in" / f"part={k}"))
+    return spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in" / "part=*"))
+
+
+def _at(minute):
+    import datetime
+
+    return datetime.datetime(2024, 1, 1) + datetime.timedelta(minutes=minute)
+
+
+def test_stream_dedup_and_joins(spark, tmp_path):
+    rows = [[(1, _at(0), 7, "view"), (1, _at(1), 7, "view"), (2, _at(2), 8, "cart")], [(2, _at(3), 8, "cart"), (3, _at(4), 7, "buy")]]
+    stream = _events(spark, tmp_path, rows)
+    assert sorted(r.event_id for r in online.run_to_table(online.deduplicated(stream)).collect()) == [1, 2, 3]
+    users = spark.createDataFrame([(7, "x")], "user_id long, name string")
+    assert sorted(r.event_id for r in online.run_to_table(online.with_static(stream, users, ["user_id"])).collect()) == [1, 1, 3]
+    pairs = online.run_to_table(online.near_in_time(stream.where("event_type = 'view'"), stream.where("event_type = 'buy'"), "user_id")).collect()
+    assert sorted(map(tuple, pairs)) == [(7, 1, 3), (7, 1, 3)]
+
+
+def test_upsert_can_run_again(spark, tmp_path):
+    put = online.upsert(str(tmp_path / "t"), ["k"], ["at"])
+    rows = lambda *r: spark.createDataFrame([*r], "k long, v string, at long")
+    put(rows((1, "a", 1), (1, "b", 3), (2, "c", 1)), 0)
+    put(rows((1, "late", 2), (2, "d", 5), (3, None, 1)), 1)
+    put(rows((1, "late", 2), (2, "d", 5), (3, None, 1)), 1)  # again
+    assert sorted((r.k, r.v) for r in online.latest(spark, str(tmp_path / "t"), ["k"], ["at"]).collect()) == [(1, "b"), (2, "d"), (3, None)]
+    assert spark.read.parquet(str(tmp_path / "t")).count() == 5
+
+
+def test_a_silent_key_ends(spark, tmp_path):
+    parts = [[(k, _at(k), 1, "a" if k % 2 else "b") for k in range(6)], [(10, _at(300), 2, "a")], [(11, _at(900), 2, "b")], [(12, _at(901), 1, "c")], [(13, _at(2000), 2, "b")]]
+    stream = _events(spark, tmp_path, parts)
+    out = online.factors_of_stream(stream, "user_id", "ts", "event_id", F.col("event_type"), idle_ms=60 * 60 * 1000)
+    got = online.run_to_table(out).where("key = 1 AND x > 0 AND final").orderBy("block_id", "x").collect()
+    whole = [(f[0] + 1, f[1]) for f in Parse("bababa", "pair_cut").phrases]
+    assert [(r.beg, r.len) for r in got if r.block_id == 0] == whole  # its rest became final when it fell silent
+    assert [(r.beg, r.len) for r in got if r.block_id == 1] == [(1, 1)]
+
+
+def test_sources(spark, tmp_path):
+    docs = io.load(spark, SF, "nation", ["n_nationkey", "n_name"])
+    docs.write.json(str(tmp_path / "n.json"))
+    assert sorted(map(str, io.load_any(spark, str(tmp_path / "n.json"), "json", "n_nationkey long, n_name string").select("n_nationkey", "n_name").collect())) == sorted(map(str, docs.collect()))
+    io.register(spark, SF)
+    assert spark.table("nation").count() == docs.count()
+    assert W.by_source(spark, SF).agg(F.sum(F.length("text"))).first()[0] == W.documents(spark, SF).agg(F.sum(F.length("text"))).first()[0]
