@@ -84,19 +84,46 @@ def insult_hashes() -> np.ndarray:
 
 
 class Votes:
-    """Turns features and text into a bit pattern of fired voters."""
-
-    def __init__(self, lexicon: np.ndarray):
-        self.fixed, self.learned = set(insult_hashes().tolist()), set(lexicon.tolist())
-
-    def pattern(self, text: str, features: np.ndarray) -> int:
-        own = features.tolist()
-        hits = [x for x in own if x in self.learned]
-        fixed = sum(x in self.fixed for x in own)
-        bits = int(fixed > 0)
-        for x in hits:
-            bits |= 1 << 1 + (x & 3) * SPLIT + (x >> 7) % SPLIT
-        words = sum(not x & 3 for x in hits)
+    """Turns a text into a bit pattern of fired voters.
+
+    Of each word only what a lexicon knows of it is remembered (its own hash, its beginnings), for most words nothing.
+    """
+
+    def __init__(self, lexicon: np.ndarray, bound: int = 300_000):
+        self.fixed, self.learned, self.bound = set(insult_hashes().tolist()), set(lexicon.tolist()), bound
+        self.stems = {x & ~3 for x in self.learned if x & 3}
+        self.known: dict[str, tuple | None] = {}
+        self.hasher = Hasher()
+
+    def __getstate__(self) -> dict:
+        return self.__dict__ | {"known": {}, "hasher": Hasher()}
+
+    def _add(self, word: str) -> tuple | None:
+        """(whether the fixed lexicon has the word, its hash if a learned one has it or 0, its beginnings that one may have)."""
+        own, *stems = self.hasher._add(word)
+        self.hasher.known.clear()
+        found = (own in self.fixed, own if own in self.learned else 0, [(k, s) for k, s in enumerate(stems) if s in self.stems])
+        self.known[word] = out = found if any(found) else None
+        return out
+
+    def pattern(self, text: str) -> int:
+        if len(self.known) > self.bound:
+            self.known = {}
+        known, fixed, words, stems, bits = self.known, 0, 0, {}, 0
+        for w in _words(text):
+            found = known[w] if w in known else self._add(w)
+            if found:
+                fixed += found[0]
+                if found[1]:
+                    words += 1
+                    bits |= 1 << 1 + (found[1] >> 7) % SPLIT
+                for s in found[2]:
+                    stems[s] = stems.get(s, 0) + 1
+        for (_, s), n in stems.items():
+            for kind in range(1, 1 + min(n, 3)):
+                if s | kind in self.learned:
+                    bits |= 1 << 1 + kind * SPLIT + (s >> 7) % SPLIT
+        bits |= fixed > 0
         pattern = (words >= 2, words >= 4, fixed >= 2 or (words > 0 and _MARKS.search(text) is not None), words > 0 and _UPPER_RUN.search(text) is not None)
         for k, fired in enumerate(pattern):
             bits |= fired << 1 + KINDS * SPLIT + k
@@ -123,7 +150,7 @@ def training_rows(rows: DataFrame, most: int, votes: Votes | None = None) -> tup
         for b in batches:
             texts = [t.decode() for t in texts_of(b, "text")]
             own = [hasher.features(t) for t in texts]
-            y = b.column("_y").to_pylist() if votes is None else [votes.pattern(t, f) for t, f in zip(texts, own, strict=True)]
+            y = b.column("_y").to_pylist() if votes is None else [votes.pattern(t) for t in texts]
             yield pa.RecordBatch.from_arrays([pa.array(y, pa.int64()), pa.array([f.tobytes() for f in own], pa.binary())], names=["y", "f"])
 
     got = map_batches(rows, run, "y long, f binary").orderBy(F.xxhash64("f")).limit(most).toLocalIterator()
@@ -237,12 +264,10 @@ def fit(docs: DataFrame, labels: DataFrame, doc: str = "doc_id", text: str = "te
     del features
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hasher = Hasher()
         counted: dict[int, int] = {}
         for b in batches:
             for t in texts_of(b, text):
-                t = t.decode()
-                p = votes.pattern(t, hasher.features(t))
+                p = votes.pattern(t.decode())
                 counted[p] = counted.get(p, 0) + 1
         yield pa.RecordBatch.from_arrays([pa.array([*counted], pa.int64()), pa.array([*counted.values()], pa.int64())], names=["p", "n"])
 
@@ -269,7 +294,7 @@ def scored(docs: DataFrame, labels: DataFrame, doc: str = "doc_id", text: str =
         for b in batches:
             texts = [t.decode() for t in texts_of(b, text)]
             features = [hasher.features(t) for t in texts]
-            score = lin.score(np.array([v.pattern(t, f) for t, f in zip(texts, features, strict=True)], np.int64), features)
+            score = lin.score(np.array([v.pattern(t) for t in texts], np.int64), features)
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(score, pa.float64())], names=[*b.schema.names, name])
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)

@@ -379,6 +379,26 @@ def test_toxicity_on_held_out_rows_of_a_given_table(spark, duck):
     assert auc > 0.9 and caught >= 0.8 * (caught + false) and caught >= 0.6 * len(toxic)
 
 
+def test_votes_from_words_and_beginnings():
+    rng = random.Random(6)
+    texts = [" ".join(rng.choice(["grob", "grobian", "Grobians!!", "lumpen", "lumpenpack", "idiot", "SCUM", "fine", "und", "x"]) for _ in range(rng.randrange(12))) for _ in range(300)]
+    hasher = toxicity.Hasher()
+    features = [hasher.features(t) for t in texts]
+    every = np.unique(np.concatenate(features))
+    learned = set(rng.sample(every.tolist(), 14))
+    votes = toxicity.Votes(np.array(sorted(learned), np.uint64))
+    fixed = set(toxicity.insult_hashes().tolist())
+    for t, own in zip(texts, (f.tolist() for f in features), strict=True):
+        bits = int(any(x in fixed for x in own))
+        for x in own:
+            if x in learned:
+                bits |= 1 << 1 + (x & 3) * toxicity.SPLIT + (x >> 7) % toxicity.SPLIT
+        last = 1 + toxicity.KINDS * toxicity.SPLIT
+        assert votes.pattern(t) % (1 << last) == bits
+        words, insults = sum(x in learned and not x & 3 for x in own), sum(x in fixed for x in own)
+        assert votes.pattern(t) >> last == (words >= 2) + 2 * (words >= 4) + 4 * (insults >= 2 or (words > 0 and "!!" in t)) + 8 * (words > 0 and "SCUM" in t)
+
+
 def test_training_rows_are_voted_on_whole_texts(spark, monkeypatch):
     seen = []
     monkeypatch.setattr(toxicity, "Linear", lambda features, patterns, target: seen.append((features, patterns)))
