@@ -63,11 +63,12 @@ class Hasher:
         self.known[word] = out = (hashed(word.encode()) & ~3, *stems)
         return out
 
-    def features(self, text: str) -> np.ndarray:
+    def features(self, text: str, words: set[str] | None = None) -> np.ndarray:
+        """Hashes of a text's features; its words may be given."""
         if len(self.known) > self.bound:
             self.known = {}
         get, add = self.known.get, self._add
-        each = [get(w) or add(w) for w in _words(text)]
+        each = [get(w) or add(w) for w in (_words(text) if words is None else words)]
         out = [t[0] for t in each]
         for k in range(1, len(STEMS) + 1):
             stems = Counter([t[k] for t in each])
@@ -106,11 +107,12 @@ class Votes:
         self.known[word] = out = found if any(found) else None
         return out
 
-    def pattern(self, text: str) -> int:
+    def pattern(self, text: str, own: set[str] | None = None) -> int:
+        """The text's fired voters as bits; its words may be given."""
         if len(self.known) > self.bound:
             self.known = {}
         known, fixed, words, stems, bits = self.known, 0, 0, {}, 0
-        for w in _words(text):
+        for w in _words(text) if own is None else own:
             found = known[w] if w in known else self._add(w)
             if found:
                 fixed += found[0]
@@ -293,8 +295,9 @@ def scored(docs: DataFrame, labels: DataFrame, doc: str = "doc_id", text: str =
         hasher = Hasher()
         for b in batches:
             texts = [t.decode() for t in texts_of(b, text)]
-            features = [hasher.features(t) for t in texts]
-            score = lin.score(np.array([v.pattern(t) for t in texts], np.int64), features)
+            own = [_words(t) for t in texts]
+            features = [hasher.features(t, w) for t, w in zip(texts, own, strict=True)]
+            score = lin.score(np.array([v.pattern(t, w) for t, w in zip(texts, own, strict=True)], np.int64), features)
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(score, pa.float64())], names=[*b.schema.names, name])
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
