@@ -40,7 +40,6 @@ def parse(text: str, spec: ParseSpec) -> Parse:
 
 def summary_row(text: str, spec: ParseSpec) -> tuple:
     began = time.perf_counter()
-    peak = resource.getrusage(resource.RUSAGE_SELF).ru_maxrss / 1024
     if spec.lookahead == "none" and spec.scheme != "step_run" and (spec.children, spec.lce, spec.fused, spec.stop_above, spec.counters) == ("hash", "direct", True, None, False):
         # counting needs no tokens
         sigma = len(set(text))
@@ -50,7 +49,8 @@ def summary_row(text: str, spec: ParseSpec) -> tuple:
         else:  # a node for each entry, one lookup for each symbol
             z, kinds, split = count_step(text) if spec.scheme == "step" else count_seeded(text), [0, 0, 0], 0
             nodes = 1 + (z if spec.scheme == "step" else max(z - 1, 0) + sigma)
-        return (len(text), sigma, z, *kinds, nodes, split, None, None, (time.perf_counter() - began) * 1000, peak)
+        took = (time.perf_counter() - began) * 1000
+        return (len(text), sigma, z, *kinds, nodes, split, None, None, took, resource.getrusage(resource.RUSAGE_SELF).ru_maxrss / 1024)
     p = parse(text, spec)
     took = (time.perf_counter() - began) * 1000
     kinds = [f[2] for f in p.phrases]
