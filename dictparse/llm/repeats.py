@@ -320,4 +320,33 @@ def op5_prefix_free_parsing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {"op5_prefix_free_parsing": op5_prefix_free_parsing}
-SQL: dict[str, str] = {}
+
+#: Every window of 200 bytes by its 128-bit digest; texts as hexadecimal digits, in overlapping parts of 1000 windows.
+SQL = {
+    "op5_prefix_free_parsing": f"""
+WITH texts AS MATERIALIZED (
+  SELECT row_number() OVER () AS r, doc_id, hex(encode(coalesce(text, ''))) AS h FROM documents
+), parts AS (
+  SELECT r, c * 1000 AS base, substr(h, CAST(c * 2000 + 1 AS BIGINT), {2 * (1000 + LENGTH - 1)}) AS part FROM texts, unnest(range(0, length(h) // 2000 + 1)) AS u(c)
+), windows AS MATERIALIZED (
+  SELECT r, base + i AS pos, md5_number(substr(part, CAST(2 * i + 1 AS BIGINT), {2 * LENGTH})) AS w
+  FROM parts, unnest(range(0, least(1000, length(part) // 2 - {LENGTH - 1}))) AS u(i)
+), starts AS (
+  SELECT r, pos FROM windows WHERE w IN (SELECT w FROM windows GROUP BY w HAVING count(*) > 1)
+), edges AS (
+  SELECT r, pos, CASE WHEN pos - lag(pos) OVER (PARTITION BY r ORDER BY pos) <= {LENGTH} THEN 0 ELSE 1 END AS opens FROM starts
+), numbered AS (
+  SELECT r, pos, sum(opens) OVER (PARTITION BY r ORDER BY pos) AS span FROM edges
+), spans AS (
+  SELECT r, min(pos) AS lo, max(pos) + {LENGTH} AS hi FROM numbered GROUP BY r, span
+), behind AS (
+  SELECT r, lo, hi, coalesce(lag(hi) OVER (PARTITION BY r ORDER BY lo), 0) AS upto FROM spans
+), removed AS (
+  SELECT b.r, sum(b.hi - b.lo) AS n_removed, count(*) AS n_spans, max(b.hi) AS ends,
+    string_agg(substr(t.h, CAST(2 * b.upto + 1 AS BIGINT), CAST(2 * (b.lo - b.upto) AS BIGINT)), '' ORDER BY b.lo) AS kept
+  FROM behind b JOIN texts t ON t.r = b.r GROUP BY b.r
+)
+SELECT t.doc_id, CAST(length(t.h) // 2 AS BIGINT) AS n_bytes, CAST(coalesce(d.n_removed, 0) AS BIGINT) AS n_removed, CAST(coalesce(d.n_spans, 0) AS BIGINT) AS n_spans,
+  sha256(unhex(coalesce(d.kept, '') || substr(t.h, CAST(2 * coalesce(d.ends, 0) + 1 AS BIGINT)))) AS kept_sha256
+FROM texts t LEFT JOIN removed d ON d.r = t.r"""
+}

@@ -232,6 +232,10 @@ def test_sharding(spark, rows):
         slots[r.shard].append(r.slot)
         assert r.shard == jump_brute(r.doc_id or 0, 8) and r.grown_shard == jump_brute(r.doc_id or 0, 9) and r.grown_shard in (r.shard, 8)
     assert all(sorted(s) == [*range(len(s))] for s in slots.values())
+    order = lambda r: (r.doc_id is not None, r.doc_id or 0, r.size, r.text_crc32)
+    for s in slots:
+        inside = sorted((r for r in got if r.shard == s), key=lambda r: r.slot)
+        assert [order(r) for r in inside] == sorted(order(r) for r in inside)
     keys = np.random.default_rng(1).integers(-(1 << 62), 1 << 62, 4000)
     assert sharding.jump(keys, 100).tolist() == [jump_brute(int(k), 100) for k in keys]
 
