@@ -5,9 +5,10 @@ taken from labelled training rows, and patterns over them. A generative label mo
 occurs in the whole corpus, estimates each voter's rates under both classes and the correlations that the class leaves between
 voters; correlated voters share their weight. Its posterior labels train a linear classifier over votes and hashed words.
 
-Labels are read only from rows whose crc32(id as text) mod 5 is not 0, at most SAMPLE of them (those with the smallest id hash), of
-which FITTED train the classifier. In the learned lexicons, labelled rows of one label that share their two smallest feature hashes
-(near copies) count as one row, so a text copied often is no evidence of its words.
+Labels are read only from rows whose crc32(id as text) mod 5 is not 0. The lexicons are learned from counts over all those rows; rows
+of one label that share the smallest of their words' hashes under two hash functions (near copies) count as one, so a text copied
+often is no evidence of its words. A bounded sample, the FITTED rows with the smallest id hashes, trains the classifier; the lexicons
+are part of the model and hold at most LEXICON features.
 
 Edge cases: a null text is an empty one and gets the score of a text without features; repeated rows are scored each; without usable
 labels only the fixed lexicon votes; an empty table gives an empty result; further columns, whatever their names, are not inputs.
@@ -24,10 +25,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from dictparse.llm.common import fresh, give_back, map_batches, read, texts_of
+from dictparse.llm.common import fresh, give_back, map_batches, read, texts_of, written
 
-#: Labelled rows read for the lexicons, at most; those of them that train the classifier, at most; its hashed weights.
-SAMPLE, FITTED, SPACE = 8_000, 4_000, 1 << 18
+#: Labelled rows that train the classifier, at most; its hashed weights; features of the learned lexicons, at most.
+FITTED, SPACE, LEXICON = 4_000, 1 << 18, 100_000
 #: Lengths of words' beginnings that count as features of their own.
 STEMS = (4, 6)
 #: A small public lexicon of insults.
@@ -136,56 +137,83 @@ def is_held_out(doc: str) -> F.Column:
     return F.coalesce(F.crc32(F.col(doc).cast("string").cast("binary")) % 5 == 0, F.lit(False))
 
 
-def labelled_rows(docs: DataFrame, labels: DataFrame, doc: str, text: str, label: str, sample: int) -> DataFrame:
-    """Label and text of the labelled sample."""
+def labelled_rows(docs: DataFrame, labels: DataFrame, doc: str, text: str, label: str) -> DataFrame:
+    """All usable labelled rows: own, text, _y (1: toxic), _hash of the text, _row (unique) and _group, which near copies share."""
     marked = labels.where(~is_held_out(doc)).select(F.col(doc).alias("own"), F.col(label).alias("y")).where("own IS NOT NULL AND y IS NOT NULL")
-    chosen = marked.groupBy("own").agg(F.max("y").cast("int").alias("_y")).orderBy(F.xxhash64("own"), "own").limit(sample)
-    # at most `sample` rows of 12 bytes
-    return docs.select(F.col(doc).alias("own"), F.col(text).alias("text")).join(F.broadcast(chosen), "own").select("_y", "text")
+    marked = marked.groupBy("own").agg((F.max("y").cast("int") == 1).cast("int").alias("_y"))
+    rows = docs.select(F.col(doc).alias("own"), F.coalesce(F.col(text), F.lit("")).alias("text")).join(marked, "own")
+    hashed = F.split(F.lower("text"), r"[^\p{L}\p{N}]+")
+    least = [F.array_min(F.transform(hashed, make)) for make in (lambda w: F.xxhash64(w), lambda w: F.xxhash64(w, F.lit(1)))]
+    rows = rows.withColumn("_group", F.xxhash64(*least)).withColumn("_hash", F.xxhash64("text")).withColumn("_row", F.monotonically_increasing_id())
+    return written(rows, "labelled")
 
 
-def training_rows(rows: DataFrame, most: int, votes: Votes | None = None) -> tuple[list[np.ndarray], np.ndarray]:
-    """Features of so many labelled rows (bounded, so they may come to the driver), and their labels or, given voters, their vote patterns."""
+def training_rows(rows: DataFrame, most: int, votes: Votes) -> tuple[list[np.ndarray], np.ndarray]:
+    """Features and vote patterns of so many labelled rows, those with the smallest id hashes (bounded, so they may come to the driver)."""
+    chosen = rows.select("own", "_hash", "_row").orderBy(F.xxhash64("own"), "own", "_hash", "_row").limit(most).select("_row")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hasher = Hasher()
         for b in batches:
             texts = [t.decode() for t in texts_of(b, "text")]
             own = [hasher.features(t) for t in texts]
-            y = b.column("_y").to_pylist() if votes is None else [votes.pattern(t) for t in texts]
-            yield pa.RecordBatch.from_arrays([pa.array(y, pa.int64()), pa.array([f.tobytes() for f in own], pa.binary())], names=["y", "f"])
+            yield pa.RecordBatch.from_arrays([pa.array([votes.pattern(t) for t in texts], pa.int64()), pa.array([f.tobytes() for f in own], pa.binary())], names=["p", "f"])
 
-    got = map_batches(rows, run, "y long, f binary").orderBy(F.xxhash64("f")).limit(most).toLocalIterator()
-    features, ys = [], []
+    # at most `most` rows of one number
+    got = map_batches(rows.join(F.broadcast(chosen), "_row").select("text"), run, "p long, f binary").orderBy(F.xxhash64("f")).toLocalIterator()
+    features, patterns = [], []
     for r in got:
         features.append(np.frombuffer(bytes(r.f), np.uint64))
-        ys.append(r.y)
-    return features, np.array(ys, np.int64)
-
-
-def learned_lexicon(features: list[np.ndarray], y: np.ndarray, chance: float = 0.01) -> np.ndarray:
-    """Features that toxic training rows hold more often than chance allows over all features tried; near copies count once."""
-    groups: dict[bytes, int] = {}
-    for f, label in zip(features, y, strict=True):
-        groups.setdefault(np.sort(f)[:2].tobytes() + bytes([int(label)]), len(groups))
-    first: set[int] = set()
-    keep = []
-    for k, (f, label) in enumerate(zip(features, y, strict=True)):
-        g = groups[np.sort(f)[:2].tobytes() + bytes([int(label)])]
-        if g not in first:
-            first.add(g)
-            keep.append(k)
-    toxic = [features[k] for k in keep if y[k] == 1]
-    if not toxic or len(toxic) == len(keep):
-        return np.zeros(0, np.uint64)
-    base = len(toxic) / len(keep)
-    seen, total = np.unique(np.concatenate([features[k] for k in keep]), return_counts=True)
-    in_toxic, hits = np.unique(np.concatenate(toxic), return_counts=True)
-    total = total[np.searchsorted(seen, in_toxic)]
-    rate = hits / total
-    inner = np.clip(rate, 1e-9, 1 - 1e-9)
-    evidence = total * (inner * np.log(inner / base) + (1 - inner) * np.log((1 - inner) / (1 - base)))
-    return in_toxic[(rate >= max(0.6, 3 * base)) & (evidence > np.log(len(seen) / chance)) & (hits >= 3)]
+        patterns.append(r.p)
+    return features, np.array(patterns, np.int64)
+
+
+def feature_counts(rows: DataFrame, at_once: int = 1 << 19) -> DataFrame:
+    """f, total, hits: how many rows, and how many toxic ones, hold each feature; added up in the tasks before the shuffle."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        hasher, held, size = Hasher(), [], 0
+
+        def added() -> pa.RecordBatch:
+            f, place = np.unique(np.concatenate([x for x, _ in held]), return_inverse=True)
+            toxic = np.repeat(np.array([y for _, y in held], np.float64), [len(x) for x, _ in held])
+            total, hits = np.bincount(place, minlength=len(f)), np.bincount(place, toxic, len(f)).astype(np.int64)
+            return pa.RecordBatch.from_arrays([pa.array(f.view(np.int64)), pa.array(total, pa.int64()), pa.array(hits, pa.int64())], names=["f", "n", "h"])
+
+        for b in batches:
+            for t, y in zip(texts_of(b, "text"), b.column("_y").to_pylist(), strict=True):
+                own = hasher.features(t.decode())
+                if len(own):
+                    held.append((own, y))
+                    size += len(own)
+                if size > at_once:
+                    yield added()
+                    held, size = [], 0
+        if held:
+            yield added()
+
+    return map_batches(rows.select("_y", "text"), run, "f long, n long, h long").groupBy("f").agg(F.sum("n").alias("total"), F.sum("h").alias("hits"))
+
+
+def learned_lexicon(labelled: DataFrame, chance: float = 0.01, most: int = LEXICON) -> tuple[np.ndarray, float]:
+    """Features that toxic rows hold more often than chance allows over all features tried, and the share of toxic rows.
+
+    All labelled rows are counted, near copies (one label, one group) once. Of more than `most` such features the clearest are taken.
+    """
+    one = labelled.groupBy("_y", "_group").agg(F.min(F.struct("own", "_hash", "_row")).alias("first"), F.count(F.lit(1)).alias("n"))
+    one = written(one.select("_y", F.col("first._row").alias("_row"), "n"), "label-groups")
+    sizes = {r["_y"]: r for r in one.groupBy("_y").agg(F.count(F.lit(1)).alias("groups"), F.sum("n").alias("n")).collect()}  # two labels
+    if len(sizes) < 2:
+        return np.zeros(0, np.uint64), float(min(sizes, default=0.1))
+    base = sizes[1].groups / (sizes[0].groups + sizes[1].groups)
+    counts = written(feature_counts(labelled.join(one.select("_row"), "_row", "left_semi")), "feature-counts")
+    rate = F.col("hits") / F.col("total")
+    inner = F.least(F.greatest(rate, F.lit(1e-9)), F.lit(1 - 1e-9))
+    evidence = F.col("total") * (inner * F.log(inner / base) + (1 - inner) * F.log((1 - inner) / (1 - base)))
+    enough = float(np.log(max(counts.count(), 1) / chance))
+    clear = counts.where(F.col("hits") >= 3).withColumn("evidence", evidence).where((rate >= max(0.6, 3 * base)) & (F.col("evidence") > enough))
+    taken = clear.orderBy(F.desc("evidence"), "f").limit(most).select("f").collect()
+    return np.array([r.f for r in taken], np.int64).view(np.uint64), sizes[1].n / (sizes[0].n + sizes[1].n)
 
 
 def _bits(patterns: np.ndarray) -> np.ndarray:
@@ -259,11 +287,10 @@ class Linear:
         return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 
 
-def fit(docs: DataFrame, labels: DataFrame, doc: str = "doc_id", text: str = "text", label: str = "toxic", sample: int = SAMPLE) -> tuple[Votes, LabelModel, Linear]:
-    labelled = labelled_rows(docs, labels, doc, text, label, sample)
-    features, y = training_rows(labelled, 2 * sample)
-    votes = Votes(learned_lexicon(features, y))
-    del features
+def fit(docs: DataFrame, labels: DataFrame, doc: str = "doc_id", text: str = "text", label: str = "toxic", fitted: int = FITTED) -> tuple[Votes, LabelModel, Linear]:
+    labelled = labelled_rows(docs, labels, doc, text, label)
+    lexicon, prior = learned_lexicon(labelled)
+    votes = Votes(lexicon)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counted: dict[int, int] = {}
@@ -275,19 +302,19 @@ def fit(docs: DataFrame, labels: DataFrame, doc: str = "doc_id", text: str = "te
 
     # at most 2 ** VOTERS patterns, of all rows
     rows = map_batches(docs.select(text), run, "p long, n long").groupBy("p").agg(F.sum("n").alias("n")).collect()
-    model = LabelModel(np.array([r.p for r in rows] or [0], np.int64), np.array([r.n for r in rows] or [1], np.int64), float(np.clip(y.mean(), 0.01, 0.4)) if len(y) else 0.1)
+    model = LabelModel(np.array([r.p for r in rows] or [0], np.int64), np.array([r.n for r in rows] or [1], np.int64), float(np.clip(prior, 0.01, 0.4)))
     # the whole texts are read again: some voters look at more than the features
-    features, patterns = training_rows(labelled, FITTED, votes)
+    features, patterns = training_rows(labelled, fitted, votes)
     linear = Linear(features, patterns, model.posterior(patterns) if len(patterns) else np.zeros(0))
     del features
     give_back()
     return votes, model, linear
 
 
-def scored(docs: DataFrame, labels: DataFrame, doc: str = "doc_id", text: str = "text", label: str = "toxic", sample: int = SAMPLE) -> DataFrame:
+def scored(docs: DataFrame, labels: DataFrame, doc: str = "doc_id", text: str = "text", label: str = "toxic", fitted: int = FITTED) -> DataFrame:
     """The documents, and as the last column _score, or a like name that is free."""
     name = fresh(docs, "_score")
-    votes, _, linear = fit(docs, labels, doc, text, label, sample)
+    votes, _, linear = fit(docs, labels, doc, text, label, fitted)
     sent = docs.sparkSession.sparkContext.broadcast((votes, linear))  # SPACE weights and a lexicon: fixed bounds
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -417,6 +417,29 @@ def test_training_rows_are_voted_on_whole_texts(spark, monkeypatch):
         assert (patterns >> bit & 1).sum() == sum(k % 4 == 0 for k in used)
 
 
+def test_lexicon_counts_all_labelled_rows_and_near_copies_once(spark):
+    rng = random.Random(12)
+    rows = [(k, " ".join(f"{rng.choice('abcdefgh')}{rng.randrange(400)}" for _ in range(12)) + (" lumpen" if k % 7 == 0 else "")) for k in range(900)]
+    rows += [(k, "copied words about vexling") for k in range(1000, 1200)]
+    toxic = {k: int(k % 7 == 0 or k >= 1000) for k, _ in rows}
+    docs = table(spark, rows + rows[:50] + [(2000, None), (2001, "")])
+    labelled = toxicity.labelled_rows(docs, spark.createDataFrame([*toxic.items(), (2000, 0), (2001, 0), (None, 1)], "doc_id long, toxic int"), "doc_id", "text", "toxic")
+    expected = Counter()
+    for k, t in rows + rows[:50] + [(2000, ""), (2001, "")]:
+        if zlib.crc32(str(k).encode()) % 5:
+            for f in toxicity.Hasher().features(t).tolist():
+                expected[f, "total"] += 1
+                expected[f, "hits"] += toxic.get(k, 0)
+    counted = {r.f % (1 << 64): (r.total, r.hits) for r in toxicity.feature_counts(labelled, 500).collect()}
+    assert counted == {f: (expected[f, "total"], expected[f, "hits"]) for f, _ in expected}
+    lexicon, prior = toxicity.learned_lexicon(labelled)
+    known = lambda w: toxicity.Hasher().features(w)[0] in lexicon
+    assert known("lumpen") and not known("vexling") and not known("copied")
+    assert toxicity.learned_lexicon(labelled, most=1)[0].tolist() == lexicon[:1].tolist()
+    used = [k for k, _ in rows + rows[:50] if zlib.crc32(str(k).encode()) % 5] + [k for k in (2000, 2001) if zlib.crc32(str(k).encode()) % 5]
+    assert prior == sum(toxic.get(k, 0) for k in used) / len(used)
+
+
 def test_without_labels_the_fixed_lexicon_votes(spark):
     none = spark.createDataFrame([], "doc_id long, toxic int")
     assert toxicity.scored(table(spark, [(1, "fine words"), (2, None)]), none).count() == 2
