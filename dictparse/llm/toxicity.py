@@ -141,7 +141,8 @@ def labelled_rows(docs: DataFrame, labels: DataFrame, doc: str, text: str, label
     """All usable labelled rows: own, text, _y (1: toxic), _hash of the text, _row (unique) and _group, which near copies share."""
     marked = labels.where(~is_held_out(doc)).select(F.col(doc).alias("own"), F.col(label).alias("y")).where("own IS NOT NULL AND y IS NOT NULL")
     marked = marked.groupBy("own").agg((F.max("y").cast("int") == 1).cast("int").alias("_y"))
-    rows = docs.select(F.col(doc).alias("own"), F.coalesce(F.col(text), F.lit("")).alias("text")).join(marked, "own")
+    # labels grow with the documents, so they are never broadcast: one plan at every size; held-out texts stay out of the shuffle
+    rows = docs.where(~is_held_out(doc)).select(F.col(doc).alias("own"), F.coalesce(F.col(text), F.lit("")).alias("text")).join(marked.hint("merge"), "own")
     hashed = F.split(F.lower("text"), r"[^\p{L}\p{N}]+")
     least = [F.array_min(F.transform(hashed, make)) for make in (lambda w: F.xxhash64(w), lambda w: F.xxhash64(w, F.lit(1)))]
     rows = rows.withColumn("_group", F.xxhash64(*least)).withColumn("_hash", F.xxhash64("text")).withColumn("_row", F.monotonically_increasing_id())
