@@ -64,20 +64,23 @@ class Hasher:
         self.known[word] = out = (hashed(word.encode()) & ~3, *stems)
         return out
 
-    def features(self, text: str, words: set[str] | None = None) -> np.ndarray:
-        """Hashes of a text's features; its words may be given."""
+    def parts(self, text: str, words: set[str] | None = None) -> list[tuple[int, ...]]:
+        """Hashes of a text's words, then of their beginnings by length (0 where a word has none); its words may be given."""
         if len(self.known) > self.bound:
             self.known = {}
         get, add = self.known.get, self._add
         each = [get(w) or add(w) for w in (_words(text) if words is None else words)]
-        out = [t[0] for t in each]
-        for k in range(1, len(STEMS) + 1):
-            stems = Counter([t[k] for t in each])
-            stems.pop(0, None)
-            out += [s | 1 for s in stems]
-            out += [s | 2 for s, n in stems.items() if n > 1]
-            out += [s | 3 for s, n in stems.items() if n > 2]
-        return np.array(out, np.uint64)
+        return [*zip(*each, strict=True)] or [()] * (1 + len(STEMS))
+
+    def features(self, text: str, parts: list[tuple[int, ...]] | None = None) -> np.ndarray:
+        """Hashes of a text's features; parts() of it may be given."""
+        own, *stems = self.parts(text) if parts is None else parts
+        counted = Counter(stems[0])
+        for more in stems[1:]:
+            counted.update(more)
+        counted.pop(0, None)
+        begin, n = np.fromiter(counted, np.uint64, len(counted)), np.fromiter(counted.values(), np.int64, len(counted))
+        return np.concatenate([np.fromiter(own, np.uint64, len(own)), begin | np.uint64(1), begin[n > 1] | np.uint64(2), begin[n > 2] | np.uint64(3)])
 
 
 def insult_hashes() -> np.ndarray:
@@ -86,46 +89,29 @@ def insult_hashes() -> np.ndarray:
 
 
 class Votes:
-    """Turns a text into a bit pattern of fired voters.
-
-    Of each word only what a lexicon knows of it is remembered (its own hash, its beginnings), for most words nothing.
-    """
+    """Turns a text into a bit pattern of fired voters."""
 
-    def __init__(self, lexicon: np.ndarray, bound: int = 300_000):
-        self.fixed, self.learned, self.bound = set(insult_hashes().tolist()), set(lexicon.tolist()), bound
+    def __init__(self, lexicon: np.ndarray):
+        self.fixed, self.learned = set(insult_hashes().tolist()), set(lexicon.tolist())
         self.stems = {x & ~3 for x in self.learned if x & 3}
-        self.known: dict[str, tuple | None] = {}
         self.hasher = Hasher()
 
     def __getstate__(self) -> dict:
-        return self.__dict__ | {"known": {}, "hasher": Hasher()}
-
-    def _add(self, word: str) -> tuple | None:
-        """(whether the fixed lexicon has the word, its hash if a learned one has it or 0, its beginnings that one may have)."""
-        own, *stems = self.hasher._add(word)
-        self.hasher.known.clear()
-        found = (own in self.fixed, own if own in self.learned else 0, [(k, s) for k, s in enumerate(stems) if s in self.stems])
-        self.known[word] = out = found if any(found) else None
-        return out
-
-    def pattern(self, text: str, own: set[str] | None = None) -> int:
-        """The text's fired voters as bits; its words may be given."""
-        if len(self.known) > self.bound:
-            self.known = {}
-        known, fixed, words, stems, bits = self.known, 0, 0, {}, 0
-        for w in _words(text) if own is None else own:
-            found = known[w] if w in known else self._add(w)
-            if found:
-                fixed += found[0]
-                if found[1]:
-                    words += 1
-                    bits |= 1 << 1 + (found[1] >> 7) % SPLIT
-                for s in found[2]:
-                    stems[s] = stems.get(s, 0) + 1
-        for (_, s), n in stems.items():
-            for kind in range(1, 1 + min(n, 3)):
-                if s | kind in self.learned:
-                    bits |= 1 << 1 + kind * SPLIT + (s >> 7) % SPLIT
+        return self.__dict__ | {"hasher": Hasher()}
+
+    def pattern(self, text: str, parts: list[tuple[int, ...]] | None = None) -> int:
+        """The text's fired voters as bits; a hasher's parts() of it may be given."""
+        own, *stems = self.hasher.parts(text) if parts is None else parts
+        fixed, found, bits = len(self.fixed.intersection(own)), self.learned.intersection(own), 0
+        words = len(found)
+        for f in found:
+            bits |= 1 << 1 + (f >> 7) % SPLIT
+        known = self.stems.__contains__
+        for begun in stems:
+            for s, n in Counter(filter(known, begun)).items():
+                for kind in range(1, 1 + min(n, 3)):
+                    if s | kind in self.learned:
+                        bits |= 1 << 1 + kind * SPLIT + (s >> 7) % SPLIT
         bits |= fixed > 0
         pattern = (words >= 2, words >= 4, fixed >= 2 or (words > 0 and _MARKS.search(text) is not None), words > 0 and _UPPER_RUN.search(text) is not None)
         for k, fired in enumerate(pattern):
@@ -157,8 +143,9 @@ def training_rows(rows: DataFrame, most: int, votes: Votes) -> tuple[list[np.nda
         hasher = Hasher()
         for b in batches:
             texts = [t.decode() for t in texts_of(b, "text")]
-            own = [hasher.features(t) for t in texts]
-            yield pa.RecordBatch.from_arrays([pa.array([votes.pattern(t) for t in texts], pa.int64()), pa.array([f.tobytes() for f in own], pa.binary())], names=["p", "f"])
+            parts = [hasher.parts(t) for t in texts]
+            own = [hasher.features(t, p) for t, p in zip(texts, parts, strict=True)]
+            yield pa.RecordBatch.from_arrays([pa.array([votes.pattern(t, p) for t, p in zip(texts, parts, strict=True)], pa.int64()), pa.array([f.tobytes() for f in own], pa.binary())], names=["p", "f"])
 
     # at most `most` rows of one number
     got = map_batches(rows.join(F.broadcast(chosen), "_row").select("text"), run, "p long, f binary").orderBy(F.xxhash64("f")).toLocalIterator()
@@ -323,9 +310,12 @@ def scored(docs: DataFrame, labels: DataFrame, doc: str = "doc_id", text: str =
         hasher = Hasher()
         for b in batches:
             texts = [t.decode() for t in texts_of(b, text)]
-            own = [_words(t) for t in texts]
-            features = [hasher.features(t, w) for t, w in zip(texts, own, strict=True)]
-            score = lin.score(np.array([v.pattern(t, w) for t, w in zip(texts, own, strict=True)], np.int64), features)
+            patterns, features = [], []
+            for t in texts:
+                parts = hasher.parts(t)
+                patterns.append(v.pattern(t, parts))
+                features.append(hasher.features(t, parts))
+            score = lin.score(np.array(patterns, np.int64), features)
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(score, pa.float64())], names=[*b.schema.names, name])
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
