@@ -19,6 +19,7 @@ from __future__ import annotations
 import re
 from collections import Counter
 from collections.abc import Iterator
+from itertools import chain, islice
 
 import numpy as np
 import pyarrow as pa
@@ -94,14 +95,43 @@ class Votes:
     def __init__(self, lexicon: np.ndarray):
         self.fixed, self.learned = set(insult_hashes().tolist()), set(lexicon.tolist())
         self.stems = {x & ~3 for x in self.learned if x & 3}
-        self.hasher = Hasher()
+        self._forget()
+
+    def _forget(self, bound: int = 150_000) -> None:
+        self.hasher = Hasher(bound)
+        #: Hashes of the words met; those that some lexicon may know; by beginning of a word met, whether a lexicon may know it.
+        self.met: dict[str, int] = {}
+        self.telling: set[str] = set()
+        self.begun: dict[str, bool] = {}
 
     def __getstate__(self) -> dict:
-        return self.__dict__ | {"hasher": Hasher()}
+        return self.__dict__ | {"hasher": Hasher(), "met": {}, "telling": set(), "begun": {}}
+
+    def told(self, words: set[str]) -> list[tuple[int, ...]]:
+        """parts() of those of a text's words that some lexicon may know; a word is looked up when it is first met."""
+        import xxhash
+
+        if len(self.met) > self.hasher.bound:
+            self._forget(self.hasher.bound)
+        hashed, begun, known = xxhash.xxh3_64_intdigest, self.begun, self.hasher.known
+        for w in words.difference(self.met):
+            own = self.met[w] = hashed(w.encode()) & ~3
+            tells = own in self.fixed or own in self.learned
+            for n in STEMS:
+                if len(w) > n:
+                    s = w[:n]
+                    tells_too = begun.get(s)
+                    if tells_too is None:
+                        tells_too = begun[s] = hashed((s + "\0").encode()) & ~3 in self.stems
+                    tells = tells or tells_too
+            if tells:
+                self.telling.add(w)
+                self.hasher._add(w)
+        return [*zip(*(known[w] for w in words & self.telling), strict=True)] or [()] * (1 + len(STEMS))
 
     def pattern(self, text: str, parts: list[tuple[int, ...]] | None = None) -> int:
-        """The text's fired voters as bits; a hasher's parts() of it may be given."""
-        own, *stems = self.hasher.parts(text) if parts is None else parts
+        """The text's fired voters as bits; a hasher's parts() of it, or what is told of its words, may be given."""
+        own, *stems = self.told(_words(text)) if parts is None else parts
         fixed, found, bits = len(self.fixed.intersection(own)), self.learned.intersection(own), 0
         words = len(found)
         for f in found:
@@ -275,6 +305,64 @@ class Linear:
         return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 
 
+class Scorer:
+    """Scores of a batch of texts, equal to Linear.score() on their patterns and features up to rounding.
+
+    Words and beginnings get numbers when they are first met; a batch's sums are then taken over arrays.
+    """
+
+    def __init__(self, votes: Votes, linear: Linear):
+        self.votes, self.linear = votes, linear
+        self._forget()
+
+    def _forget(self) -> None:
+        #: Numbers of words and of their beginnings (0: none); by word, its weight and its beginnings; by beginning, its weights by kind.
+        self.number: dict[str, int] = {}
+        self.begun: dict[str, int] = {"": 0}
+        self.own, self.stems, self.kinds = np.zeros(0), np.zeros((0, len(STEMS)), np.int64), np.zeros((1, KINDS))
+
+    def _meet(self, new: dict[str, int]) -> None:
+        """Takes in new words, given with their hashes."""
+        import xxhash
+
+        number, begun, before = self.number, self.begun, len(self.begun)
+        first = len(number)
+        number.update(zip(new, range(first, first + len(new)), strict=True))
+        stems = [[begun.setdefault(w[:n], len(begun)) if len(w) > n else 0 for w in new] for n in STEMS]
+        weight = self.linear.words
+        self.own = np.concatenate([self.own, weight[_columns(np.fromiter(new.values(), np.uint64, len(new)))]])
+        self.stems = np.concatenate([self.stems, np.array(stems, np.int64).T])
+        met = [*islice(begun, before, None)]
+        h = np.fromiter((xxhash.xxh3_64_intdigest((s + "\0").encode()) & ~3 for s in met), np.uint64, len(met))
+        kinds = weight[_columns(h[:, None] | np.arange(KINDS, dtype=np.uint64))]
+        self.kinds = np.concatenate([self.kinds, kinds])
+
+    def scores(self, texts: list[str]) -> np.ndarray:
+        if len(self.number) > self.votes.hasher.bound:
+            self._forget()
+        patterns, each, new = [], [], {}
+        for t in texts:
+            words = _words(t)
+            patterns.append(self.votes.pattern(t, self.votes.told(words)))
+            each.append(words)
+            for w in words.difference(self.number):
+                new[w] = self.votes.met[w]
+        self._meet(new)
+        n, sizes = len(texts), [*map(len, each)]
+        ids = np.fromiter(map(self.number.__getitem__, chain.from_iterable(each)), np.int64, sum(sizes))
+        row = np.repeat(np.arange(n), sizes)
+        pairs = np.concatenate([(row << 32 | s)[s > 0] for s in self.stems[ids].T])
+        pairs, times = np.unique(pairs, return_counts=True)
+        begin, of = pairs & 0xFFFFFFFF, pairs >> 32
+        total, held = np.bincount(row, self.own[ids], n), np.bincount(row, minlength=n)
+        for kind in range(1, KINDS):
+            has = times >= kind
+            total = total + np.bincount(of[has], self.kinds[begin[has], kind], n)
+            held = held + np.bincount(of[has], minlength=n)
+        z = self.linear.bias + _bits(np.array(patterns, np.int64)) @ self.linear.votes + total / np.sqrt(np.maximum(held, 1))
+        return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
+
+
 def fit(docs: DataFrame, labels: DataFrame, doc: str = "doc_id", text: str = "text", label: str = "toxic", fitted: int = FITTED) -> tuple[Votes, LabelModel, Linear]:
     labelled = labelled_rows(docs, labels, doc, text, label)
     lexicon, prior = learned_lexicon(labelled)
@@ -306,16 +394,9 @@ def scored(docs: DataFrame, labels: DataFrame, doc: str = "doc_id", text: str =
     sent = docs.sparkSession.sparkContext.broadcast((votes, linear))  # SPACE weights and a lexicon: fixed bounds
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        v, lin = sent.value
-        hasher = Hasher()
+        scorer = Scorer(*sent.value)
         for b in batches:
-            texts = [t.decode() for t in texts_of(b, text)]
-            patterns, features = [], []
-            for t in texts:
-                parts = hasher.parts(t)
-                patterns.append(v.pattern(t, parts))
-                features.append(hasher.features(t, parts))
-            score = lin.score(np.array(patterns, np.int64), features)
+            score = scorer.scores([t.decode() for t in texts_of(b, text)])
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(score, pa.float64())], names=[*b.schema.names, name])
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
