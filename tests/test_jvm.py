@@ -31,11 +31,11 @@ def test_compiled_parses_are_the_quick_ones(spark, name):
 def test_compiled_counts(spark):
     rows = spark.createDataFrame([*enumerate([*TEXTS, None])], "id int, text string")
     columns = ["id", "block_id", "scheme", "n", "sigma", "z", "combine_n", "cut_n", "repeat_n", "trie_nodes", "split_nodes"]
-    both = [factor_counts(rows, "text", ["id"], schemes=[n for n in CHECKED], reuse_equal_texts=False, engine=e) for e in ("kernel", "jvm")]
-    assert both[0].columns == both[1].columns and [t for _, t in both[0].dtypes] == [t for _, t in both[1].dtypes]
-    there, here = ({(r.id, r.scheme): r for r in d.select(*columns).collect()} for d in both)
+    both = [factor_counts(rows, "text", ["id"], schemes=CHECKED, reuse_equal_texts=False, **more) for more in ({}, {"engine": "jvm"}, {"engine": "jvm", "apart": True})]
+    assert both[0].dtypes == both[1].dtypes == both[2].dtypes
+    there, here, apart = ({(r.id, r.scheme): r for r in d.select(*columns).collect()} for d in both)
     # a parse by step or seeded takes no dictionary when counted
-    assert there == here and len(there) == len(TEXTS) * len(CHECKED)
+    assert there == here == apart and len(there) == len(TEXTS) * len(CHECKED)
 
 
 def test_a_round_trip_shuffles_no_text(spark):
