@@ -64,7 +64,7 @@ JOINED = ("markup", "languages", "event_values", "flags", "quantities", "records
 
 def test_large_texts_are_no_rows(spark):
     # each large text was once gathered as an array of its pieces, joined to one string and dealt out for each scheme
-    for query in (core.rel_large,):
+    for query in (core.rel_large, core.rel_large_flex):
         plan = query(spark, SF)._jdf.queryExecution().optimizedPlan().toString()
         assert "collect_list" not in plan and "array_join" not in plan
 
